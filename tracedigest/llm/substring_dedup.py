@@ -3,9 +3,11 @@
 Words are runs of anything but ASCII white space. A window is `window` consecutive words of a document; every word covered
 by a window that also starts in a document with a smaller id is removed (windows are judged on the input).
 
-First pass: each task adds its windows to a count-min sketch of saturating counters (none, one, more), kept as sorted
-cells; sketches of all tasks are merged block by block, salted first, into one bitmap per row that says "more than one".
-The merged sketch overestimates counts, so a window that occurs twice always passes. Second pass: only windows that pass
+First pass: each task adds windows to a count-min sketch of saturating counters (none, one, more), kept as sorted
+cells; the sketches of all tasks are merged block by block into one bitmap per row that says "more than one". A window is
+counted by its anchor, the gram of half its words with the least hash: places of equal windows have equal anchors at
+different places, so an anchor's count, and all the more its estimate, is no less than its window's, and neighbouring windows share
+their anchor, which saves three updates of four. So a window that occurs twice always passes. Second pass: only windows that pass
 are grouped exactly, by 96 bits of hash. A batch first settles what it can on its own: for each window, its documents
 beyond the batch's smallest id are removed there and then (as runs), so a passage that a third of all documents share
 reaches the exchange once per batch. The sketch has a fixed size (`cell_bits`, so rows·2^cell_bits/8 bytes are
@@ -29,7 +31,8 @@ from pyspark.sql import functions as F
 from .common import pieces, row_tag, shuffle_width
 
 WINDOW = 13
-CELL_BITS, BLOCK_BITS = 29, 23
+CELL_BITS, BLOCK_BITS = 27, 20
+LOW = (1 << BLOCK_BITS) - 1
 A, B, C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
 
@@ -47,26 +50,53 @@ def split(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "replace").split()
 
 
-def digests(own: list[list[bytes]], memo: Memo, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Of all windows of these documents: two hashes, document number, first word."""
+def anchors(own: list[list[bytes]], memo: Memo, window: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of these documents: hashes of all words, of all grams, the least gram hash of each window (0: no window starts
+    there), document number and place of each word. A gram is the longer half of a window."""
+    gram = window // 2 + 1
     n = np.array([len(w) for w in own], np.int64)
     flat = np.fromiter((memo[w] for ws in own for w in ws), np.uint64, int(n.sum()))
+    grams = np.zeros(max(0, len(flat) - gram + 1), np.uint64)
+    for j in range(gram):
+        grams = grams * A + flat[j : j + len(grams)]
+    grams = (grams ^ (grams >> np.uint64(32))) * B | np.uint64(1)
     size = max(0, len(flat) - window + 1)
-    other = (flat ^ (flat >> np.uint64(32))) * C
-    h1, h2 = np.zeros(size, np.uint64), np.zeros(size, np.uint64)
-    for j in range(window):
-        h1 = h1 * A + flat[j : j + size]
-        h2 = h2 * B + other[j : j + size]
+    least = grams[:size].copy()
+    for j in range(1, window - gram + 1):
+        np.minimum(least, grams[j : j + size], out=least)
     doc = np.repeat(np.arange(len(own)), n)
     first = np.arange(len(flat)) - np.repeat(np.cumsum(n) - n, n)
-    whole = doc[:size] == doc[window - 1 :][:size] if size else np.zeros(0, bool)
-    h1, h2 = h1[whole], h2[whole]
-    return (h1 ^ (h1 >> np.uint64(32))) * B, (h2 ^ (h2 >> np.uint64(32))) * A, doc[:size][whole], first[:size][whole]
+    least[doc[:size] != doc[window - 1 :][:size]] = 0
+    return flat, grams, least, doc, first
+
+
+def chosen(grams: np.ndarray, least: np.ndarray, window: int) -> np.ndarray:
+    """The grams that are least in some window, each place once."""
+    span = window - window // 2
+    most = np.zeros(len(grams), np.uint64)
+    for j in range(span):
+        np.maximum(most[j : j + len(least)], least, out=most[j : j + len(least)])
+    return grams[most == grams]
+
+
+def digests(flat: np.ndarray, at: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two hashes of each window that starts at a word of `at`."""
+    h1, h2 = np.zeros(len(at), np.uint64), np.zeros(len(at), np.uint64)
+    for j in range(window):
+        word = flat[at + j]
+        h1 = h1 * A + word
+        h2 = h2 * B + (word ^ (word >> np.uint64(32))) * C
+    return (h1 ^ (h1 >> np.uint64(32))) * B, (h2 ^ (h2 >> np.uint64(32))) * A
+
 
+def cells(grams: np.ndarray, cell_bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """The cells of a gram in the two rows of the sketch."""
+    return (grams >> np.uint64(64 - cell_bits)).astype(np.int64), (grams * C >> np.uint64(64 - cell_bits)).astype(np.int64)
 
-def packed_cells(cells: np.ndarray) -> bytes:
+
+def packed_cells(own: np.ndarray) -> bytes:
     """Sorted different cells of a block: counts by high part, then low bytes."""
-    return np.bincount(cells >> 8, minlength=1 << (BLOCK_BITS - 8)).astype("<u2").tobytes() + (cells & 255).astype(np.uint8).tobytes()
+    return np.bincount(own >> 8, minlength=1 << (BLOCK_BITS - 8)).astype("<u2").tobytes() + (own & 255).astype(np.uint8).tobytes()
 
 
 def unpacked_cells(raw: bytes) -> np.ndarray:
@@ -78,84 +108,71 @@ def sketch(docs: DataFrame, window: int, cell_bits: int) -> np.ndarray:
     """Bits, one row of bytes per hash: cells with a count over one. Fixed size."""
     blocks = 1 << (cell_bits - BLOCK_BITS)
 
+    names = ["block", "ones", "more"]
+
     def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo, held, kept, tick = Memo(), [], 0, 0
+        memo, held, kept = Memo(), [], 0
 
-        def flush(held):
-            out = {k: [] for k in ("block", "salt", "ones", "more")}
+        def flush():
+            rows = []
             for r in range(2):
-                cells = np.sort(np.concatenate([x[r] for x in held]))
-                new = np.diff(cells, prepend=-1) != 0
-                ones = cells[new]
-                more = np.unique(cells[~new])
-                at = np.searchsorted(ones, np.arange(blocks + 1, dtype=np.int64) << BLOCK_BITS)
-                at2 = np.searchsorted(more, np.arange(blocks + 1, dtype=np.int64) << BLOCK_BITS)
-                for b in range(blocks):
-                    if at[b + 1] > at[b]:
-                        base = b << BLOCK_BITS
-                        out["block"].append(r * blocks + b)
-                        out["salt"].append(int(ones[0] + tick) & 0xFFFF)
-                        out["ones"].append(packed_cells(ones[at[b] : at[b + 1]] - base))
-                        out["more"].append(packed_cells(more[at2[b] : at2[b + 1]] - base) if at2[b + 1] > at2[b] else None)
-            for a in range(0, len(out["block"]), 16):
-                yield pa.RecordBatch.from_arrays([pa.array(out["block"][a : a + 16], pa.int32()), pa.array(out["salt"][a : a + 16], pa.int32()), pa.array(out["ones"][a : a + 16], pa.binary()), pa.array(out["more"][a : a + 16], pa.binary())], list(out))
+                own = np.sort(np.concatenate([x[r] for x in held]))
+                new = np.diff(own, prepend=-1) != 0
+                ones, more = own[new], np.unique(own[~new])
+                edges = np.arange(blocks + 1, dtype=np.int64) << BLOCK_BITS
+                a, b = np.searchsorted(ones, edges), np.searchsorted(more, edges)
+                rows += [(r * blocks + i, packed_cells(ones[a[i] : a[i + 1]] & LOW), packed_cells(more[b[i] : b[i + 1]] & LOW) if b[i + 1] > b[i] else None) for i in range(blocks) if a[i + 1] > a[i]]
+            for i in range(0, len(rows), 64):
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows[i : i + 64], strict=True), (pa.int32(), pa.binary(), pa.binary()), strict=True)], names)
 
         for batch in batches:
             for part in pieces(batch):
-                h1, h2, _, _ = digests([split(t) for t in part.column("text").to_pylist()], memo, window)
-                held.append(((h1 >> np.uint64(64 - cell_bits)).astype(np.int64), (h2 >> np.uint64(64 - cell_bits)).astype(np.int64)))
-                kept += len(h1)
+                _, grams, least, _, _ = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
+                held.append(cells(chosen(grams, least, window), cell_bits))
+                kept += len(held[-1][0])
                 if kept > 8_000_000:
-                    yield from flush(held)
-                    held, kept, tick = [], 0, tick + 1
+                    yield from flush()
+                    held, kept = [], 0
         if kept:
-            yield from flush(held)
-
-    def merged(last: bool):
-        def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            """Rows come sorted by block; a block's counters are held one block at a time."""
-            now, ones, more = None, None, None
-
-            def done():
-                if last:
-                    return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([0], pa.int32()), pa.array([None], pa.binary()), pa.array([np.packbits(more).tobytes() if more.any() else None], pa.binary())], ["block", "salt", "ones", "more"])
-                return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([0], pa.int32()), pa.array([packed_cells(np.flatnonzero(ones))], pa.binary()), pa.array([packed_cells(np.flatnonzero(more))], pa.binary())], ["block", "salt", "ones", "more"])
-
-            for batch in batches:
-                for block, one, two in zip(batch.column("block").to_pylist(), batch.column("ones"), batch.column("more"), strict=True):
-                    if block != now:
-                        if now is not None:
-                            yield done()
-                        now, ones, more = block, np.zeros(1 << BLOCK_BITS, bool), np.zeros(1 << BLOCK_BITS, bool)
-                    cells = unpacked_cells(one.as_py())
-                    more[cells[ones[cells]]] = True
-                    ones[cells] = True
-                    if two.is_valid:
-                        more[unpacked_cells(two.as_py())] = True
-            if now is not None:
-                yield done()
-
-        return kernel
-
-    schema = "block int, salt int, ones binary, more binary"
-    width = shuffle_width(docs.sparkSession)
-    found = docs.select("text").mapInArrow(partial, schema).withColumn("salt", F.pmod("salt", F.lit(max(2, int(width**0.5)))))
-    found = found.repartition(width, "block", "salt").sortWithinPartitions("block").mapInArrow(merged(False), schema)
-    found = found.repartition(width, "block").sortWithinPartitions("block").mapInArrow(merged(True), schema)
+            yield from flush()
+
+    def merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Rows come sorted by block; the counters of one block are held at a time."""
+        now, ones, more = None, None, None
+
+        def done():
+            return pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([np.packbits(more).tobytes()], pa.binary())], ["block", "bits"])
+
+        for batch in batches:
+            for block, one, two in zip(batch.column("block").to_pylist(), batch.column("ones"), batch.column("more"), strict=True):
+                if block != now:
+                    if now is not None:
+                        yield done()
+                    now, ones, more = block, np.zeros(1 << BLOCK_BITS, bool), np.zeros(1 << BLOCK_BITS, bool)
+                own = unpacked_cells(one.as_py())
+                more[own[ones[own]]] = True
+                ones[own] = True
+                if two.is_valid:
+                    more[unpacked_cells(two.as_py())] = True
+        if now is not None:
+            yield done()
+
+    found = docs.select("text").mapInArrow(partial, "block int, ones binary, more binary")
+    found = found.repartition(shuffle_width(docs.sparkSession), "block").sortWithinPartitions("block").mapInArrow(merged, "block int, bits binary")
     out = np.zeros((2, 1 << (cell_bits - 3)), np.uint8)
     view = out.reshape(2 * blocks, -1)
-    for block, bits in found.select("block", "more").toLocalIterator(prefetchPartitions=False):
-        if bits is not None:
-            view[block] = np.frombuffer(bits, np.uint8)
+    for block, bits in found.collect():  # at most the sketch's fixed size
+        view[block] = np.frombuffer(bits, np.uint8)
     return out
 
 
-def passes(bits: np.ndarray, h1: np.ndarray, h2: np.ndarray, cell_bits: int) -> np.ndarray:
-    """Whether the sketch holds more than one of each window."""
-    c1 = (h1 >> np.uint64(64 - cell_bits)).astype(np.int64)
-    at = np.flatnonzero(bits[0][c1 >> 3] >> (7 - (c1 & 7)).astype(np.uint8) & 1)
-    c2 = (h2[at] >> np.uint64(64 - cell_bits)).astype(np.int64)
-    return at[(bits[1][c2 >> 3] >> (7 - (c2 & 7)).astype(np.uint8) & 1).astype(bool)]
+def passes(bits: np.ndarray, least: np.ndarray, cell_bits: int) -> np.ndarray:
+    """Windows of which the sketch holds more than one."""
+    at = np.flatnonzero(least)
+    for row, c in zip(bits, (0, 1), strict=True):
+        own = cells(least[at], cell_bits)[c]
+        at = at[(row[own >> 3] >> (7 - (own & 7)).astype(np.uint8) & 1).astype(bool)]
+    return at
 
 
 def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
@@ -167,9 +184,10 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
         for batch in batches:
             found, base = [], 0
             for part in pieces(batch):
-                h1, h2, doc, first = digests([split(t) for t in part.column("text").to_pylist()], memo, window)
-                at = passes(bits, h1, h2, cell_bits)
-                found.append((h1[at], h2[at] >> np.uint64(32), doc[at] + base, first[at]))
+                flat, _, least, doc, first = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
+                at = passes(bits, least, cell_bits)
+                h1, h2 = digests(flat, at, window)
+                found.append((h1, h2 >> np.uint64(32), doc[at] + base, first[at]))
                 base += part.num_rows
             if not found:
                 continue
