@@ -32,6 +32,8 @@ from .common import pieces, row_tag, shuffle_width
 
 WINDOW = 13
 CELL_BITS, BLOCK_BITS = 27, 20
+#: Text bytes within which repeats are settled without an exchange.
+SETTLE_BYTES = 16 << 20
 LOW = (1 << BLOCK_BITS) - 1
 A, B, C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
@@ -130,7 +132,7 @@ def sketch(docs: DataFrame, window: int, cell_bits: int) -> np.ndarray:
                 _, grams, least, _, _ = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
                 held.append(cells(chosen(grams, least, window), cell_bits))
                 kept += len(held[-1][0])
-                if kept > 8_000_000:
+                if kept > 3_000_000:
                     yield from flush()
                     held, kept = [], 0
         if kept:
@@ -181,7 +183,7 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo, bits = Memo(), held.value
-        for batch in batches:
+        for batch in (x for whole in batches for x in pieces(whole, limit=SETTLE_BYTES)):
             found, base = [], 0
             for part in pieces(batch):
                 flat, _, least, doc, first = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
