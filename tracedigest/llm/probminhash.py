@@ -7,12 +7,13 @@ is later than every register's: two documents agree in a register with the proba
 
 1. Signatures of `bands`·`rows` registers and band hashes, row-local. Rows with one word sequence are one exact class, and from
    here on one member.
-2. In each band bucket every member is paired with one leader (a star, never all pairs). Pairs whose signatures agree too
+2. In each band bucket every member is paired with one leader (a star, never all pairs): the one that meets most others in its
+   buckets, as the original of many copies does. Pairs whose signatures agree too
    little for the threshold (five standard deviations) are dropped; the others are verified by the exact Jaccard similarity
    of their shingle sets, from their whole texts. Verified pairs are links, links make components.
 3. Stars can miss a link between members of a bucket that both miss the leader. So in each bucket that still holds several
-   components the members of different components are compared too, and the components are made again. A bucket of
-   near copies is by then one component and a few strays, so this costs the strays times the bucket.
+   components the members of different components are compared too, large buckets in blocks, and the components are made
+   again. A bucket of near copies is by then one component and a few strays, so this costs the strays times the bucket.
 
 Nulls and empty texts: no shingles; all of them form no class with others (each row is its own class). A null id is kept
 as a row of its own with a null class. Repeated ids with one text are one member. Nothing is sampled or
@@ -211,15 +212,19 @@ def dedup(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, row
     sigs = materialize(sigs.select(F.col("s1").alias("rep"), "sig", "keys"), "representatives")
 
     band = sigs.select("rep", F.explode("keys").alias("key"))
-    sizes = band.groupBy("key").agg(F.count("*").alias("n"), F.min("rep").alias("leader")).filter("n > 1")
-    buckets = materialize(band.join(sizes, "key").select("key", "rep", "leader", "n"), "buckets")
+    sizes = band.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
+    shared = materialize(band.join(sizes, "key").select("key", "rep", "n"), "shared-bands")
+    known = shared.groupBy("rep").agg(F.sum("n").alias("known"))
+    leaders = shared.join(known, "rep").groupBy("key").agg(F.max(F.struct("known", "rep")).alias("x")).select("key", F.col("x.rep").alias("leader"))
+    buckets = materialize(shared.join(leaders, "key").select("key", "rep", "leader", "n"), "buckets")
     nodes = materialize(buckets.select(F.col("rep").alias("node")).distinct(), "nodes")
     texts = node_texts(own, every, nodes)
     registers = bands * rows
-    pairs = buckets.filter("rep <> leader").select(F.col("leader").alias("a"), F.col("rep").alias("b")).distinct()
+    pairs = buckets.filter("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
     links = compare(pairs, sigs, texts, registers, threshold)
     labels = components(links, nodes)
-    more = compare(crossing(buckets, sigs, labels, registers, threshold), sigs, texts, registers, threshold)
+    few, many = crossing(buckets, sigs, texts, labels, registers, threshold)
+    more = materialize(compare(few, sigs, texts, registers, threshold).unionByName(many).distinct(), "more-links")
     if not more.isEmpty():
         labels = components(links.unionByName(more), nodes)
 
@@ -258,39 +263,60 @@ def compare(pairs: DataFrame, sigs: DataFrame, texts: DataFrame, registers: int,
     return materialize(verified(likely, texts, threshold).select("a", "b"), "links")
 
 
-def crossing(buckets: DataFrame, sigs: DataFrame, labels: DataFrame, registers: int, threshold: float, small: int = 32, block: int = 512) -> DataFrame:
-    """Pairs (a, b) of one bucket and different components that no star has compared. Members of the bucket's largest component
-    meet the others, and the others each other, so a bucket that is one component and a few strays costs its size times
-    the strays. Buckets of up to `small` members are taken apart by built-in functions; in larger ones blocks of strays
-    meet blocks of members in the kernel, which emits only pairs whose signatures may reach the threshold."""
+def crossing(buckets: DataFrame, sigs: DataFrame, texts: DataFrame, labels: DataFrame, registers: int, threshold: float, small: int = 32, block: int = 256) -> tuple[DataFrame, DataFrame]:
+    """What the stars left open: pairs of one bucket and different components. Members outside the bucket's largest component meet
+    all others, so a bucket that is one component and a few strays costs its size times the strays.
+
+    Pairs to compare of buckets with up to `small` members, and links of larger ones. There, blocks of strays meet blocks
+    of members in a kernel with their texts, which emits links only; a pair is looked at just in the first band that it shares."""
     held = buckets.join(labels, buckets["rep"] == labels["node"]).select("key", "rep", "root", "leader")
     parts = held.groupBy("key", "root").agg(F.count("*").alias("k"))
     several = parts.groupBy("key").agg(F.count("*").alias("roots"), F.max_by("root", "k").alias("main"), F.sum("k").alias("m"), F.max("k").alias("most")).filter("roots > 1 and m > 2")
-    open_ = held.join(several.select("key", "main", "m", (F.col("m") - F.col("most")).alias("s")), "key")
+    open_ = materialize(held.join(several.select("key", "main", "m", (F.col("m") - F.col("most")).alias("s")), "key"), "open-buckets")
 
     few = open_.filter(F.col("m") <= small).groupBy("key").agg(F.first("leader").alias("leader"), F.collect_list(F.struct("rep", "root")).alias("x"))
     pairs = few.select("leader", F.explode("x").alias("p"), "x").select("leader", "p", F.explode("x").alias("q")).filter("p.rep < q.rep and p.root <> q.root and p.rep <> leader and q.rep <> leader")
-    pairs = pairs.select(F.col("p.rep").alias("a"), F.col("q.rep").alias("b"))
+    pairs = pairs.select(F.col("p.rep").alias("a"), F.col("q.rep").alias("b")).distinct()
 
     many = open_.filter(F.col("m") > small).withColumns({"mb": F.ceil(F.col("m") / block).cast("int"), "sb": F.ceil(F.col("s") / block).cast("int")})
-    left = many.filter("root <> main").select("key", F.pmod(F.xxhash64("rep"), F.col("sb")).cast("int").alias("i"), F.explode(F.sequence(F.lit(0), F.col("mb") - 1)).alias("j"), "rep", "root", F.lit(True).alias("stray"), "leader")
-    right = many.select("key", F.explode(F.sequence(F.lit(0), F.col("sb") - 1)).alias("i"), F.pmod(F.xxhash64("rep"), F.col("mb")).cast("int").alias("j"), "rep", "root", F.lit(False).alias("stray"), "leader")
-    dealt = left.unionByName(right).join(sigs.select("rep", "sig"), "rep")
+    own = many.join(sigs.select("rep", "sig", "keys"), "rep").join(texts, "rep")
+    columns = ["key", "i", "j", "rep", "root", "stray", "sig", "keys", "text"]
+    left = own.filter("root <> main").withColumns({"i": F.pmod(F.xxhash64("rep"), F.col("sb")).cast("int"), "stray": F.lit(True)}).withColumn("j", F.explode(F.sequence(F.lit(0), F.col("mb") - 1)))
+    right = own.withColumns({"j": F.pmod(F.xxhash64("rep"), F.col("mb")).cast("int"), "stray": F.lit(False)}).withColumn("i", F.explode(F.sequence(F.lit(0), F.col("sb") - 1)))
     least = agreement(registers, threshold)
 
-    def block_pairs(table: pa.Table) -> pa.Table:
-        stray = np.asarray(table.column("stray"))
-        rep, root, leader = (np.asarray(table.column(c)) for c in ("rep", "root", "leader"))
+    def block_links(table: pa.Table) -> pa.Table:
+        key, stray = table.column("key")[0].as_py(), np.asarray(table.column("stray"))
+        rep, root = (np.asarray(table.column(c)) for c in ("rep", "root"))
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(-1, registers)
-        members = np.flatnonzero(~stray)
+        keys = table.column("keys").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
+        memo, texts = Memo(), table.column("text")
+        members, sets = np.flatnonzero(~stray), {}
+
+        def of(i: int) -> np.ndarray:
+            if i not in sets:
+                sets[i] = np.unique(shingle_hashes([words(texts[i].as_py())], memo)[0])
+            return sets[i]
+
         out: list[tuple[int, int]] = []
         for i in np.flatnonzero(stray).tolist():
-            near = members[((sig[members] == sig[i]).sum(axis=1) >= least) & (root[members] != root[i]) & (rep[members] != leader[i]) & (rep[i] != leader[members])]
-            out += [(min(int(rep[i]), r), max(int(rep[i]), r)) for r in rep[near].tolist()]
+            near = members[((sig[members] == sig[i]).sum(axis=1) >= least) & (root[members] != root[i])]
+            same = keys[near] == keys[i]
+            near = near[keys[near, same.argmax(axis=1)] == key] if len(near) else near
+            if not len(near):
+                continue
+            x, each = of(i), [of(j) for j in near.tolist()]
+            size = np.array([len(y) for y in each])
+            flat = np.concatenate(each)
+            hit = x[np.minimum(np.searchsorted(x, flat), len(x) - 1)] == flat
+            both = np.add.reduceat(hit, np.cumsum(size) - size)
+            fine = near[both / (len(x) + size - both) >= threshold - 1e-12]
+            out += [(min(int(rep[i]), r), max(int(rep[i]), r)) for r in rep[fine].tolist()]
         found = np.array(sorted(set(out)), np.int64).reshape(-1, 2)
         return pa.table({"a": found[:, 0], "b": found[:, 1]})
 
-    return pairs.unionByName(dealt.groupBy("key", "i", "j").applyInArrow(block_pairs, "a bigint, b bigint")).distinct()
+    links = left.select(*columns).unionByName(right.select(*columns)).groupBy("key", "i", "j").applyInArrow(block_links, "a bigint, b bigint")
+    return pairs, links
 
 
 def keep_one(docs: DataFrame, threshold: float = THRESHOLD, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
