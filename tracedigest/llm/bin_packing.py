@@ -131,7 +131,7 @@ def plan_table(plan: list[tuple[int, list[int]]]) -> np.ndarray:
     return np.array(sorted(rows), np.int64).reshape(-1, 5)
 
 
-def packed(parts: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 20_000) -> DataFrame:
+def packed(parts: DataFrame, capacity: int = CAPACITY, bucket_rows: int = 2_000) -> DataFrame:
     """Adds sequence_id and offset to rows that have a length of 1 to capacity. Full pieces take negative sequence ids of their own."""
     spark = parts.sparkSession
     counted = {r["length"]: r["count"] for r in parts.groupBy("length").count().collect()}
