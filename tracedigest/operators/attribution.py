@@ -53,11 +53,12 @@ def determine(candidates: DataFrame, blocks: DataFrame, words: DataFrame, config
     ranked = blocks.withColumn("turn", order)
 
     def survivors(who: DataFrame, own: DataFrame) -> DataFrame:
-        asked = who.join(own.select("excerpt_id", "block_no", "block"), "excerpt_id")
-        asked = asked.select("excerpt_id", "interval_id", "flow_key", "block_no", flow_digest(F.col("block"), F.col("flow_key"), config.salt).alias("digest"))
+        asked = who.join(own.select("excerpt_id", "block_no", "block"), "excerpt_id", "left")  # without a block left: stays
+        asked = asked.select("excerpt_id", "interval_id", "flow_key", flow_digest(F.col("block"), F.col("flow_key"), config.salt).alias("digest"))
         rows = membership.probes(asked, config.m_bits, config.sections, config.k)
-        missed = rows.join(words, ["interval_id", "section", "word_ix"], "left").filter(F.coalesce("word", F.lit(0)).bitwiseAND(F.col("mask")) == 0)
-        return who.join(missed.select("excerpt_id", "interval_id", "flow_key").distinct(), ["excerpt_id", "interval_id", "flow_key"], "left_anti")
+        hit = F.col("digest").isNull() | (F.coalesce("word", F.lit(0)).bitwiseAND(F.col("mask")) != 0)
+        met = rows.join(words, ["interval_id", "section", "word_ix"], "left").select("excerpt_id", "interval_id", "flow_key", hit.alias("hit"))
+        return met.groupBy("excerpt_id", "interval_id", "flow_key").agg(F.bool_and("hit").alias("hit")).filter("hit").drop("hit")
 
     if not first_only:
         return survivors(candidates, ranked)
