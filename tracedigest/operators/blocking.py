@@ -143,8 +143,8 @@ def fixed_blocks(trace: DataFrame, size: int = 32, stride: int | None = None) ->
 def winnow_bounds_sql(trace: DataFrame, window: int = WINDOW, width: int = OVERLAP + 1, instance: int = 0) -> DataFrame:
     """flow_key, seq, pos of all boundaries by built-in functions: a row per byte, so for checks, not for scale."""
     n = F.octet_length("payload") - (width - 1)
-    rows = trace.filter(F.octet_length("payload") >= window + width - 1).select("interval_id", "flow_key", "seq", n.alias("n"), F.hex("payload").alias("hx"), F.explode(F.sequence(F.lit(0), n - 1)).alias("pos"))
-    value = F.conv(F.expr(f"substring(hx, pos * 2 + 1, {2 * width})"), 16, 10).cast("bigint")
+    rows = trace.filter(F.octet_length("payload") >= window + width - 1).select("interval_id", "flow_key", "seq", n.alias("n"), "payload", F.explode(F.sequence(F.lit(0), n - 1)).alias("pos"))
+    value = F.conv(F.hex(F.expr(f"substring(payload, pos + 1, {width})")), 16, 10).cast("bigint")
     keyed = rows.select("interval_id", "flow_key", "seq", "n", "pos", (boundary_hash_column(value, instance) * F.lit(POS) + (F.lit(POS - 1) - F.col("pos"))).alias("key"))
     frame = Window.partitionBy("interval_id", "flow_key", "seq").orderBy("pos").rowsBetween(0, window - 1)
     least = keyed.withColumn("least", F.min("key").over(frame)).filter(F.col("pos") <= F.col("n") - window)

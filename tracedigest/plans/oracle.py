@@ -27,11 +27,11 @@ def number(hx: str, at: str, digits: int) -> str:
 
 def bounds(src: str = "trace", out: str = "bounds", window: int = 64, width: int = 5, instance: int = 0) -> str:
     """out(flow_key, seq, pos)."""
-    if width <= 7:
-        value = number("hx", "2 * pos + 1", 2 * width)
-    else:  # two halves; 256^5 mod the prime is 512
-        value = f"(({number('hx', '2 * pos + 1', 2 * (width - 5))}) % {PRIME}) * 512 + {number('hx', f'2 * pos + {2 * (width - 5) + 1}', 10)}"
-    return f"""{out}_v as (select flow_key, seq, pos, n, {value} as v from (select flow_key, seq, hx, len(hx) // 2 - {width - 1} as n, unnest(range(0, len(hx) // 2 - {width - 1})) as pos from {src} where len(hx) // 2 >= {window + width - 1})),
+    byte = lambda a, b: "('0x' || " + " || ".join("b" if i == 0 else f"lead(b, {i}) over w" for i in range(a, b)) + ")::bigint"
+    # wide hashes in two halves; 256^5 mod the prime is 512
+    value = byte(0, width) if width <= 7 else f"({byte(0, width - 5)}) % {PRIME} * 512 + {byte(width - 5, width)}"
+    return f"""{out}_l as (select flow_key, seq, generate_subscripts(l, 1) - 1 as pos, len(l) - {width - 1} as n, unnest(l) as b from (select flow_key, seq, regexp_extract_all(hx, '..') as l from {src} where len(hx) // 2 >= {window + width - 1})),
+{out}_v as (select flow_key, seq, pos, n, v from (select flow_key, seq, pos, n, case when pos < n then {value} end as v from {out}_l window w as (partition by flow_key, seq order by pos)) where pos < n),
 {out}_x as (select flow_key, seq, pos, n, (v % {PRIME} * {STEP_A} + {STEP_B + STEP_I * instance}) % {PRIME} as x from {out}_v),
 {out}_h as (select flow_key, seq, pos, n, ((x * x + x) % {PRIME} * {STEP_C} + {STEP_D}) % {PRIME} * {POS} + ({POS - 1} - pos) as h from {out}_x),
 {out}_w as (select flow_key, seq, pos, n, min(h) over (partition by flow_key, seq order by pos rows between current row and {window - 1} following) as least from {out}_h),
