@@ -5,13 +5,14 @@ from __future__ import annotations
 import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..operators import blocking
 
-BLOCK_TYPE = "array<struct<block_no:int,start:int,size:int,block:binary>>"
+BLOCK = T.StructType([T.StructField("block_no", T.IntegerType()), T.StructField("start", T.IntegerType()), T.StructField("size", T.IntegerType()), T.StructField("block", T.BinaryType())])
 
 
-@F.arrow_udf(BLOCK_TYPE)
+@F.arrow_udf(T.ArrayType(BLOCK))
 def winnow_blocks(payload: pa.Array) -> pa.Array:
     """All blocks of each payload, window 64 and overlap 4."""
     row, number, start, size, blocks = blocking.winnow_batch(payload.to_pylist())
@@ -21,7 +22,7 @@ def winnow_blocks(payload: pa.Array) -> pa.Array:
     return pa.array(out, pa.list_(pa.struct([("block_no", pa.int32()), ("start", pa.int32()), ("size", pa.int32()), ("block", pa.binary())])))
 
 
-@F.arrow_udf("int")
+@F.arrow_udf(T.IntegerType())
 def section(block: pa.Array, sections: pa.Array) -> pa.Array:
     """The section of a filter that a block's content digest selects."""
     from .hashing import digests, md5_parts
@@ -42,4 +43,4 @@ def register(spark: SparkSession) -> None:
     """td_blocks, td_section and td_winnow for SQL."""
     spark.udf.register("td_blocks", winnow_blocks)
     spark.udf.register("td_section", section)
-    spark.udtf.register("td_winnow", F.udtf(Winnow, returnType="block_no: int, start: int, size: int, block: binary"))
+    spark.udtf.register("td_winnow", F.udtf(Winnow, returnType=BLOCK))
