@@ -108,7 +108,7 @@ class CaptureStream(SimpleDataSourceStreamReader):
 
     def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
         files = self.files()
-        return self.rows(files[start["files"] :]), {"files": len(files)}
+        return iter(list(self.rows(files[start["files"] :]))), {"files": len(files)}
 
     def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:  # noqa: N802
         return self.rows(self.files()[start["files"] : end["files"]])
