@@ -20,24 +20,37 @@ STEP_A, STEP_B, STEP_I, STEP_C, STEP_D = 1103515245, 12345, 7919, 16807, 7
 POS = 1 << 31
 
 
-def _mod(x: np.ndarray) -> np.ndarray:
-    """x mod the Mersenne prime, for 0 <= x < 2^63."""
-    x = (x & PRIME) + (x >> 31)
-    x = (x & PRIME) + (x >> 31)
-    return np.where(x >= PRIME, x - PRIME, x)
+def _fold(x: np.ndarray, spare: np.ndarray) -> None:
+    """One step of reduction modulo the Mersenne prime, in place: bits from 31 on are added to the lower ones."""
+    np.right_shift(x, 31, out=spare)
+    np.bitwise_and(x, PRIME, out=x)
+    np.add(x, spare, out=x)
 
 
 def boundary_hash(data: np.ndarray, width: int = 5, instance: int = 0) -> np.ndarray:
-    """Of each position of the byte array with `width` bytes from it on."""
+    """Of each position of the byte array with `width` bytes from it on. Reductions are only as complete as the next
+    product needs; the last one is."""
     n = max(0, len(data) - width + 1)
-    v = np.zeros(n, np.int64)
+    x, spare = np.zeros(n, np.int64), np.empty(n, np.int64)
     for i in range(width):
-        if width > 7 and i:  # wider than an integer: folded as it grows
-            v = _mod(v)
-        v = (v << 8) | data[i : i + n]
-    x = _mod(_mod(v) * STEP_A + (STEP_B + STEP_I * instance))
-    x = _mod(x * x + x)
-    return _mod(x * STEP_C + STEP_D)
+        if i >= 5:  # more than 40 bits would not fit: folded as it grows
+            _fold(x, spare)
+        np.left_shift(x, 8, out=x)
+        np.add(x, data[i : i + n], out=x)
+    _fold(x, spare)
+    np.multiply(x, STEP_A, out=x)
+    np.add(x, STEP_B + STEP_I * instance, out=x)
+    _fold(x, spare)
+    _fold(x, spare)
+    np.multiply(x, x, out=spare)
+    np.add(x, spare, out=x)
+    _fold(x, spare)
+    _fold(x, spare)
+    np.multiply(x, STEP_C, out=x)
+    np.add(x, STEP_D, out=x)
+    _fold(x, spare)
+    np.subtract(x, PRIME, out=x, where=x >= PRIME)
+    return x
 
 
 def boundary_hash_column(value: Column, instance: int = 0) -> Column:

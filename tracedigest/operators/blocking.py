@@ -41,12 +41,17 @@ def bounds_of(data: np.ndarray, lengths: np.ndarray, window: int, width: int, in
     if n < window:
         return np.zeros(0, np.int64), np.zeros(0, np.int64)
     at = np.arange(n, dtype=np.int64)
-    least = sliding_min(h * POS + (POS - 1 - at), window)
+    np.left_shift(h, 31, out=h)
+    np.add(h, POS - 1 - at, out=h)
+    least = sliding_min(h, window)
     end = np.cumsum(lengths)
-    owner = np.repeat(np.arange(len(lengths)), lengths)[: len(least)]
-    full = at[: len(least)] + window + width - 1 <= end[owner]
+    if len(lengths) > 1:  # windows that cross into the next payload don't count
+        full = np.ones(len(least), bool)
+        for e in end[:-1].tolist():
+            full[max(0, e - window - width + 2) : e] = False
+        least = least[full]
     picked = np.zeros(n, bool)
-    picked[POS - 1 - (least[full] % POS)] = True
+    picked[POS - 1 - (least & (POS - 1))] = True
     found = np.flatnonzero(picked)
     return found, np.searchsorted(end, found, side="right")
 
@@ -64,7 +69,8 @@ def payload_bounds(payload: bytes, window: int, width: int, instance: int = 0) -
     return np.concatenate(out)
 
 
-def chunks(payloads: list[bytes | None], limit: int = 2 << 20) -> Iterator[tuple[int, int]]:
+def chunks(payloads: list[bytes | None], limit: int = 64 << 10) -> Iterator[tuple[int, int]]:
+    """Ranges of payloads with about `limit` bytes, so that a chunk's arrays stay in a core's cache."""
     a, held = 0, 0
     for i, p in enumerate(payloads):
         held += len(p or b"")

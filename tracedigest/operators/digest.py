@@ -151,21 +151,25 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20)
 
         for batch in batches:
             row, _, _, _, blocks = blocking.winnow_batch(batch.column("payload").to_pylist(), config.window, config.overlap, config.threshold, config.keep_equal)
-            intervals, flows = batch.column("interval_id").to_pylist(), batch.column("flow_key").to_pylist()
-            cut = np.searchsorted(row, np.arange(batch.num_rows + 1))
-            for p in np.unique(row).tolist():
-                own = blocks[cut[p] : cut[p + 1]]
-                held = filters.get(intervals[p])
-                if held is None:
-                    held = filters[intervals[p]] = np.zeros((config.sections, n_words), np.uint32)
-                section = insert(held, digests(own, b"", config.hash_family, config.salt))
+            if not len(row):
+                continue
+            interval, flows = batch.column("interval_id").to_numpy(zero_copy_only=False)[row], batch.column("flow_key").to_pylist()
+            suffix = [flow_suffix(f) for f in flows]
+            for i in np.unique(interval).tolist():
+                at = np.flatnonzero(interval == i)
+                own = blocks if len(at) == len(blocks) else [blocks[x] for x in at.tolist()]
+                if i not in filters:
+                    filters[i] = np.zeros((config.sections, n_words), np.uint32)
+                section = insert(filters[i], digests(own, b"", config.hash_family, config.salt))
                 if config.flow_blocks:
-                    insert(held, digests(own, flow_suffix(flows[p]), config.hash_family, config.salt))
+                    insert(filters[i], digests([b + suffix[r] for b, r in zip(own, row[at].tolist(), strict=True)], b"", config.hash_family, config.salt))
                 if config.index:
-                    key = (intervals[p], flows[p])
-                    if key not in maps:
-                        maps[key] = np.zeros(width * 8, bool)
-                    maps[key][section] = True
+                    who, nth = np.unique(row[at], return_inverse=True)
+                    held = np.zeros((len(who), width * 8), bool)
+                    held[nth, section] = True
+                    for r, bits in zip(who.tolist(), held, strict=True):
+                        key = (i, flows[r])
+                        maps[key] = maps[key] | bits if key in maps else bits
                 if len(filters) * n_words * 4 * config.sections + len(maps) * width * 8 > budget:
                     yield from flush()
         yield from flush()

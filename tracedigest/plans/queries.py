@@ -633,4 +633,4 @@ def _(spark, d):
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """excerpt_id, interval_id, flow_key, src, dst: the whole procedure on documents."""
     e = w.Experiment(spark, sf_dir)
-    return attribution.attribute(e.excerpts, dg.build(e.packets, DigestConfig(sections=256, threshold=40, index=True).sized(e.raw)))
+    return attribution.attribute(e.excerpts, dg.build(e.packets, DigestConfig(sections=256, index=True).sized(e.raw)))

@@ -15,7 +15,7 @@ from collections.abc import Iterator
 from datetime import datetime, timezone
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition, SimpleDataSourceStreamReader
+from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceStreamReader, InputPartition
 
 SCHEMA = "ts timestamp, flow_key string, src string, dst string, proto string, seq bigint, payload binary"
 #: First bytes of a capture in little and big endian, in microseconds and nanoseconds.
@@ -94,29 +94,27 @@ class CaptureReader(DataSourceReader):
             yield from records(f.read())
 
 
-class CaptureStream(SimpleDataSourceStreamReader):
-    """Files in the order of their names; the offset is the number of files taken."""
+class CaptureStream(DataSourceStreamReader):
+    """Files in the order of their names; the offset is the number of files taken, each new file a partition."""
 
     def __init__(self, path: str):
         self.path = path
 
     def files(self) -> list[str]:
-        return sorted(glob.glob(f"{self.path}/*"))
+        return sorted(f for f in glob.glob(f"{self.path}/*") if os.path.isfile(f))
 
     def initialOffset(self) -> dict:  # noqa: N802
         return {"files": 0}
 
-    def read(self, start: dict) -> tuple[Iterator[tuple], dict]:
-        files = self.files()
-        return iter(list(self.rows(files[start["files"] :]))), {"files": len(files)}
+    def latestOffset(self) -> dict:  # noqa: N802
+        return {"files": len(self.files())}
 
-    def readBetweenOffsets(self, start: dict, end: dict) -> Iterator[tuple]:  # noqa: N802
-        return self.rows(self.files()[start["files"] : end["files"]])
+    def partitions(self, start: dict, end: dict) -> list[FilePartition]:
+        return [FilePartition(f) for f in self.files()[start["files"] : end["files"]]]
 
-    def rows(self, files: list[str]) -> Iterator[tuple]:
-        for path in files:
-            with open(path, "rb") as f:
-                yield from records(f.read())
+    def read(self, partition: FilePartition) -> Iterator[tuple]:
+        with open(partition.path, "rb") as f:
+            yield from records(f.read())
 
 
 class CaptureDataSource(DataSource):
@@ -130,7 +128,7 @@ class CaptureDataSource(DataSource):
     def reader(self, schema) -> CaptureReader:
         return CaptureReader(self.options["path"])
 
-    def simpleStreamReader(self, schema) -> CaptureStream:  # noqa: N802
+    def streamReader(self, schema) -> CaptureStream:  # noqa: N802
         return CaptureStream(self.options["path"])
 
 
