@@ -93,7 +93,10 @@ def attribute(excerpts: DataFrame, digest: Digest, on_empty: str = "positive", b
     blocks = excerpt_blocks(excerpts, config)
     present, hits = appearance(blocks, excerpts, words, flows, config)
     if flowbits is not None:
-        candidates = bitindex.prune(bitmap_words(flowbits, config.sections), bitindex.required_words(hits), flows, present)
+        # section by section: only flows with a one meet an excerpt, so the join is as sparse as the bitmaps
+        candidates = bitindex.prune_inverted(bitmap_sections(flowbits, config.sections), hits)
+        free = present.join(hits.select("excerpt_id", "interval_id").distinct(), ["excerpt_id", "interval_id"], "left_anti")
+        candidates = candidates.unionByName(all_flows(free, flows))
     else:
         candidates = all_flows(present, flows)
     out = determine(candidates, blocks, words, config).join(flows.select("interval_id", "flow_key", "src", "dst"), ["interval_id", "flow_key"])
@@ -113,6 +116,13 @@ def bitmap_words(flowbits: DataFrame, sections: int) -> DataFrame:
     return rows.select("interval_id", "flow_key", F.col("word_ix").cast("int"), F.conv(F.concat(at(7), at(5), at(3), at(1)), 16, 10).cast("bigint").alias("word")).filter("word <> 0")
 
 
+def bitmap_sections(flowbits: DataFrame, sections: int) -> DataFrame:
+    """interval_id, flow_key, section: a row per one-bit of packed bitmaps."""
+    words = bitmap_words(flowbits, sections)
+    ones = F.filter(F.sequence(F.lit(0), F.lit(31)), lambda i: F.call_function("shiftright", F.col("word"), i).bitwiseAND(F.lit(1)) == 1)
+    return words.select("interval_id", "flow_key", "word_ix", F.explode(ones).alias("i")).select("interval_id", "flow_key", (F.col("word_ix") * 32 + F.col("i")).alias("section"))
+
+
 def evaluate(flows: DataFrame, excerpt_rows: list[tuple[int, int, int, bytes]], every_excerpt: list[int], configs: list[tuple[int, DigestConfig]], filters: dict[int, np.ndarray], tags: list[int] | None = None) -> DataFrame:
     """config_id, flow_key, excerpt_id, of one interval, for all configurations in one pass.
 
