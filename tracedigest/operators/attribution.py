@@ -34,11 +34,11 @@ def excerpt_blocks(excerpts: DataFrame, config: DigestConfig) -> DataFrame:
 
 def appearance(blocks: DataFrame, excerpts: DataFrame, words: DataFrame, intervals: DataFrame, config: DigestConfig) -> tuple[DataFrame, DataFrame]:
     """(excerpt_id, interval_id) whose content blocks are all present, and their (excerpt_id, interval_id, section) hits."""
-    asked = blocks.select("excerpt_id", "block_no", block_digest(F.col("block"), config.salt).alias("digest"))
-    rows = membership.probes(asked, config.m_bits, config.sections, config.k)
+    asked = blocks.select("excerpt_id", "block_no", block_digest(F.col("block"), config.salt).alias("digest")).withColumn("feature", section_of(F.col("digest"), config.sections))
+    rows = membership.probes(asked, config.m_bits, config.filter_sections, config.k)
     need = rows.groupBy("excerpt_id").agg(F.count("*").alias("need"))
     hits = words.join(rows, ["section", "word_ix"]).filter(F.col("word").bitwiseAND(F.col("mask")) != 0)
-    found = hits.groupBy("excerpt_id", "interval_id").agg(F.count("*").alias("met"), F.collect_set("section").alias("sections")).join(need, "excerpt_id").filter("met = need")
+    found = hits.groupBy("excerpt_id", "interval_id").agg(F.count("*").alias("met"), F.collect_set("feature").alias("sections")).join(need, "excerpt_id").filter("met = need")
     free = excerpts.select("excerpt_id").join(need, "excerpt_id", "left_anti").join(intervals.select("interval_id").distinct())
     present = found.select("excerpt_id", "interval_id").unionByName(free.select("excerpt_id", "interval_id"))
     return present, found.select("excerpt_id", "interval_id", F.explode("sections").alias("section"))
@@ -55,7 +55,7 @@ def determine(candidates: DataFrame, blocks: DataFrame, words: DataFrame, config
     def survivors(who: DataFrame, own: DataFrame) -> DataFrame:
         asked = who.join(own.select("excerpt_id", "block_no", "block"), "excerpt_id", "left")  # without a block left: stays
         asked = asked.select("excerpt_id", "interval_id", "flow_key", flow_digest(F.col("block"), F.col("flow_key"), config.salt).alias("digest"))
-        rows = membership.probes(asked, config.m_bits, config.sections, config.k)
+        rows = membership.probes(asked, config.m_bits, config.filter_sections, config.k)
         hit = F.col("digest").isNull() | (F.coalesce("word", F.lit(0)).bitwiseAND(F.col("mask")) != 0)
         met = rows.join(words, ["interval_id", "section", "word_ix"], "left").select("excerpt_id", "interval_id", "flow_key", hit.alias("hit"))
         return met.groupBy("excerpt_id", "interval_id", "flow_key").agg(F.bool_and("hit").alias("hit")).filter("hit").drop("hit")
@@ -72,7 +72,7 @@ def all_flows(present: DataFrame, flows: DataFrame) -> DataFrame:
 
 def words_of_sections(digest: Digest) -> DataFrame:
     """Word rows of a packed digest."""
-    n = -(-max(1, digest.config.m_bits // digest.config.sections) // 32)
+    n = -(-max(1, digest.config.m_bits // digest.config.filter_sections) // 32)
     hx = F.hex(F.col("bits"))
     four = digest.sections.select("interval_id", "section", hx.alias("hx"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("word_ix"))
     at = lambda i: F.expr(f"substring(hx, word_ix * 8 + {i}, 2)")
@@ -143,12 +143,12 @@ def evaluate(flows: DataFrame, excerpt_rows: list[tuple[int, int, int, bytes]],
 
     def present(raw: bytes, c: DigestConfig, table: np.ndarray, tag: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
         sel, g1, g2 = md5_parts(raw)
-        section, m_sub = sel % c.sections if tag is None else tag, max(1, c.m_bits // c.sections)
+        section, m_sub = sel % c.filter_sections if tag is None else tag, max(1, c.m_bits // c.filter_sections)
         hit = np.ones(len(sel), bool)
         for r in range(c.k):
             pos = (g1 + r * g2) % m_sub
             hit &= (table[section, pos >> 5] >> (pos & 31).astype(np.uint32) & 1).astype(bool)
-        return hit, section
+        return hit, sel % c.sections
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         owner, sizes, blocks, tables, tag = held.value

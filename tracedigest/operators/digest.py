@@ -22,7 +22,7 @@ from . import bitindex, blocking, compress, membership, trace
 @dataclass(frozen=True)
 class DigestConfig:
     """reduction: raw bytes over filter bytes; m_bits overrides it (bits per interval). sections 1 is the conventional filter; index
-    keeps flow bitmaps; threshold discards smaller blocks; assembly "flow" joins a flow's packets before blocking."""
+    keeps flow bitmaps, of the sections or (feature "hash") of as many hash values beside a conventional filter; threshold discards smaller blocks; assembly "flow" joins a flow's packets before blocking."""
 
     reduction: float = 100.0
     m_bits: int | None = None
@@ -37,9 +37,15 @@ class DigestConfig:
     hash_family: str = "portable"
     salt: str = ""
     flow_blocks: bool = True
+    feature: str = "section"
+
+    @property
+    def filter_sections(self) -> int:
+        """Sections of the filter itself: the index's feature may also be a plain hash beside a conventional filter."""
+        return 1 if self.feature == "hash" else self.sections
 
     def sized(self, raw_bytes: int) -> DigestConfig:
-        return self if self.m_bits else replace(self, m_bits=max(32 * self.sections, int(8 * raw_bytes / self.reduction)))
+        return self if self.m_bits else replace(self, m_bits=max(32 * self.filter_sections, int(8 * raw_bytes / self.reduction)))
 
 
 @dataclass(frozen=True)
@@ -66,7 +72,7 @@ class Digest:
 
 CONFIG_TYPES = {
     "reduction": "double", "m_bits": "bigint", "k": "int", "sections": "int", "window": "int", "overlap": "int", "threshold": "int", "keep_equal": "boolean", "index": "boolean", "assembly": "string",
-    "hash_family": "string", "salt": "string", "flow_blocks": "boolean", "codec": "string",
+    "hash_family": "string", "salt": "string", "flow_blocks": "boolean", "feature": "string", "codec": "string",
 }
 
 
@@ -119,12 +125,12 @@ def elements(blocks: DataFrame, config: DigestConfig) -> DataFrame:
 
 
 def words_of(blocks: DataFrame, config: DigestConfig) -> DataFrame:
-    return membership.build_sectioned(elements(blocks, config), config.m_bits, config.sections, config.k)
+    return membership.build_sectioned(elements(blocks, config), config.m_bits, config.filter_sections, config.k)
 
 
 def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20) -> DataFrame:
     """interval_id, flow_key (null: filter), section (0 for flows), bits: what each task has gathered, at most `budget` bytes at a time."""
-    m_sub = max(1, config.m_bits // config.sections)
+    m_sub = max(1, config.m_bits // config.filter_sections)
     n_words, width = -(-m_sub // 32), -(-config.sections // 8)
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -143,11 +149,11 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20)
 
         def insert(held: np.ndarray, raw: bytes) -> np.ndarray:
             sel, g1, g2 = md5_parts(raw)
-            section = sel % config.sections
+            section = sel % config.filter_sections
             for r in range(config.k):
                 pos = (g1 + r * g2) % m_sub
                 np.bitwise_or.at(held, (section, pos >> 5), np.left_shift(np.uint32(1), (pos & 31).astype(np.uint32)))
-            return section
+            return sel % config.sections
 
         for batch in batches:
             row, _, _, _, blocks = blocking.winnow_batch(batch.column("payload").to_pylist(), config.window, config.overlap, config.threshold, config.keep_equal)
@@ -159,7 +165,7 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20)
                 at = np.flatnonzero(interval == i)
                 own = blocks if len(at) == len(blocks) else [blocks[x] for x in at.tolist()]
                 if i not in filters:
-                    filters[i] = np.zeros((config.sections, n_words), np.uint32)
+                    filters[i] = np.zeros((config.filter_sections, n_words), np.uint32)
                 section = insert(filters[i], digests(own, b"", config.hash_family, config.salt))
                 if config.flow_blocks:
                     insert(filters[i], digests([b + suffix[r] for b, r in zip(own, row[at].tolist(), strict=True)], b"", config.hash_family, config.salt))
@@ -170,7 +176,7 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20)
                     for r, bits in zip(who.tolist(), held, strict=True):
                         key = (i, flows[r])
                         maps[key] = maps[key] | bits if key in maps else bits
-                if len(filters) * n_words * 4 * config.sections + len(maps) * width * 8 > budget:
+                if len(filters) * n_words * 4 * config.filter_sections + len(maps) * width * 8 > budget:
                     yield from flush()
         yield from flush()
 

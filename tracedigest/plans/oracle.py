@@ -84,8 +84,8 @@ def bits(elements: str, out: str = "bits", per: str = "cfg") -> str:
 
 def evaluation(entries: list[dict], blk: str = "blk", xblk: str = "xblk") -> str:
     """missed(config_id, excerpt_id, flow_key): pairs that a configuration rules out. Needs trace, size_, blk, xblk."""
-    rows = ", ".join(f"({i}, {e.get('threshold', 0)}, {e.get('sections', 1)}, {e.get('k', 1)}, {str(bool(e.get('index'))).lower()})" for i, e in enumerate(entries))
-    return f"""cfg as (select config_id, t, j, k, idx, m // j as ms from (values {rows}) c(config_id, t, j, k, idx), (select m from size_)),
+    rows = ", ".join(f"({i}, {e.get('threshold', 0)}, {e.get('sections', 1)}, {e.get('k', 1)}, {str(bool(e.get('index'))).lower()}, {1 if e.get('feature') == 'hash' else e.get('sections', 1)})" for i, e in enumerate(entries))
+    return f"""cfg as (select config_id, t, ji, j, k, idx, m // j as ms from (values {rows}) c(config_id, t, ji, k, idx, j), (select m from size_)),
 el as (select config_id, {digest('block')} as d, null::bigint as tag from {blk}, cfg where size >= t union all select config_id, {digest('block', 'flow_key')}, null from {blk}, cfg where size >= t),
 {bits('el')},
 xd as (select flow_key::bigint as excerpt_id, block_no, size, block, {digest('block')} as d from {xblk}),
@@ -96,8 +96,8 @@ fd as (select excerpt_id, flow_key, size, {digest('block', 'flow_key')} as d fro
 fp as (select excerpt_id, flow_key, size, {number('d', '1', 8)} as sel, {number('d', '9', 12)} as g1, {number('d', '21', 12)} as g2 from fd),
 ask2 as (select config_id, excerpt_id, flow_key, sel % j as section, (g1 + r * g2) % ms as pos from fp, cfg, range(8) g(r) where size >= t and r < k),
 miss2 as (select distinct config_id, excerpt_id, flow_key from ask2 anti join bits using (config_id, section, pos)),
-touched as (select distinct config_id, flow_key, {number(digest('block'), '1', 8)} % j as section from {blk}, cfg where size >= t and idx),
-need as (select distinct config_id, excerpt_id, {number('d', '1', 8)} % j as section from xd, cfg where size >= t and idx),
+touched as (select distinct config_id, flow_key, {number(digest('block'), '1', 8)} % ji as section from {blk}, cfg where size >= t and idx),
+need as (select distinct config_id, excerpt_id, {number('d', '1', 8)} % ji as section from xd, cfg where size >= t and idx),
 miss3 as (select distinct config_id, excerpt_id, flow_key from (select config_id, excerpt_id, section, flow_key from need, flows) n anti join touched using (config_id, flow_key, section)),
 missed as (select config_id, excerpt_id, flow_key from miss2 union select config_id, excerpt_id, flow_key from miss3 union select config_id, excerpt_id, flow_key from gone, flows),
 rate as (select config_id, (select count(*) from excerpts) as excerpts, (select count(*) from excerpts) * (select flows from size_) - count(excerpt_id) as reported from cfg left join missed using (config_id) group by config_id)"""

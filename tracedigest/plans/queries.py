@@ -345,6 +345,14 @@ def _(spark, d):
     return attribution.attribute(e.excerpts, digest).select("excerpt_id", "flow_key")
 
 
+@query("attribute_hash_feature", _verdict_sql({"sections": 256, "index": True, "feature": "hash"}))
+def _(spark, d):
+    """The index's feature from a hash, beside a conventional filter."""
+    e = w.Experiment(spark, d)
+    digest = dg.build(e.packets, DigestConfig(sections=256, index=True, feature="hash").sized(e.raw))
+    return attribution.attribute(e.excerpts, digest).select("excerpt_id", "flow_key")
+
+
 @query("attribute_downsampled", _verdict_sql({"sections": 256, "threshold": 40, "index": True}))
 def _(spark, d):
     e = w.Experiment(spark, d)
@@ -377,7 +385,7 @@ def shared_folder(spark: SparkSession) -> str:
     return f"{base.rstrip('/')}/tracedigest-{uuid.uuid4().hex}"
 
 
-@query("flow_fpr", o.sweep([{"sections": 256, "index": True}], "sections_ as sections").replace("sections_ as sections", "j as sections"))
+@query("flow_fpr", o.sweep([{"sections": 256, "index": True}], "sections_ as sections").replace("sections_ as sections", "ji as sections"))
 def _(spark, d):
     e = w.Experiment(spark, d)
     return e.fpr(w.grid(e.raw, [{"sections": 256, "index": True}])).select(F.lit(256).alias("sections"), "excerpts", "reported", "false_flows", "fpr")
@@ -406,18 +414,23 @@ def _(spark, d):
     return w.threshold_sweep(spark, d)
 
 
-@query("grid_fpr", o.sweep(w.GRID, "j as sections, t as threshold"))
+@query("best_threshold", o.sweep([{"threshold": t, "k": 2} for t in w.THRESHOLDS], "t as threshold").replace(o.RATE, o.RATE.split(", ", 3)[3]) + " order by fpr, threshold limit 1")
+def _(spark, d):
+    return w.best_threshold(spark, d)
+
+
+@query("grid_fpr", o.sweep(w.GRID, "ji as sections, t as threshold"))
 def _(spark, d):
     return w.grid_fpr(spark, d)
 
 
-@query("grid_cube", f"{o.SETUP}, {o.evaluation(w.GRID)} select j as sections, t as threshold, sum(reported - excerpts)::bigint as false_flows from rate join cfg using (config_id) group by cube (j, t)")
+@query("grid_cube", f"{o.SETUP}, {o.evaluation(w.GRID)} select ji as sections, t as threshold, sum(reported - excerpts)::bigint as false_flows from rate join cfg using (config_id) group by cube (ji, t)")
 def _(spark, d):
     """False flows by sections and threshold, with totals."""
     return w.grid_fpr(spark, d).cube("sections", "threshold").agg(F.sum("false_flows").alias("false_flows"))
 
 
-@query("grid_pivot", f"{o.SETUP}, {o.evaluation(w.GRID)} select j as sections, max(case when t = 0 then f end) as t0, max(case when t = 20 then f end) as t20, max(case when t = 40 then f end) as t40 from (select j, t, round((reported - excerpts) / (excerpts * (select flows from size_)), 6) as f from rate join cfg using (config_id)) group by j")
+@query("grid_pivot", f"{o.SETUP}, {o.evaluation(w.GRID)} select ji as sections, max(case when t = 0 then f end) as t0, max(case when t = 20 then f end) as t20, max(case when t = 40 then f end) as t40 from (select ji, t, round((reported - excerpts) / (excerpts * (select flows from size_)), 6) as f from rate join cfg using (config_id)) group by ji")
 def _(spark, d):
     return w.grid_fpr(spark, d).groupBy("sections").pivot("threshold", [0, 20, 40]).agg(F.max("fpr")).toDF("sections", "t0", "t20", "t40")
 

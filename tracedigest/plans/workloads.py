@@ -93,7 +93,7 @@ class Experiment:
         every = parts[0]
         for p in parts[1:]:
             every = every.unionByName(p)
-        out = {i: np.zeros((c.sections, -(-max(1, c.m_bits // c.sections) // 32)), np.uint32) for i, c in configs}
+        out = {i: np.zeros((c.filter_sections, -(-max(1, c.m_bits // c.filter_sections) // 32)), np.uint32) for i, c in configs}
         found = every.select("config_id", "section", "word_ix", "word").toPandas()
         for i, own in found.groupby("config_id"):
             out[i][own["section"], own["word_ix"]] = own["word"].astype(np.uint32)
@@ -129,6 +129,11 @@ def threshold_sweep(spark: SparkSession, sf_dir: str, k: int = 2) -> DataFrame:
     return e.fpr(configs).join(F.broadcast(names), "config_id").select("threshold", "excerpts", "reported", "false_flows", "fpr")
 
 
+def best_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """threshold, fpr at the least of the measured curve."""
+    return threshold_sweep(spark, sf_dir).select("threshold", "fpr").orderBy("fpr", "threshold").limit(1)
+
+
 GRID = [{"sections": j, "threshold": t, "index": True} for j in (64, 256, 1024) for t in (0, 20, 40)]
 
 
