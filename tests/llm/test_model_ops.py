@@ -256,6 +256,15 @@ def test_large_groups_of_near_copies_are_whole(spark):
     assert got == brute_classes(docs)
 
 
+def test_repeated_lines_do_not_hide_a_near_copy(spark):
+    rng = np.random.default_rng(11)
+    body = " ".join(f"u{i}" for i in rng.integers(0, 10**6, 120))
+    line = " ".join(f"r{i}" for i in range(9))
+    docs = [(1, f"{body} {line}"), (2, body + f" {line}" * 40), (3, body + f" {line}" * 3), (4, " ".join(f"o{i}" for i in range(150)))]
+    got = {r[0]: r["class_id"] for r in probminhash.dedup(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == brute_classes(docs) and got[3] == 1
+
+
 def test_signature_agreement_estimates_probability_jaccard():
     rng = np.random.default_rng(5)
     h = rng.integers(1, 2**63, 300).astype(np.uint64)
