@@ -9,6 +9,7 @@ from ..functions.hashing import POS, PRIME, STEP_A, STEP_B, STEP_C, STEP_D, STEP
 
 DOCS = "trace(flow_key, seq, hx, src, dst) as (select doc_id::varchar, 0::bigint, hex(encode(coalesce(text, ''))), source, lang from documents)"
 DOCS_SOURCE = "trace(flow_key, seq, hx, src, dst) as (select concat_ws('|', source, lang), doc_id, hex(encode(coalesce(text, ''))), source, lang from documents)"
+DOCS_SKEW = "trace(flow_key, seq, hx, src, dst) as (select case when doc_id % 16 = 0 then doc_id::varchar else concat_ws('|', source, lang) end, doc_id, hex(encode(coalesce(text, ''))), source, lang from documents)"
 PAGES = "trace(flow_key, seq, hx) as (select page_id::varchar, 0::bigint, hex(encode(coalesce(html, ''))) from pages)"
 CONVS = "trace(flow_key, seq, hx, proto) as (select conv_id::varchar, turn, hex(encode(coalesce(text, ''))), role from conversations)"
 LEDGER_ROWS = """rows_(s, c, ok, ln, y, rf, txt) as (select s_nationkey, c_nationkey, l_orderkey, l_linenumber, year(l_shipdate), l_returnflag,
@@ -104,11 +105,15 @@ rate as (select config_id, (select count(*) from excerpts) as excerpts, (select
 
 
 RATE = "excerpts, reported::bigint as reported, (reported - excerpts)::bigint as false_flows, round((reported - excerpts) / (excerpts * (select flows from size_)), 6) as fpr"
-SETUP = f"with {DOCS}, {SIZE}, {blocks()}, {UNIQUE}, {blocks('xt', 'xblk')}"
+def setup(packets: str = DOCS) -> str:
+    return f"with {packets}, {SIZE}, {blocks()}, {UNIQUE}, {blocks('xt', 'xblk')}"
 
 
-def sweep(entries: list[dict], columns: str) -> str:
-    return f"{SETUP}, {evaluation(entries)} select {columns}, {RATE} from rate join cfg using (config_id)"
+SETUP = setup()
+
+
+def sweep(entries: list[dict], columns: str, packets: str = DOCS) -> str:
+    return f"{setup(packets)}, {evaluation(entries)} select {columns}, {RATE} from rate join cfg using (config_id)"
 
 
 def words(keys: str = "") -> str:

@@ -424,6 +424,17 @@ def _(spark, d):
     return w.grid_fpr(spark, d)
 
 
+@query("threshold_sweep_skew", o.sweep([{"threshold": t, "k": 2} for t in w.THRESHOLDS], "t as threshold", o.DOCS_SKEW))
+def _(spark, d):
+    """The same on the trace of mice and elephants."""
+    return w.threshold_sweep(spark, d, packets=w.docs_trace(spark, d, by="skew"))
+
+
+@query("grid_fpr_skew", o.sweep(w.GRID, "ji as sections, t as threshold", o.DOCS_SKEW))
+def _(spark, d):
+    return w.grid_fpr(spark, d, w.docs_trace(spark, d, by="skew"))
+
+
 @query("grid_cube", f"{o.SETUP}, {o.evaluation(w.GRID)} select ji as sections, t as threshold, sum(reported - excerpts)::bigint as false_flows from rate join cfg using (config_id) group by cube (ji, t)")
 def _(spark, d):
     """False flows by sections and threshold, with totals."""
@@ -453,6 +464,17 @@ def _(spark, d):
     return w.matched_ratio(spark, d)
 
 
+@query("matched_ratio_docs")
+def _(spark, d):
+    """The same on small flows: a document each."""
+    return w.matched_ratio(spark, d, skewed=False)
+
+
+@query("index_stats_skew")
+def _(spark, d):
+    return w.index_stats(spark, d, w.docs_trace(spark, d, by="skew"))
+
+
 @query("cost_table", f"{DOCS_BLOCKS}, {o.SIZE}, x as (select raw::double as b, (select count(*) from blk)::double as n, (select round(count(*) / count(*) filter (size >= 40), 6) from blk) as d from size_) select 'boundary_selection' as measure, 2 * b as shingled_winnow, 4 * b as multi_winnow, b as fixed_multifilter, 2 * b as double_winnow, 2 * b as sectioned_indexed from x union all select 'blocks', n, 2 * n, n, 2 * n, n / d from x union all select 'block_processing', 1, 1, 1, 1, 3")
 def _(spark, d):
     return w.cost_table(spark, d)

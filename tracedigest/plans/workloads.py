@@ -121,9 +121,9 @@ class Experiment:
         return measures.flow_fpr(self.verdicts(configs), truth, self.excerpts, self.n_flows, ("config_id",))
 
 
-def threshold_sweep(spark: SparkSession, sf_dir: str, k: int = 2) -> DataFrame:
+def threshold_sweep(spark: SparkSession, sf_dir: str, k: int = 2, packets: DataFrame | None = None) -> DataFrame:
     """threshold, excerpts, reported, false_flows, fpr: downsampling alone."""
-    e = Experiment(spark, sf_dir)
+    e = Experiment(spark, sf_dir, packets)
     configs = grid(e.raw, [{"threshold": t, "k": k} for t in THRESHOLDS])
     names = spark.createDataFrame([(i, c.threshold) for i, c in configs], "config_id int, threshold int")
     return e.fpr(configs).join(F.broadcast(names), "config_id").select("threshold", "excerpts", "reported", "false_flows", "fpr")
@@ -137,9 +137,9 @@ def best_threshold(spark: SparkSession, sf_dir: str) -> DataFrame:
 GRID = [{"sections": j, "threshold": t, "index": True} for j in (64, 256, 1024) for t in (0, 20, 40)]
 
 
-def grid_fpr(spark: SparkSession, sf_dir: str) -> DataFrame:
+def grid_fpr(spark: SparkSession, sf_dir: str, packets: DataFrame | None = None) -> DataFrame:
     """sections, threshold, ...: index and downsampling together."""
-    e = Experiment(spark, sf_dir)
+    e = Experiment(spark, sf_dir, packets)
     configs = grid(e.raw, GRID)
     names = spark.createDataFrame([(i, c.sections, c.threshold) for i, c in configs], "config_id int, sections int, threshold int")
     return e.fpr(configs).join(F.broadcast(names), "config_id").select("sections", "threshold", "excerpts", "reported", "false_flows", "fpr")
