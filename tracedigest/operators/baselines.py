@@ -8,8 +8,10 @@ parameters: the text at hand does not define them.
 from __future__ import annotations
 
 import hashlib
+from collections.abc import Iterator
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -83,16 +85,64 @@ def packet_elements(trace: DataFrame) -> DataFrame:
     return trace.select("interval_id", "flow_key", F.col("payload").alias("block"))
 
 
-def raw_archive(trace: DataFrame, excerpts: DataFrame) -> DataFrame:
-    """Baseline 7: keep everything and scan it. excerpt_id, flow_key; exact, quadratic: for truth on small inputs."""
-    pairs = trace.select("flow_key", "payload").join(F.broadcast(excerpts.select("excerpt_id", "excerpt")), F.contains("payload", "excerpt"))
-    return pairs.select("excerpt_id", "flow_key").distinct()
-
-
-def exact_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overlap: int = 4) -> DataFrame:
-    """The same result for scale: an excerpt's largest block must be a block of every payload that contains it, so payloads
-    and excerpts meet by an equi-join on blocks, and only those pairs are scanned. Excerpts without a block go
-    to the scan."""
+#: Excerpt bytes that may be sent to every task at once.
+SENT_BYTES = 64 << 20
+
+
+def excerpt_bytes(excerpts: DataFrame) -> int:
+    return int(excerpts.agg(F.coalesce(F.sum(F.octet_length("excerpt") + 16), F.lit(0))).first()[0])
+
+
+def raw_archive(trace: DataFrame, excerpts: DataFrame, max_bytes: int = SENT_BYTES) -> DataFrame:
+    """Baseline 7: keep everything and scan it. excerpt_id, flow_key; exact, quadratic: for truth on small inputs. Excerpts
+    are sent to the payloads in parts of bounded size, a scan each."""
+    parts = max(1, -(-excerpt_bytes(excerpts) // max_bytes))
+    out = None
+    for p in range(parts):
+        part = excerpts.filter(F.pmod(F.xxhash64("excerpt_id"), F.lit(parts)) == p).select("excerpt_id", "excerpt")
+        found = trace.select("flow_key", "payload").join(F.broadcast(part), F.contains("payload", "excerpt")).select("excerpt_id", "flow_key")
+        out = found if out is None else out.unionByName(found)
+    return out.distinct()
+
+
+def exact_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overlap: int = 4, max_bytes: int = SENT_BYTES) -> DataFrame:
+    """The same result for scale: an excerpt's largest block must be a block of every payload that contains it, so only
+    payloads with that block are searched. Up to max_bytes of excerpts go to the payloads, in one row-local pass without
+    an exchange of payloads or blocks; more excerpts meet them by an equi-join on blocks. Excerpts without a block are looked for in
+    every payload."""
+    if excerpt_bytes(excerpts) > max_bytes:
+        return joined_search(trace, excerpts, window, overlap, max_bytes)
+    rows = [(r["excerpt_id"], bytes(r["excerpt"])) for r in excerpts.select("excerpt_id", "excerpt").filter("excerpt is not null").collect()]
+    row, _, _, size, blocks = blocking.winnow_batch([x for _, x in rows], window, overlap)
+    best: dict[int, tuple[int, bytes]] = {}
+    for r, n, b in zip(row.tolist(), size.tolist(), blocks, strict=True):
+        best[r] = max(best.get(r, (0, b"")), (n, b))
+    by_block: dict[bytes, list[tuple[int, bytes]]] = {}
+    for r, (_, b) in best.items():
+        by_block.setdefault(b, []).append(rows[r])
+    plain = [rows[r] for r in range(len(rows)) if r not in best]
+    held = trace.sparkSession.sparkContext.broadcast((by_block, plain))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        anchors, everywhere = held.value
+        for batch in batches:
+            payloads, flows = batch.column("payload").to_pylist(), batch.column("flow_key").to_pylist()
+            found = set()
+            owner, _, _, _, own = blocking.winnow_batch(payloads, window, overlap)
+            for r, b in zip(owner.tolist(), own, strict=True):
+                if b in anchors:
+                    found.update((i, flows[r]) for i, x in anchors[b] if x in payloads[r])
+            for r, payload in enumerate(payloads):
+                if payload is not None:
+                    found.update((i, flows[r]) for i, x in everywhere if x in payload)
+            found = sorted(found, key=str)
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in found], pa.int64()), pa.array([f for _, f in found], pa.string())], ["excerpt_id", "flow_key"])
+
+    return trace.select("flow_key", "payload").mapInArrow(kernel, "excerpt_id bigint, flow_key string").distinct()
+
+
+def joined_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overlap: int = 4, max_bytes: int = SENT_BYTES) -> DataFrame:
+    """Exact search for any number of excerpts."""
     own = excerpts.select(F.lit(0).alias("interval_id"), F.col("excerpt_id").cast("string").alias("flow_key"), F.lit(0).cast("bigint").alias("seq"), F.col("excerpt").alias("payload"))
     blocks = blocking.winnow_blocks(own, window, overlap)
     anchors = blocks.groupBy(F.col("flow_key").cast("bigint").alias("excerpt_id")).agg(F.max_by("block", F.struct("size", "block_no")).alias("block"))
@@ -101,4 +151,4 @@ def exact_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overla
     met = placed.join(anchors, "anchor").join(trace.select("interval_id", "flow_key", "seq", "payload"), ["interval_id", "flow_key", "seq"])
     found = met.filter(F.contains("payload", "excerpt")).select("excerpt_id", "flow_key")
     rest = excerpts.join(anchors.select("excerpt_id"), "excerpt_id", "left_anti")
-    return found.unionByName(raw_archive(trace, rest)).distinct()
+    return found.unionByName(raw_archive(trace, rest, max(1, max_bytes))).distinct()

@@ -65,9 +65,15 @@ def grid(raw: int, entries: list[dict]) -> list[tuple[int, DigestConfig]]:
 
 
 class Experiment:
-    """A trace, its blocks (kept), and unique excerpts (kept); made once for all configurations."""
+    """A trace, its blocks (kept), and unique excerpts (kept); made once for all configurations. A new experiment lets the last
+    one's kept rows go; plans that still use them compute them again."""
+
+    last: Experiment | None = None
 
     def __init__(self, spark: SparkSession, sf_dir: str, packets: DataFrame | None = None, count: int = EXCERPTS):
+        if Experiment.last is not None and Experiment.last.spark is spark:
+            Experiment.last.close()
+        Experiment.last = self
         self.spark = spark
         self.packets = docs_trace(spark, sf_dir) if packets is None else packets
         self.raw = raw_bytes(self.packets)

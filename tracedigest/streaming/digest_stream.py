@@ -122,6 +122,8 @@ class Reassembler(StatefulProcessor):
         pass
 
 
+#: Blocks of a watch list that are sent to every task.
+WATCHED = 1_000_000
 BLOCKS = "flow_key string, start bigint, size bigint, block binary"
 
 
@@ -133,10 +135,10 @@ def reassembled_blocks(trace: DataFrame, window: int = 64, overlap: int = 4) ->
 
 def watch(trace: DataFrame, excerpt_blocks: DataFrame, config: DigestConfig) -> DataFrame:
     """excerpt_id, flow_key, ts, block_no of blocks on a watch list (excerpt_id, block_no, block) as they pass by: a
-    stream-static join; the list is small."""
+    stream-static join. Lists of up to WATCHED blocks are broadcast."""
     listed = excerpt_blocks.select("excerpt_id", "block_no", block_digest(F.col("block"), config.salt).alias("digest"))
     seen = block_stream(trace, config).withColumn("digest", block_digest(F.col("block"), config.salt))
-    return seen.join(F.broadcast(listed), "digest").select("excerpt_id", "flow_key", "ts", "block_no")
+    return seen.join(F.broadcast(listed) if listed.count() <= WATCHED else listed, "digest").select("excerpt_id", "flow_key", "ts", "block_no")
 
 
 def read_events(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
