@@ -1,6 +1,7 @@
 """Near-duplicate classes by ProbMinHash signatures, banding and verification.
 
-A document's weighted set is its `shingle`-word shingles with their counts (words: ASCII lower case, split at ASCII white
+A document's weighted set is its `shingle`-word shingles, weighted 1 + ln(count), so that a line repeated a few times more moves the
+similarity little, as it doesn't move the verified one (words: ASCII lower case, split at ASCII white
 space; fewer words than a shingle make one shingle). Each shingle is a Poisson process with its weight as rate; its
 arrivals fall on random registers, a register keeps its earliest arrival, and a shingle stops as soon as its next arrival
 is later than every register's: two documents agree in a register with the probability Jaccard similarity.
@@ -76,13 +77,13 @@ def shingle_hashes(own: list[list[bytes]], memo: Memo, k: int = SHINGLE) -> tupl
 
 
 def weighted(h: np.ndarray, doc: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Different shingles of each document with their counts."""
+    """Different shingles of each document with their weights, 1 + ln(count)."""
     order = np.lexsort((h, doc))
     h, doc = h[order], doc[order]
     new = np.ones(len(h), bool)
     new[1:] = (h[1:] != h[:-1]) | (doc[1:] != doc[:-1])
     at = np.flatnonzero(new)
-    return h[at], doc[at], np.diff(np.append(at, len(h)))
+    return h[at], doc[at], 1.0 + np.log(np.diff(np.append(at, len(h))))
 
 
 def signatures(h: np.ndarray, doc: np.ndarray, weight: np.ndarray, docs: int, registers: int) -> np.ndarray:
