@@ -33,7 +33,7 @@ from .common import pieces, row_tag, shuffle_width
 WINDOW = 13
 CELL_BITS, BLOCK_BITS = 27, 20
 #: Text bytes within which repeats are settled without an exchange.
-SETTLE_BYTES = 16 << 20
+SETTLE_BYTES = 8 << 20
 LOW = (1 << BLOCK_BITS) - 1
 A, B, C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
@@ -42,7 +42,7 @@ class Memo(dict):
     """64 bits of each word's bytes; forgets all when large."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 400_000:
+        if len(self) > 250_000:
             self.clear()
         out = self[word] = xxhash.xxh3_64_intdigest(word)
         return out
