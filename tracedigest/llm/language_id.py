@@ -213,7 +213,9 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
     labels, _ = model
     held = docs.sparkSession.sparkContext.broadcast(model[1])
     words = vocabulary(name)
-    own = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)])
+    # a kept text crosses to Python once
+    source = f"k{keep.index(text_col)}" if text_col in keep else "text"
+    own = docs.select(F.col(id_col).alias("doc_id"), *[F.col(text_col).alias("text")] * (source == "text"), *[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)])
     from pyspark.sql import types as T
 
     schema = T.StructType([f for f in own.schema if f.name != "text"] + [T.StructField("lang_pred", T.StringType()), T.StructField("score", T.DoubleType())])
@@ -222,10 +224,10 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lattice, p = Lattice(words), held.value
         for batch in batches:
-            for part in pieces(batch, limit=12 << 20):
+            for part in pieces(batch, source, limit=12 << 20):
                 seen: dict[str, int] = {}
                 which = []
-                for text in part.column("text").to_pylist():
+                for text in part.column(source).to_pylist():
                     which.append(np.array([seen.setdefault(w, len(seen)) for w in stretches(text)], np.int64) if labels and has_letter(text) else None)
                 scores = log_scores(lattice, list(seen), p)
                 lang, score = [], []
