@@ -265,6 +265,16 @@ def test_repeated_lines_do_not_hide_a_near_copy(spark):
     assert got == brute_classes(docs) and got[3] == 1
 
 
+def test_a_line_repeated_in_one_text_only_hides_no_near_copy(spark):
+    rng = np.random.default_rng(31)
+    docs = []
+    for i in range(60):
+        body, line = ([f"w{x}" for x in rng.integers(0, 100_000, n)] for n in (60, 16))
+        docs += [(2 * i, " ".join(body + line)), (2 * i + 1, " ".join(body + line * 40))]
+    got = {r[0]: r["class_id"] for r in probminhash.dedup(spark.createDataFrame(docs, "doc_id long, text string")).collect()}
+    assert got == {d: d - d % 2 for d, _ in docs}
+
+
 def test_signature_agreement_estimates_probability_jaccard():
     rng = np.random.default_rng(5)
     h = rng.integers(1, 2**63, 300).astype(np.uint64)

@@ -6,10 +6,11 @@ space; fewer words than a shingle make one shingle). Each shingle is a Poisson p
 arrivals fall on random registers, a register keeps its earliest arrival, and a shingle stops as soon as its next arrival
 is later than every register's: two documents agree in a register with the probability Jaccard similarity.
 
-1. Signatures of `bands`·`rows` registers and band hashes, row-local. Rows with one word sequence are one exact class, and from
-   here on one member.
+1. Signatures of `bands`·`rows` registers and band hashes, row-local: of the weighted set, and of the same shingles with unit
+   weights, whose similarity is the verified one however often a line is repeated. Without repeated shingles both are the same
+   bands. Rows with one word sequence are one exact class, and from here on one member.
 2. In each band bucket every member is paired with one leader (a star, never all pairs): the one that meets most others in its
-   buckets, as the original of many copies does. Pairs whose signatures agree too
+   buckets, as the original of many copies does. Pairs whose unit-weight signatures agree too
    little for the threshold (five standard deviations) are dropped; the others are verified by the exact Jaccard similarity
    of their shingle sets, from their whole texts. Verified pairs are links, links make components.
 3. Stars can miss a link between members of a bucket that both miss the leader. So in each bucket that still holds several
@@ -119,9 +120,24 @@ def band_hashes(who: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return mix(out + np.arange(1, bands + 1, dtype=np.uint64) * K2)
 
 
+def all_bands(h: np.ndarray, doc: np.ndarray, docs: int, bands: int, rows: int) -> tuple[np.ndarray, list[np.ndarray]]:
+    """Unit-weight signatures, and each document's band hashes: `bands` of them, or twice as many (unit weights, then weighted) where
+    a shingle is repeated."""
+    h, doc, weight = weighted(h, doc)
+    unit = signatures(h, doc, np.ones(len(h)), docs, bands * rows)
+    keys = list(band_hashes(unit, bands, rows).view(np.int64))
+    again = np.unique(doc[weight > 1.0])
+    if len(again):
+        some = np.isin(doc, again)
+        more = signatures(h[some], np.searchsorted(again, doc[some]), weight[some], len(again), bands * rows)
+        for i, own in zip(again.tolist(), band_hashes(more, bands, rows).view(np.int64), strict=True):
+            keys[i] = np.concatenate([keys[i], own])
+    return unit, keys
+
+
 def signed(docs: DataFrame, bands: int, rows: int) -> DataFrame:
-    """doc_id, s1, s2 (hash of the word sequence; null without words), sig (a byte per register), keys (band hashes) of every row of
-    (doc_id, text). Row-local."""
+    """doc_id, s1, s2 (hash of the word sequence; null without words), sig (a byte per register, unit weights), keys (band hashes) of
+    every row of (doc_id, text). Row-local."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         memo = Memo()
@@ -129,9 +145,8 @@ def signed(docs: DataFrame, bands: int, rows: int) -> DataFrame:
             for part in pieces(batch):
                 own = [words(t) for t in part.column("text").to_pylist()]
                 same = [xxhash.xxh3_128_digest(b" ".join(w)) if w else None for w in own]
-                who = signatures(*weighted(*shingle_hashes(own, memo)), len(own), bands * rows)
+                who, keys = all_bands(*shingle_hashes(own, memo), len(own), bands, rows)
                 sig = (who >> np.uint64(24)).astype(np.uint8)
-                keys = band_hashes(who, bands, rows).view(np.int64)
                 s1, s2 = ([x and int.from_bytes(x[i : i + 8], "little", signed=True) for x in same] for i in (0, 8))
                 some = [w is not None for w in same]
                 yield pa.RecordBatch.from_arrays(
@@ -212,7 +227,7 @@ def dedup(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, row
     # an id may stand for several texts: the class's number is its word sequence's hash
     sigs = materialize(sigs.select(F.col("s1").alias("rep"), "sig", "keys"), "representatives")
 
-    band = sigs.select("rep", F.explode("keys").alias("key"))
+    band = sigs.select("rep", F.explode(F.array_distinct("keys")).alias("key"))
     sizes = band.groupBy("key").agg(F.count("*").alias("n")).filter("n > 1")
     shared = materialize(band.join(sizes, "key").select("key", "rep", "n"), "shared-bands")
     known = shared.groupBy("rep").agg(F.sum("n").alias("known"))
@@ -290,7 +305,9 @@ def crossing(buckets: DataFrame, sigs: DataFrame, texts: DataFrame, labels: Data
         key, stray = table.column("key")[0].as_py(), np.asarray(table.column("stray"))
         rep, root = (np.asarray(table.column(c)) for c in ("rep", "root"))
         sig = np.frombuffer(b"".join(table.column("sig").to_pylist()), np.uint8).reshape(-1, registers)
-        keys = table.column("keys").combine_chunks().flatten().to_numpy().reshape(len(rep), -1)
+        keys = table.column("keys").to_pylist()
+        widest = max(map(len, keys))
+        keys = np.array([k * (widest // len(k)) for k in keys], np.int64)  # without repeats, weighted bands are those of unit weights
         memo, texts = Memo(), table.column("text")
         members, sets = np.flatnonzero(~stray), {}
 
@@ -303,7 +320,8 @@ def crossing(buckets: DataFrame, sigs: DataFrame, texts: DataFrame, labels: Data
         for i in np.flatnonzero(stray).tolist():
             near = members[((sig[members] == sig[i]).sum(axis=1) >= least) & (root[members] != root[i])]
             same = keys[near] == keys[i]
-            near = near[keys[near, same.argmax(axis=1)] == key] if len(near) else near
+            # a pair may also meet by a weighted band of one and a unit band of the other
+            near = near[(keys[near, same.argmax(axis=1)] == key) | ~same.any(axis=1)] if len(near) else near
             if not len(near):
                 continue
             x, each = of(i), [of(j) for j in near.tolist()]
