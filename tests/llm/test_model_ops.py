@@ -129,6 +129,22 @@ def brute_base(text):
     return tuple(sum(k == i for _, k, _ in found) for i in range(3)), shown
 
 
+def test_repeated_rows_take_no_neighbours_place(spark):
+    rng = np.random.default_rng(3)
+    x = rng.normal(size=(300, 8))
+    x[1] = x[2]
+    schema = "vec_id long, embedding array<double>"
+    once = [(i, v.tolist()) for i, v in enumerate(x)]
+    ask = lambda rows, shard: sorted(tuple(r) for r in vamana.nearest(spark.createDataFrame(rows, schema), shard_nodes=shard).collect())
+    want = ask(once, 1000)
+    assert len(want) == 30
+    assert ask(once * 2 + [once[1]] * 20, 1000) == want
+    # an id with many near vectors is one neighbour
+    many = once + [(299, (x[0] + 1e-3 * i).tolist()) for i in range(1, 30)]
+    got = [r for r in ask(many, 1000) if r[0] == 0]
+    assert len(got) == 10 and got[0][2] == 299 and len({r[2] for r in got}) == 10
+
+
 def test_secret_scan_equals_brute_force(spark):
     for sf in (SF, "/root/testdata/sf0.01"):
         texts = {r[0]: r[1] for r in rows("documents", sf)}

@@ -1,7 +1,7 @@
 """Approximate nearest neighbours on robust-pruned directed graphs.
 
 Equal vectors are one node, which keeps its smallest ids (one more than the answers asked for: no other id of that vector can be
-an answer). Nodes are dealt into shards of bounded size by vector hash. Each shard's graph is grown in batches: greedy
+an answer; repeated rows count once). Nodes are dealt into shards of bounded size by vector hash. Each shard's graph is grown in batches: greedy
 searches from the medoid propose neighbours, relaxed distance pruning keeps the diverse ones (a candidate goes if a
 kept neighbour is nearer to it by the factor `alpha` than the node itself), reverse edges are added and pruned
 alike. A second pass uses the relaxed factor. Queries, in blocks, search every shard by beam; distances of what a
@@ -140,13 +140,13 @@ def distinct_vectors(own: DataFrame, dim: int, keep: int, shards: int) -> DataFr
 
     def local(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            held: dict[bytes, list[int]] = {}
+            held: dict[bytes, set[int]] = {}
             values = batch.column("v").flatten().to_numpy(zero_copy_only=False).reshape(-1, dim) if batch.num_rows else np.zeros((0, dim))
             for i, v in zip(batch.column("vec_id").to_pylist(), values, strict=True):
-                held.setdefault(v.tobytes(), []).append(i)
+                held.setdefault(v.tobytes(), set()).add(i)
             yield pa.RecordBatch.from_arrays([pa.array(list(held), pa.binary()), pa.array([sorted(x)[:keep] for x in held.values()], pa.list_(pa.int64()))], ["vector", "ids"])
 
-    merge = F.slice(F.array_sort(F.flatten(F.collect_list("ids"))), 1, keep)
+    merge = F.slice(F.array_sort(F.array_distinct(F.flatten(F.collect_list("ids")))), 1, keep)
     rows = own.mapInArrow(local, "vector binary, ids array<bigint>")
     salted = rows.groupBy("vector", F.pmod(F.element_at("ids", 1), F.lit(64)).alias("salt")).agg(merge.alias("ids"))
     return salted.groupBy("vector").agg(merge.alias("ids")).withColumn("shard", F.pmod(F.xxhash64("vector"), F.lit(shards)).cast("int"))
@@ -188,7 +188,12 @@ def search(shards: DataFrame, queries: DataFrame, dim: int, k: int, degree: int,
                 for i, near in enumerate(found):
                     near = near[near >= 0]
                     d = np.sqrt(((x[near] - q[i]) ** 2).sum(1))
-                    own = sorted((float(s), v) for s, node in zip(d, near.tolist(), strict=True) for v in one["ids"][node] if v != one["q"][i]["vec_id"])[:k]
+                    best: dict[int, float] = {}  # an id may have several vectors
+                    for s, node in zip(d.tolist(), near.tolist(), strict=True):
+                        for v in one["ids"][node]:
+                            if v != one["q"][i]["vec_id"]:
+                                best[v] = min(s, best.get(v, s))
+                    own = sorted((s, v) for v, s in best.items())[:k]
                     query += [one["q"][i]["vec_id"]] * len(own)
                     vec += [v for _, v in own]
                     score += [s for s, _ in own]
@@ -208,4 +213,4 @@ def nearest(rows: DataFrame, k: int = 10, query_step: int = 100, shard_nodes: in
     shards = materialize(index(distinct_vectors(own, dim, k + 1, n_shards), dim, degree, beam, alpha), "graph-shards")
     found = search(shards, own.filter(F.col("vec_id") % query_step == 0), dim, k, degree, beam, n_shards)
     best = Window.partitionBy("query_id").orderBy("score", "vec_id")
-    return found.dropDuplicates(["query_id", "vec_id"]).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    return found.groupBy("query_id", "vec_id").agg(F.min("score").alias("score")).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
