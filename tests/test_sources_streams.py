@@ -5,6 +5,7 @@ import sys
 from pathlib import Path
 
 import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
 from tracedigest.operators import blocking, trace
@@ -88,6 +89,37 @@ def test_reassembly_in_state_equals_whole_flows(spark, tmp_path):
         assert got[k] <= want and len(want - got[k]) <= 4  # the last bytes wait for more
 
 
+class Held:
+    raw = None
+
+    def getValueState(self, *_):  # noqa: N802
+        return self
+
+    def exists(self):
+        return self.raw is not None
+
+    def get(self):
+        return self.raw
+
+    def update(self, raw):
+        self.raw = raw
+
+
+def test_reassembly_has_every_block_of_the_bytes_so_far():
+    rng = np.random.default_rng(10)
+    for alphabet in (26, 2, 1):
+        for _ in range(40):
+            own = [rng.integers(97, 97 + alphabet, int(n)).astype(np.uint8).tobytes() for n in rng.integers(0, 200, int(rng.integers(1, 30)))]
+            state, got = ds.Reassembler(), []
+            state.init(Held())
+            for at in range(0, len(own), 3):
+                batch = pd.DataFrame({"seq": range(at, at + len(own[at : at + 3])), "payload": own[at : at + 3]})
+                for out in state.handleInputRows(("f",), iter([batch]), None):
+                    got += zip(out["start"].tolist(), out["block"].tolist(), strict=True)
+                _, _, start, _, blocks = blocking.winnow_batch([b"".join(own[: at + 3])])
+                assert got == list(zip(start.tolist(), blocks, strict=True))
+
+
 def test_watch_list(spark, tmp_path):
     packets = trace.from_conversations(spark.read.parquet(f"{SF}/conversations.parquet")).withColumn("ts", F.lit("2024-01-01").cast("timestamp"))
     packets.write.parquet(f"{tmp_path}/in")

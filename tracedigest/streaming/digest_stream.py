@@ -93,7 +93,8 @@ def run_each(stream: DataFrame, checkpoint: str, sink: Callable[[DataFrame, int]
 
 class Reassembler(StatefulProcessor):
     """Blocks across a flow's packets with bounded state: only the bytes after the last certain boundary are held, and a window
-    before it. Emits flow_key, start, size, block as soon as they are certain."""
+    before it. Emits flow_key, start, size, block as soon as they are certain: at any time all blocks that the bytes so far have,
+    so a flow's end needs no mark or timer."""
 
     def __init__(self, window: int = 64, overlap: int = 4):
         self.window, self.width = window, overlap + 1
@@ -107,9 +108,9 @@ class Reassembler(StatefulProcessor):
         data = tail + b"".join(bytes(p) for p in batch["payload"])
         found = blocking.payload_bounds(data, self.window, self.width)
         out, last = [], None
-        certain = len(data) - (self.window + self.width - 1)  # windows up to here are complete
+        # bounds come from complete windows only, and no later window picks a place before the last one: all of these are certain
         for a, b in zip(found[:-1].tolist(), found[1:].tolist(), strict=True):
-            if base + a > done and b <= certain and not (base and a < self.window):
+            if base + a > done and not (base and a < self.window):
                 out.append((key[0], base + a, b - a + self.width, data[a : b + self.width]))
                 last = a
         if last is not None:
