@@ -82,7 +82,7 @@ def test_merge_of_halves_is_the_digest_of_all(exp):
     half = F.pmod(F.xxhash64("flow_key"), F.lit(2))
     both = dg.merge(*(dg.build(exp.packets.filter(half == i), c) for i in (0, 1)))
     whole = dg.build(exp.packets.repartition(7), c)
-    rows = lambda df: sorted((tuple(map(str, (r[0], r[1], bytes(r[2]).hex()))) for r in df.collect()))
+    rows = lambda df: sorted((*map(str, r[:-1]), bytes(r[-1]).hex()) for r in df.collect())
     assert rows(both.sections) == rows(whole.sections) and rows(both.flowbits) == rows(whole.flowbits)
     with pytest.raises(ValueError):
         dg.merge(whole, dg.build(exp.packets, DigestConfig(m_bits=4096)))
@@ -115,6 +115,94 @@ def test_on_empty_and_wildcard(exp, spark):
     assert attribution.attribute(exp.excerpts, digest, between=(3, 9)).count() == 0
 
 
+def test_every_path_of_attribution_gives_the_same(exp, spark):
+    """Row-local or by joins, compressed or not, under any hash family; parts and ids of any size or type."""
+    truth = {(r["excerpt_id"], r["true_flow"]) for r in exp.excerpts.collect()}
+    for how in ({"sections": 64, "threshold": 20, "index": True}, {"k": 2}, {"sections": 64, "index": True, "hash_family": "vector", "k": 2}, {"sections": 32, "index": True, "hash_family": "fast", "feature": "hash", "salt": "x"}):
+        digest = dg.build(exp.packets, DigestConfig(**how).sized(exp.raw))
+        got = pairs(attribution.attribute(exp.excerpts, digest))
+        assert truth <= got == pairs(attribution.attribute(exp.excerpts, digest, rows_bound=5))
+        digest.close()
+
+
+def test_a_large_filter_travels_as_places(exp, monkeypatch):
+    """A filter too large to hold, in many chunks, has the bits that a small task's array would have."""
+    rows = lambda d: {(r[0], r[1], r[2], bytes(r[3])) for r in d.sections.collect()}
+    c = DigestConfig(sections=8, m_bits=3_000_000, k=2)
+    want = rows(dg.build(exp.packets, c))
+    assert len({r[2] for r in want}) > 8
+    parts = dg._partials(exp.packets, c).filter("octet_length(bits) < whole").count()
+    assert not parts
+    real = dg._Filter.__init__
+
+    def sparse(self, layout):
+        real(self, layout)
+        self.dense = None
+
+    monkeypatch.setattr(dg._Filter, "__init__", sparse)
+    filters = dg._Filter(dg.Layout.of(c))
+    filters.add(np.array([1, 7, 7, 7]), np.array([5, 0, 374_999, 32_768]))
+    held = {(s, k): b for s, k, b in filters.rows()}
+    assert held == {(1, 0): b"\x05\x00", (7, 0): b"\x00\x00", (7, 11): np.array([374_999 % 32_768], "<u2").tobytes(), (7, 1): b"\x00\x00"}
+
+
+def test_only_tables_with_hits_are_opened(spark, tmp_path):
+    packets = w.docs_trace(spark, SF, interval_docs=20)
+    digest = dg.build(packets, DigestConfig(sections=64, reduction=4, index=True))
+    path = str(tmp_path / "d")
+    digest.save(path, codec="lzma2")
+    row = w.unique_excerpts(spark, SF).orderBy("excerpt_id").limit(1).persist()
+    opened = spark.sparkContext.accumulator(0)
+    kept = dg.load(spark, path)
+    got = attribution.attribute(row, kept, opened=opened).collect()
+    assert (row.first()["true_flow"]) in {r["flow_key"] for r in got}
+    assert 1 <= opened.value <= 3 < kept.flows.select("interval_id").distinct().count()
+    assert attribution.attribute(row, kept, between=(5, 9)).count() == sum(5 <= r["interval_id"] <= 9 for r in got)
+
+
+def test_pruned_flows_are_not_hashed(exp, monkeypatch):
+    """Flow-bound digests are taken of pairs that the index leaves, the largest block first."""
+    from tracedigest.functions import hashing
+
+    taken = exp.packets.sparkSession.sparkContext.accumulator(0)
+    real = hashing.Hashed.bound
+
+    def counting(self, which, flow_key):
+        taken.add(len(which))
+        return real(self, which, flow_key)
+
+    c = DigestConfig(sections=1024, index=True).sized(exp.raw)
+    digest = dg.build(exp.packets, c)
+    monkeypatch.setattr(hashing.Hashed, "bound", counting)
+    got = attribution.attribute(exp.excerpts, digest).count()
+    blocks = attribution.excerpt_blocks(exp.excerpts, c).count()
+    assert 0 < taken.value < 0.05 * blocks * exp.n_flows and got >= exp.excerpts.count()
+
+
+def test_wildcards_of_any_part_number_and_a_flow_in_pieces(exp, spark):
+    row = exp.excerpts.first()
+    text = bytes(row["excerpt"])
+    digest = dg.build(exp.packets, DigestConfig(sections=64, index=True).sized(exp.raw))
+    for numbers in ((0, 1), (0, 1500), (2**31 - 1, 7)):
+        parts = spark.createDataFrame([(5, numbers[0], text[:132]), (5, numbers[1], text[60:])], "excerpt_id long, part int, excerpt binary")
+        assert row["true_flow"] in {r["flow_key"] for r in attribution.wildcard(parts, digest).collect()}
+
+
+def test_fragments_beyond_any_number_and_pieces_of_flows(spark):
+    rng = np.random.default_rng(3)
+    raw = rng.integers(97, 123, 70_000 * 2).astype(np.uint8).tobytes()
+    packets = spark.createDataFrame([(0, None, "f", "a", "b", "t", 0, raw), (0, None, "f", "a", "b", "t", 1, b"end" * 50), (0, None, "g", "a", "b", "t", 0, None)], "interval_id int, ts timestamp, flow_key string, src string, dst string, proto string, seq long, payload binary")
+    cut = trace.fragment(packets, 2)
+    assert cut.agg(F.max("frag")).first()[0] == 69_999
+    whole = {r["flow_key"]: bytes(r["payload"]) for r in trace.reassemble(cut).collect()}
+    assert whole == {"f": raw + b"end" * 50, "g": b""}
+    with pytest.raises(Exception, match="use flow_pieces"):
+        trace.reassemble(cut, max_bytes=1000).collect()
+    want = {bytes(r["block"]) for r in blocking.winnow_blocks(trace.reassemble(cut)).collect()}
+    pieces = trace.flow_pieces(cut, 544, piece=5_000)
+    assert pieces.count() > 20 and {bytes(r["block"]) for r in blocking.winnow_blocks(pieces).collect()} == want
+
+
 def test_intervals_are_separate(spark):
     packets = w.docs_trace(spark, SF, interval_docs=50)
     digest = dg.build(packets, DigestConfig(sections=64, reduction=20, index=True))
@@ -210,10 +298,14 @@ def test_sql_surface(exp, spark):
 
 
 def test_assigning_intervals_by_bytes(spark):
-    packets = w.docs_trace(spark, SF).withColumn("ts", F.lit("2024-01-01").cast("timestamp"))
-    out = trace.assign_interval(packets, target_bytes=20_000, buckets=4)
+    minute = F.timestamp_seconds(F.lit(1704067200) + F.col("flow_key").cast("long") * 60)
+    packets = w.docs_trace(spark, SF).withColumn("ts", minute)
+    out = trace.assign_interval(packets, target_bytes=20_000)
     sizes = [r["b"] for r in out.groupBy("interval_id").agg(F.sum(F.octet_length("payload")).alias("b")).collect()]
     assert sum(sizes) == dg.raw_bytes(packets) and max(sizes) < 20_000 + 40_000
+    # an interval is a stretch of time
+    spans = sorted((r["a"], r["b"]) for r in out.groupBy("interval_id").agg(F.min("ts").alias("a"), F.max("ts").alias("b")).collect())
+    assert len(spans) > 10 and all(x[1] < y[0] for x, y in zip(spans, spans[1:], strict=False))
     assert trace.assign_interval(packets, seconds=86_400).select("interval_id").distinct().count() == 1
 
 

@@ -1,11 +1,16 @@
 """Attribution: in which intervals does an excerpt appear, and which flows carried it.
 
-Rows of an excerpt's blocks meet filter words by equi-join; verdicts are conjunctions. An excerpt without a kept block can't be
-tested and is present everywhere (or flagged): no true carrier is ever missed.
+Verdicts are conjunctions over an excerpt's blocks. An excerpt without a kept block can't be tested and is present everywhere (or
+flagged): no true carrier is ever missed. `attribute` goes from the cheap to the dear and reads only what is still in question:
 
-Two physical forms. Word join (`appearance`, `determine`): everything is a DataFrame, any number of excerpts and intervals.
-Packed (`evaluate`): excerpt blocks and filters of a few configurations travel to the flows, each flow-bound digest is
-computed once for all configurations; for one interval and bounded filters, as in the experiments.
+1. appearance: content places meet the packed chunks that hold them by equi-join, and the bits are tested as they are;
+2. only intervals with hits are read on, and only their tables are opened;
+3. bitmaps rule flows out, on packed bytes, before any flow-bound digest is taken;
+4. the largest block of each (flow, excerpt) left is bound to the flow and probed, the others only for the survivors.
+
+Up to ROWS_BOUND hits and PACKED_BOUND bytes of excerpts and of filters with hits, steps 3 and 4 are one row-local pass over
+the flows. Beyond, the places of survivors meet chunks by equi-join too, so any number of excerpts and intervals will do.
+`appearance` and `determine` say the same on word rows. `evaluate` is the row-local pass for many configurations at once.
 """
 
 from __future__ import annotations
@@ -14,22 +19,29 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark import StorageLevel
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.hashing import block_digest, digests, flow_digest, flow_suffix, md5_parts, section_of
+from ..functions.hashing import Hashed, block_digest, flow_digest, section_of
 from . import bitindex, blocking, membership
-from .digest import Digest, DigestConfig
+from .digest import CHUNK_BITS, CHUNK_BYTES, Digest, DigestConfig, Layout
+
+#: Bytes of filters and of excerpts that the row-local pass may send to every task.
+PACKED_BOUND = 64 << 20
+#: Hits (excerpt, interval) that it may send.
+ROWS_BOUND = 200_000
+
 
-#: Bytes of filters and excerpt blocks that the packed form may send to every task.
-PACKED_BOUND = 256 << 20
+def id_type(excerpts: DataFrame) -> str:
+    return excerpts.schema["excerpt_id"].dataType.simpleString()
 
 
 def excerpt_blocks(excerpts: DataFrame, config: DigestConfig) -> DataFrame:
     """excerpt_id, block_no, size, block, under the digest's own window, overlap and threshold."""
     rows = excerpts.select(F.lit(0).alias("interval_id"), F.col("excerpt_id").cast("string").alias("flow_key"), F.lit(0).cast("bigint").alias("seq"), F.col("excerpt").alias("payload"))
     out = blocking.winnow_blocks(rows, config.window, config.overlap, config.threshold, config.keep_equal)
-    return out.select(F.col("flow_key").cast("bigint").alias("excerpt_id"), "block_no", "size", "block")
+    return out.select(F.col("flow_key").cast(id_type(excerpts)).alias("excerpt_id"), "block_no", "size", "block")
 
 
 def appearance(blocks: DataFrame, excerpts: DataFrame, words: DataFrame, intervals: DataFrame, config: DigestConfig) -> tuple[DataFrame, DataFrame]:
@@ -47,8 +59,6 @@ def appearance(blocks: DataFrame, excerpts: DataFrame, words: DataFrame, interva
 def determine(candidates: DataFrame, blocks: DataFrame, words: DataFrame, config: DigestConfig, first_only: bool = True) -> DataFrame:
     """Candidates (excerpt_id, interval_id, flow_key) whose flow-bound blocks are all present. Two rounds: the largest
     block of each excerpt first, the others for the survivors."""
-    from pyspark.sql import Window
-
     order = F.row_number().over(Window.partitionBy("excerpt_id").orderBy(F.desc("size"), "block_no"))
     ranked = blocks.withColumn("turn", order)
 
@@ -71,35 +81,77 @@ def all_flows(present: DataFrame, flows: DataFrame) -> DataFrame:
 
 
 def words_of_sections(digest: Digest) -> DataFrame:
-    """Word rows of a packed digest."""
-    n = -(-max(1, digest.config.m_bits // digest.config.filter_sections) // 32)
+    """Word rows of a packed digest, for SQL and for checks; attribution does not need them."""
     hx = F.hex(F.col("bits"))
-    four = digest.sections.select("interval_id", "section", hx.alias("hx"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("word_ix"))
-    at = lambda i: F.expr(f"substring(hx, word_ix * 8 + {i}, 2)")
+    four = digest.sections.select("interval_id", "section", "chunk", hx.alias("hx"), F.explode(F.expr("sequence(0, cast(octet_length(bits) div 4 as int) - 1)")).alias("i"))
+    at = lambda i: F.expr(f"substring(hx, i * 8 + {i}, 2)")
     word = F.conv(F.concat(at(7), at(5), at(3), at(1)), 16, 10).cast("bigint")
-    return four.select("interval_id", "section", F.col("word_ix").cast("int"), word.alias("word")).filter("word <> 0")
+    return four.select("interval_id", "section", (F.col("chunk") * (CHUNK_BYTES // 4) + F.col("i")).cast("int").alias("word_ix"), word.alias("word")).filter("word <> 0")
+
+
+def _placed(layout: Layout, k: int, parts) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Section, chunk and bit in it of k places each, hash by hash."""
+    found = list(layout.places(parts, k))
+    section, pos = np.concatenate([x for x, _ in found]), np.concatenate([x for _, x in found])
+    return section.astype(np.int32), (pos // CHUNK_BITS).astype(np.int32), (pos % CHUNK_BITS).astype(np.int32)
+
+
+def content_places(blocks: DataFrame, config: DigestConfig) -> DataFrame:
+    """excerpt_id, block_no, feature, section, chunk, bit: the k places of each content block."""
+    layout, k = Layout.of(config), config.k
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            parts = Hashed(batch.column("block").to_pylist(), config.hash_family, config.salt).content()
+            at = pa.array(np.tile(np.arange(batch.num_rows), k))
+            feature = np.tile(parts[0] % config.sections, k).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([batch.column("excerpt_id").take(at), batch.column("block_no").take(at), pa.array(feature), *map(pa.array, _placed(layout, k, parts))], ["excerpt_id", "block_no", "feature", "section", "chunk", "bit"])
+
+    return blocks.select("excerpt_id", "block_no", "block").mapInArrow(kernel, f"excerpt_id {id_type(blocks)}, block_no int, feature int, section int, chunk int, bit int")
+
+
+def bit_set(bits: str = "bits", bit: str = "bit"):
+    """Whether a place of packed bits is one; one byte of the row is looked at."""
+    byte = f"conv(hex(substring({bits}, {bit} div 8 + 1, 1)), 16, 10)"
+    return F.expr(f"(shiftright(cast({byte} as int), cast({bit} % 8 as int)) & 1) = 1")
 
 
-def attribute(excerpts: DataFrame, digest: Digest, on_empty: str = "positive", between: tuple[int, int] | None = None) -> DataFrame:
-    """excerpt_id, interval_id, flow_key, src, dst (and untestable with on_empty="flag"): the whole procedure. With an index, flows
-    are pruned before they are probed; between restricts the intervals."""
-    if digest.config.hash_family != "portable":
-        raise ValueError("the word join needs the portable hash family")
-    config, flows, words, flowbits = digest.config, digest.flows, words_of_sections(digest), digest.flowbits
+def present_in(places: DataFrame, sections: DataFrame) -> DataFrame:
+    """excerpt_id, interval_id of excerpts whose content places are all ones. Only chunks that are asked for meet them."""
+    need = places.groupBy("excerpt_id").agg(F.count("*").alias("need"))
+    hits = sections.join(places, ["section", "chunk"]).filter(bit_set())
+    return hits.groupBy("excerpt_id", "interval_id").agg(F.count("*").alias("met")).join(need, "excerpt_id").filter("met = need").select("excerpt_id", "interval_id")
+
+
+def attribute(excerpts: DataFrame, digest: Digest, on_empty: str = "positive", between: tuple[int, int] | None = None, rows_bound: int = ROWS_BOUND, packed_bound: int = PACKED_BOUND, opened=None) -> DataFrame:
+    """excerpt_id, interval_id, flow_key, src, dst (and untestable with on_empty="flag"): the whole procedure. between restricts the
+    intervals; opened counts the compressed tables that are opened. Ids may have any type; rows of one id are one excerpt.
+    Appearance runs when this is called, the rest with the result."""
+    config, flows, sections = digest.config, digest.flows, digest.sections
     if between is not None:
-        inside = F.col("interval_id").between(*between)
-        flows, words = flows.filter(inside), words.filter(inside)
-        flowbits = flowbits.filter(inside) if flowbits is not None else None
+        flows, sections = (df.filter(F.col("interval_id").between(*between)) for df in (flows, sections))
+    excerpts = excerpts.filter("excerpt_id is not null").select("excerpt_id", "excerpt")
     blocks = excerpt_blocks(excerpts, config)
-    present, hits = appearance(blocks, excerpts, words, flows, config)
-    if flowbits is not None:
-        # section by section: only flows with a one meet an excerpt, so the join is as sparse as the bitmaps
-        candidates = bitindex.prune_inverted(bitmap_sections(flowbits, config.sections), hits)
-        free = present.join(hits.select("excerpt_id", "interval_id").distinct(), ["excerpt_id", "interval_id"], "left_anti")
-        candidates = candidates.unionByName(all_flows(free, flows))
+    places = content_places(blocks, config)
+    asked = [r["section"] for r in places.select("section").distinct().collect()] if config.filter_sections > 1 else [0]  # at most the sections of the filter
+    found = present_in(places, sections.filter(F.col("section").isin(asked)) if len(asked) < config.filter_sections else sections)
+    free = excerpts.select("excerpt_id").distinct().join(blocks.select("excerpt_id").distinct(), "excerpt_id", "left_anti")
+    every = flows.select("interval_id").distinct()
+    present = found.unionByName(free.join(F.broadcast(every), how="cross").select("excerpt_id", "interval_id"))
+    rows = present.limit(rows_bound + 1).collect()
+    hit = sorted({r["interval_id"] for r in rows})
+    layout = Layout.of(config)
+    small = len(rows) <= rows_bound and len(hit) * layout.sections * layout.section_bytes <= packed_bound and _size(excerpts) <= packed_bound
+    if small:
+        verdict = _local(excerpts, digest, flows, rows, hit, opened)
     else:
-        candidates = all_flows(present, flows)
-    out = determine(candidates, blocks, words, config).join(flows.select("interval_id", "flow_key", "src", "dst"), ["interval_id", "flow_key"])
+        if len(rows) <= rows_bound:
+            flows, sections, maps = (df if df is None else df.filter(F.col("interval_id").isin(hit)) for df in (flows, sections, digest.bitmaps(hit, opened)))
+        else:
+            maps = digest.bitmaps(None, opened)
+            maps = maps if maps is None or between is None else maps.filter(F.col("interval_id").between(*between))
+        verdict = _joined(_kept(present), blocks, places, sections, flows, maps, config)
+    out = verdict.join(flows.select("interval_id", "flow_key", "src", "dst"), ["interval_id", "flow_key"])
     out = out.select("excerpt_id", "interval_id", "flow_key", "src", "dst")
     if on_empty == "flag":
         tested = blocks.select("excerpt_id").distinct().withColumn("t", F.lit(True))
@@ -107,6 +159,85 @@ def attribute(excerpts: DataFrame, digest: Digest, on_empty: str = "positive", b
     return out
 
 
+def _kept(df: DataFrame) -> DataFrame:
+    """df, computed once: in the session's checkpoint folder, or in memory where none is set."""
+    if df.sparkSession.sparkContext._jsc.sc().getCheckpointDir().isDefined() or df.sparkSession.conf.get("spark.checkpoint.dir", None):
+        return df.checkpoint()
+    return df.persist(StorageLevel.MEMORY_AND_DISK)
+
+
+def _size(excerpts: DataFrame) -> int:
+    return int(excerpts.agg(F.coalesce(F.sum(F.coalesce(F.octet_length("excerpt"), F.lit(0)) + 64), F.lit(0))).first()[0])
+
+
+def _local(excerpts: DataFrame, digest: Digest, flows: DataFrame, rows: list, hit: list[int], opened) -> DataFrame:
+    """Steps 3 and 4 in one pass over the flows of the intervals with hits."""
+    config, layout = digest.config, Layout.of(digest.config)
+    held = [(r["excerpt_id"], bytes(r["excerpt"] or b"")) for r in excerpts.collect()] if rows else []
+    asked: dict[int, list] = {}
+    for r in rows:
+        asked.setdefault(r["interval_id"], []).append(r["excerpt_id"])
+    filters = {i: np.zeros((layout.sections, layout.section_bytes), np.uint8) for i in hit}
+    for r in digest.sections.filter(F.col("interval_id").isin(hit)).collect() if hit else []:
+        raw = np.frombuffer(r["bits"], np.uint8)
+        filters[r["interval_id"]][r["section"], r["chunk"] * CHUNK_BYTES : r["chunk"] * CHUNK_BYTES + len(raw)] = raw
+    row, number, _, size, blocks = blocking.winnow_batch([x for _, x in held], config.window, config.overlap, config.threshold, config.keep_equal)
+    block_rows = [(held[i][0], int(n), int(s), b) for i, n, s, b in zip(row.tolist(), number, size, blocks, strict=True)]
+    own = flows.select("interval_id", "flow_key").filter(F.col("interval_id").isin(hit))
+    if config.index:
+        own = digest.bitmaps(hit, opened).withColumnRenamed("bitmap", "b0")
+    tables = {(i, 0): f.view("<u4") for i, f in filters.items()}
+    found = evaluate(own, block_rows, sorted({i for i, _ in held}), [(0, config)], tables, present=asked, kind=id_type(excerpts))
+    return found.select("excerpt_id", "interval_id", "flow_key")
+
+
+def _bound_places(asked: DataFrame, config: DigestConfig) -> DataFrame:
+    """Rows (excerpt_id, interval_id, flow_key, block) as the k places of the flow-bound block."""
+    layout, k, keys = Layout.of(config), config.k, ["excerpt_id", "interval_id", "flow_key"]
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            hashed, flows = Hashed(batch.column("block").to_pylist(), config.hash_family, config.salt), batch.column("flow_key").to_pylist()
+            each = [hashed.bound(np.array([i]), f) for i, f in enumerate(flows)]
+            parts = tuple(np.concatenate([p[i] for p in each]) for i in range(3))
+            at = pa.array(np.tile(np.arange(batch.num_rows), k))
+            yield pa.RecordBatch.from_arrays([*(batch.column(c).take(at) for c in keys), *map(pa.array, _placed(layout, k, parts))], [*keys, "section", "chunk", "bit"])
+
+    return asked.select(*keys, "block").mapInArrow(kernel, f"excerpt_id {id_type(asked)}, interval_id int, flow_key string, section int, chunk int, bit int")
+
+
+def _joined(present: DataFrame, blocks: DataFrame, places: DataFrame, sections: DataFrame, flows: DataFrame, maps: DataFrame | None, config: DigestConfig) -> DataFrame:
+    """Steps 3 and 4 by equi-joins, for any number of hits."""
+    keys = ["excerpt_id", "interval_id", "flow_key"]
+    ranked = blocks.withColumn("turn", F.row_number().over(Window.partitionBy("excerpt_id").orderBy(F.desc("size"), "block_no")))
+    if maps is not None:
+        needed = _kept(present.join(places.select("excerpt_id", F.col("feature").alias("section")).distinct(), "excerpt_id"))
+        # only bitmaps of intervals with hits, and of them only sections that some excerpt asks for
+        candidates = bitindex.prune_inverted(_asked_ones(maps, needed), needed)
+        free = present.join(places.select("excerpt_id").distinct(), "excerpt_id", "left_anti")
+        candidates = candidates.unionByName(all_flows(free, flows))
+    else:
+        candidates = all_flows(present, flows)
+
+    def survivors(who: DataFrame, some: DataFrame) -> DataFrame:
+        asked = who.join(some.select("excerpt_id", "block"), "excerpt_id")
+        probes = _bound_places(asked, config)
+        met = probes.join(sections.select("interval_id", "section", "chunk", "bits"), ["interval_id", "section", "chunk"], "left")
+        missed = met.filter(F.col("bits").isNull() | ~bit_set()).select(*keys).distinct()
+        return who.join(missed, keys, "left_anti")
+
+    return survivors(survivors(candidates, ranked.filter("turn = 1")), ranked.filter("turn > 1"))
+
+
+def _asked_ones(maps: DataFrame, needed: DataFrame) -> DataFrame:
+    """interval_id, flow_key, section: ones of packed bitmaps among the sections that some excerpt of the interval asks for."""
+    per = needed.groupBy("interval_id").agg(F.collect_set("section").alias("asked"))
+    rows = maps.join(per, "interval_id").select("interval_id", "flow_key", "bitmap", F.explode("asked").alias("section"))
+    return rows.filter(bit_set("bitmap", "section")).select("interval_id", "flow_key", "section")
+
+
 def bitmap_words(flowbits: DataFrame, sections: int) -> DataFrame:
     """Word rows of packed bitmaps."""
     n = -(-sections // 32)
@@ -123,68 +254,109 @@ def bitmap_sections(flowbits: DataFrame, sections: int) -> DataFrame:
     return words.select("interval_id", "flow_key", "word_ix", F.explode(ones).alias("i")).select("interval_id", "flow_key", (F.col("word_ix") * 32 + F.col("i")).alias("section"))
 
 
-def evaluate(flows: DataFrame, excerpt_rows: list[tuple[int, int, int, bytes]], every_excerpt: list[int], configs: list[tuple[int, DigestConfig]], filters: dict[int, np.ndarray], tags: list[int] | None = None) -> DataFrame:
-    """config_id, flow_key, excerpt_id, of one interval, for all configurations in one pass.
+def evaluate(flows: DataFrame, excerpt_rows: list[tuple], every_excerpt: list, configs: list[tuple[int, DigestConfig]], filters: dict, tags: list[int] | None = None, present: dict[int, list] | None = None, kind: str = "bigint", packed_bound: int = 2 * PACKED_BOUND) -> DataFrame:
+    """config_id, interval_id, flow_key, excerpt_id for all configurations in one row-local pass over the flows.
 
-    flows has flow_key and, for configurations with an index, a column b<config_id> of section bitmaps. excerpt_rows are
-    (excerpt_id, block_no, size, block) at threshold 0; filters are [section, word] arrays. Appearance is decided here
-    too; a block under a configuration's threshold counts as present. tags: the section of each row, where something else
-    than the digest chooses it."""
+    flows has flow_key, interval_id where there are several, and, for configurations with an index, a column b<config_id> of
+    section bitmaps. excerpt_rows are (excerpt_id, block_no, size, block); a block under a configuration's threshold counts as
+    present. filters are [section, word] arrays by (interval, config_id), or by config_id for the one interval. present: the excerpts that
+    appear in each interval; without it appearance is decided here. tags: the section of each row, where something else than
+    the digest chooses it.
+
+    Bitmaps are tested for a batch of flows at a time. Of the pairs left by any configuration the largest block is bound to the
+    flow, once for all configurations; then the others of the pairs that are still left."""
     size = sum(f.nbytes for f in filters.values()) + sum(len(b) + 64 for *_, b in excerpt_rows)
-    if size > PACKED_BOUND:
-        raise ValueError(f"{size} bytes of filters and excerpts: use the word join")
-    ids = np.array([e for e, *_ in excerpt_rows], np.int64)
+    if size > packed_bound:
+        raise ValueError(f"{size} bytes of filters and excerpts: use the joins")
+    if any(c.hash_family != configs[0][1].hash_family or c.salt != configs[0][1].salt for _, c in configs):
+        raise ValueError("configurations of one pass share their hashes")
+    filters = {k if isinstance(k, tuple) else (0, k): v for k, v in filters.items()}
     number = {e: i for i, e in enumerate(every_excerpt)}
-    owner = np.array([number[e] for e in ids.tolist()], np.int64)
-    sizes = np.array([s for _, _, s, _ in excerpt_rows], np.int64)
-    blocks = [b for *_, b in excerpt_rows]
-    held = flows.sparkSession.sparkContext.broadcast((owner, sizes, blocks, filters, None if tags is None else np.array(tags, np.int64)))
-    every = np.array(every_excerpt, np.int64)
-
-    def present(raw: bytes, c: DigestConfig, table: np.ndarray, tag: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
-        sel, g1, g2 = md5_parts(raw)
-        section, m_sub = sel % c.filter_sections if tag is None else tag, max(1, c.m_bits // c.filter_sections)
-        hit = np.ones(len(sel), bool)
-        for r in range(c.k):
-            pos = (g1 + r * g2) % m_sub
-            hit &= (table[section, pos >> 5] >> (pos & 31).astype(np.uint32) & 1).astype(bool)
-        return hit, sel % c.sections
+    rows = sorted(range(len(excerpt_rows)), key=lambda i: (number[excerpt_rows[i][0]], -excerpt_rows[i][2], excerpt_rows[i][1]))
+    owner = np.array([number[excerpt_rows[i][0]] for i in rows], np.int64)
+    sizes = np.array([excerpt_rows[i][2] for i in rows], np.int64)
+    blocks = [excerpt_rows[i][3] for i in rows]
+    tag = None if tags is None else np.array([tags[i] for i in rows], np.int64)
+    listed = None if present is None else {i: np.array(sorted(number[e] for e in own), np.int64) for i, own in present.items()}
+    held = flows.sparkSession.sparkContext.broadcast((owner, sizes, blocks, filters, tag, listed, every_excerpt))
+    one_interval = "interval_id" not in flows.columns
+    family, salt = configs[0][1].hash_family, configs[0][1].salt
+    arrow_id = pa.string() if kind == "string" else pa.int64() if kind == "bigint" else None
+
+    def tested(parts, c: DigestConfig, table: np.ndarray, tag: np.ndarray | None) -> np.ndarray:
+        layout = Layout.of(c)
+        hit = np.ones(len(parts[0]), bool)
+        for section, pos in layout.places(parts, c.k):
+            hit &= (table[section if tag is None else tag, pos >> 5] >> (pos & 31).astype(np.uint32) & 1).astype(bool)
+        return hit
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        owner, sizes, blocks, tables, tag = held.value
-        content = digests(blocks)
-        plans = []
-        for cid, c in configs:
-            kept = sizes >= c.threshold if c.keep_equal else sizes > c.threshold
-            hit, section = present(content, c, tables[cid], tag)
-            gone = np.zeros(len(every), bool)
-            gone[owner[kept & ~hit]] = True
-            need = None
-            if c.index:
-                need = np.zeros((len(every), -(-c.sections // 8) * 8), bool)
-                need[owner[kept], section[kept]] = True
-                need = np.packbits(need, axis=1, bitorder="little")
-            plans.append((cid, c, kept, gone, need))
-        for batch in batches:
-            maps = {cid: batch.column(f"b{cid}").to_pylist() for cid, c in configs if c.index}
-            out: list[list] = [[], [], []]
-            for row, flow in enumerate(batch.column("flow_key").to_pylist()):
-                raw = digests(blocks, flow_suffix(flow))
-                for cid, c, kept, gone, need in plans:
-                    hit, _ = present(raw, c, tables[cid], tag)
-                    missed = gone.copy()
-                    missed[owner[kept & ~hit]] = True
-                    if need is not None:
-                        own = np.frombuffer(maps[cid][row], np.uint8)
-                        missed |= ((need & own) != need).any(axis=1)
-                    found = every[~missed]
-                    out[0] += [cid] * len(found)
-                    out[1] += [flow] * len(found)
-                    out[2] += found.tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), pa.array(out[1], pa.string()), pa.array(out[2], pa.int64())], ["config_id", "flow_key", "excerpt_id"])
-
-    columns = [f"b{cid}" for cid, c in configs if c.index]
-    return flows.select("flow_key", *columns).mapInArrow(kernel, "config_id int, flow_key string, excerpt_id bigint")
+        owner, sizes, blocks, tables, tag, listed, every = held.value
+        hashed = Hashed(blocks, family, salt)
+        content = hashed.content() if blocks else (np.zeros(0, np.int64),) * 3
+        first = np.concatenate([[True], owner[1:] != owner[:-1]]) if len(owner) else np.zeros(0, bool)
+        turns = [np.flatnonzero(first), np.flatnonzero(~first)]
+        kept = {cid: sizes >= c.threshold if c.keep_equal else sizes > c.threshold for cid, c in configs}
+        alive_at: dict[tuple[int, int], np.ndarray] = {}
+
+        def appears(i: int, cid: int, c: DigestConfig) -> np.ndarray:
+            if (i, cid) not in alive_at:
+                out = np.ones(len(every), bool)
+                if listed is not None:
+                    out = np.isin(np.arange(len(every)), listed.get(i, []))
+                elif (i, cid) in tables:
+                    out[owner[kept[cid] & ~tested(content, c, tables[i, cid], tag)]] = False
+                alive_at[i, cid] = out
+            return alive_at[i, cid]
+
+        def left_by_index(c: DigestConfig, cid: int, alive: np.ndarray, bitmaps: np.ndarray) -> np.ndarray:
+            """[flow, excerpt]: all sections of the excerpt's kept blocks are ones."""
+            ok = np.repeat(alive[None, :], len(bitmaps), axis=0)
+            section = content[0] % c.sections
+            some = np.flatnonzero(kept[cid] & alive[owner])
+            for n in some.tolist():
+                ok[:, owner[n]] &= (bitmaps[:, section[n] >> 3] >> np.uint8(section[n] & 7) & 1).astype(bool)
+            return ok
+
+        for whole in batches:
+            for a in range(0, whole.num_rows, 1024):
+                batch = whole.slice(a, 1024)
+                interval = np.zeros(batch.num_rows, np.int64) if one_interval else batch.column("interval_id").to_numpy(zero_copy_only=False)
+                keys = batch.column("flow_key").to_pylist()
+                out: list[list] = [[], [], [], []]
+                for i in np.unique(interval).tolist():
+                    at = np.flatnonzero(interval == i)
+                    ok = {}
+                    for cid, c in configs:
+                        alive = appears(i, cid, c)
+                        if c.index:
+                            maps = np.frombuffer(b"".join(batch.column(f"b{cid}").take(pa.array(at)).to_pylist()), np.uint8).reshape(len(at), -1)
+                            ok[cid] = left_by_index(c, cid, alive, maps)
+                        else:
+                            ok[cid] = np.repeat(alive[None, :], len(at), axis=0)
+                    for n, r in enumerate(at.tolist()):
+                        own = {cid: ok[cid][n] for cid, _ in configs}
+                        for turn in turns:
+                            asked = np.zeros(len(every), bool)
+                            for x in own.values():
+                                asked |= x
+                            which = turn[asked[owner[turn]]]
+                            if not len(which):
+                                continue
+                            parts = hashed.bound(which, keys[r])
+                            for cid, c in configs:
+                                hit = tested(parts, c, tables[i, cid], None if tag is None else tag[which])
+                                own[cid][owner[which[kept[cid][which] & ~hit]]] = False
+                        for cid, left in own.items():
+                            found = np.flatnonzero(left).tolist()
+                            out[0] += [cid] * len(found)
+                            out[1] += [i] * len(found)
+                            out[2] += [keys[r]] * len(found)
+                            out[3] += [every[x] for x in found]
+                yield pa.RecordBatch.from_arrays([pa.array(out[0], pa.int32()), pa.array(out[1], pa.int32()), pa.array(out[2], pa.string()), pa.array(out[3], arrow_id)], ["config_id", "interval_id", "flow_key", "excerpt_id"])
+
+    columns = ["flow_key", *(["interval_id"] if not one_interval else []), *[f"b{cid}" for cid, c in configs if c.index]]
+    return flows.select(*columns).mapInArrow(kernel, f"config_id int, interval_id int, flow_key string, excerpt_id {kind}")
 
 
 def candidates_of(blocks: DataFrame, flow_words: DataFrame, flows: DataFrame, excerpts: DataFrame, config: DigestConfig) -> DataFrame:
@@ -194,9 +366,12 @@ def candidates_of(blocks: DataFrame, flow_words: DataFrame, flows: DataFrame, ex
     return bitindex.prune(flow_words, bitindex.required_words(hits), flows, asked)
 
 
-def wildcard(parts: DataFrame, digest: Digest) -> DataFrame:
-    """Excerpts with gaps: rows (excerpt_id, part, excerpt); a flow is reported if it carries every literal part."""
-    keyed = parts.select((F.col("excerpt_id") * 1024 + F.col("part")).alias("excerpt_id"), "excerpt", F.lit(None).cast("string").alias("true_flow"))
-    found = attribute(keyed, digest).select(F.floor(F.col("excerpt_id") / 1024).cast("bigint").alias("excerpt_id"), "interval_id", "flow_key", (F.col("excerpt_id") % 1024).alias("part"))
+def wildcard(parts: DataFrame, digest: Digest, **how) -> DataFrame:
+    """Excerpts with gaps: rows (excerpt_id, part, excerpt); a flow is reported if it carries every literal part, whatever the parts'
+    numbers are."""
+    key = F.concat_ws(":", F.col("excerpt_id").cast("string"), F.col("part").cast("string"))
+    keyed = parts.filter("excerpt_id is not null and part is not null").select(key.alias("excerpt_id"), "excerpt")
+    own = parts.select(key.alias("key"), F.col("excerpt_id").alias("whole")).distinct()
+    found = attribute(keyed, digest, **how).join(own, F.col("excerpt_id") == F.col("key")).select(F.col("whole").alias("excerpt_id"), "interval_id", "flow_key", "key")
     need = parts.groupBy("excerpt_id").agg(F.countDistinct("part").alias("n"))
-    return found.groupBy("excerpt_id", "interval_id", "flow_key").agg(F.countDistinct("part").alias("met")).join(need, "excerpt_id").filter("met = n").select("excerpt_id", "interval_id", "flow_key")
+    return found.groupBy("excerpt_id", "interval_id", "flow_key").agg(F.countDistinct("key").alias("met")).join(need, "excerpt_id").filter("met = n").select("excerpt_id", "interval_id", "flow_key")

@@ -122,6 +122,7 @@ def exact_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overla
         by_block.setdefault(b, []).append(rows[r])
     plain = [rows[r] for r in range(len(rows)) if r not in best]
     held = trace.sparkSession.sparkContext.broadcast((by_block, plain))
+    kind = excerpts.schema["excerpt_id"].dataType.simpleString()
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         anchors, everywhere = held.value
@@ -136,16 +137,16 @@ def exact_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overla
                 if payload is not None:
                     found.update((i, flows[r]) for i, x in everywhere if x in payload)
             found = sorted(found, key=str)
-            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in found], pa.int64()), pa.array([f for _, f in found], pa.string())], ["excerpt_id", "flow_key"])
+            yield pa.RecordBatch.from_arrays([pa.array([i for i, _ in found], pa.string() if kind == "string" else pa.int64()), pa.array([f for _, f in found], pa.string())], ["excerpt_id", "flow_key"])
 
-    return trace.select("flow_key", "payload").mapInArrow(kernel, "excerpt_id bigint, flow_key string").distinct()
+    return trace.select("flow_key", "payload").mapInArrow(kernel, f"excerpt_id {kind}, flow_key string").distinct()
 
 
 def joined_search(trace: DataFrame, excerpts: DataFrame, window: int = 64, overlap: int = 4, max_bytes: int = SENT_BYTES) -> DataFrame:
     """Exact search for any number of excerpts."""
     own = excerpts.select(F.lit(0).alias("interval_id"), F.col("excerpt_id").cast("string").alias("flow_key"), F.lit(0).cast("bigint").alias("seq"), F.col("excerpt").alias("payload"))
     blocks = blocking.winnow_blocks(own, window, overlap)
-    anchors = blocks.groupBy(F.col("flow_key").cast("bigint").alias("excerpt_id")).agg(F.max_by("block", F.struct("size", "block_no")).alias("block"))
+    anchors = blocks.groupBy(F.col("flow_key").cast(excerpts.schema["excerpt_id"].dataType).alias("excerpt_id")).agg(F.max_by("block", F.struct("size", "block_no")).alias("block"))
     anchors = anchors.join(excerpts.select("excerpt_id", "excerpt"), "excerpt_id").select("excerpt_id", "excerpt", F.md5("block").alias("anchor"))
     placed = blocking.winnow_blocks(trace, window, overlap).select("interval_id", "flow_key", "seq", F.md5("block").alias("anchor")).distinct()
     met = placed.join(anchors, "anchor").join(trace.select("interval_id", "flow_key", "seq", "payload"), ["interval_id", "flow_key", "seq"])

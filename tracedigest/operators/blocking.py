@@ -81,10 +81,9 @@ def chunks(payloads: list[bytes | None], limit: int = 64 << 10) -> Iterator[tupl
         yield a, len(payloads)
 
 
-def winnow_batch(payloads: list[bytes | None], window: int = WINDOW, overlap: int = OVERLAP, threshold: int = 0, keep_equal: bool = True, instance: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
-    """Row, number, start, size and bytes of all kept blocks of a list of payloads."""
+def winnow_places(payloads: list[bytes | None], window: int = WINDOW, overlap: int = OVERLAP, threshold: int = 0, keep_equal: bool = True, instance: int = 0) -> Iterator[tuple[bytes, np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+    """Kept blocks of a list of payloads, chunk by chunk: the chunk's bytes, start and end in them, row, number and start in the payload."""
     width = overlap + 1
-    parts = []
     for a, b in chunks(payloads):
         own = [p or b"" for p in payloads[a:b]]
         if len(own) == 1:
@@ -98,11 +97,16 @@ def winnow_batch(payloads: list[bytes | None], window: int = WINDOW, overlap: in
         same = row[1:] == row[:-1]
         at, to, own_row = found[:-1][same], found[1:][same] + width, row[:-1][same]
         size = to - at
-        first = np.searchsorted(own_row, own_row)
-        number = np.arange(len(own_row)) - first
-        keep = size >= threshold if keep_equal else size > threshold
-        at, to, own_row, number = at[keep], to[keep], own_row[keep], number[keep]
-        parts.append((own_row + a, number, at - base[own_row], to - at, [data[x:y] for x, y in zip(at.tolist(), to.tolist(), strict=True)]))
+        number = np.arange(len(own_row)) - np.searchsorted(own_row, own_row)
+        if threshold:
+            keep = size >= threshold if keep_equal else size > threshold
+            at, to, own_row, number = at[keep], to[keep], own_row[keep], number[keep]
+        yield data, at, to, own_row + a, number, at - base[own_row]
+
+
+def winnow_batch(payloads: list[bytes | None], window: int = WINDOW, overlap: int = OVERLAP, threshold: int = 0, keep_equal: bool = True, instance: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[bytes]]:
+    """Row, number, start, size and bytes of all kept blocks of a list of payloads."""
+    parts = [(row, number, start, to - at, [data[x:y] for x, y in zip(at.tolist(), to.tolist(), strict=True)]) for data, at, to, row, number, start in winnow_places(payloads, window, overlap, threshold, keep_equal, instance)]
     if not parts:
         empty = np.zeros(0, np.int64)
         return empty, empty, empty, empty, []

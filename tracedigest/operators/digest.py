@@ -1,7 +1,9 @@
 """Digests: configuration, building, keeping on disk, merging.
 
-`build` is one row-local kernel over payloads (blocks, digests, bits) that hands on packed partial sections and partial
-flow bitmaps, never a row per block; one exchange merges both by OR. `words_of` is the declarative form of the same filter.
+`build` is one row-local kernel over payloads (blocks, digests, bits) that hands on partial chunks of sections and partial
+flow bitmaps, never a row per block; one exchange merges both by OR. A section's bits are rows of CHUNK_BYTES, so an interval's
+filter of any size is many keys; what a task sets in a large filter travels as places, not as zeros.
+`words_of` is the declarative form of the same filter.
 """
 
 from __future__ import annotations
@@ -15,14 +17,15 @@ from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import block_digest, digests, flow_digest, flow_suffix, md5_parts, section_of
+from ..functions.hashing import block_digest, bound_hashes, digests, flow_digest, flow_number, flow_suffix, hash_parts, md5_parts, section_of, vector_hashes
 from . import bitindex, blocking, compress, membership, trace
 
 
 @dataclass(frozen=True)
 class DigestConfig:
     """reduction: raw bytes over filter bytes; m_bits overrides it (bits per interval). sections 1 is the conventional filter; index
-    keeps flow bitmaps, of the sections or (feature "hash") of as many hash values beside a conventional filter; threshold discards smaller blocks; assembly "flow" joins a flow's packets before blocking."""
+    keeps flow bitmaps, of the sections or (feature "hash") of as many hash values beside a conventional filter; threshold discards smaller
+    blocks; assembly "flow" joins a flow's packets before blocking. hash_family: "portable" (SQL can say it), "fast" or "vector"."""
 
     reduction: float = 100.0
     m_bits: int | None = None
@@ -48,26 +51,78 @@ class DigestConfig:
         return self if self.m_bits else replace(self, m_bits=max(32 * self.filter_sections, int(8 * raw_bytes / self.reduction)))
 
 
+#: Bytes of a section's bits in one row.
+CHUNK_BYTES = 4096
+CHUNK_BITS = 8 * CHUNK_BYTES
+
+
+@dataclass(frozen=True)
+class Layout:
+    """Where bits are: a section's bits are padded to whole words and cut in chunks."""
+
+    m_sub: int
+    sections: int
+
+    @staticmethod
+    def of(config: DigestConfig) -> Layout:
+        return Layout(max(1, config.m_bits // config.filter_sections), config.filter_sections)
+
+    @property
+    def section_bytes(self) -> int:
+        return -(-self.m_sub // 32) * 4
+
+    @property
+    def chunks(self) -> int:
+        return -(-self.section_bytes // CHUNK_BYTES)
+
+    def chunk_bytes(self, chunk: int) -> int:
+        return min(CHUNK_BYTES, self.section_bytes - chunk * CHUNK_BYTES)
+
+    def places(self, parts: tuple[np.ndarray, np.ndarray, np.ndarray], k: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """Section and bit in it of each of the k hashes."""
+        sel, g1, g2 = parts
+        section = sel % self.sections
+        for r in range(k):
+            yield section, (g1 + r * g2) % self.m_sub
+
+
 @dataclass(frozen=True)
 class Digest:
-    """sections: (interval_id, section, bits); flows: (interval_id, flow_key, src, dst, packets, bytes); flowbits: (interval_id, flow_key,
-    bitmap) or None; config has m_bits."""
+    """sections: (interval_id, section, chunk, bits); flows: (interval_id, flow_key, src, dst, packets, bytes); flowbits: (interval_id,
+    flow_key, bitmap) or None; config has m_bits. archive: the compressed bitmap table (with its codec) that flowbits are opened from."""
 
     config: DigestConfig
     sections: DataFrame
     flows: DataFrame
     flowbits: DataFrame | None
+    archive: DataFrame | None = None
+    codec: str = ""
+    kept: tuple[DataFrame, ...] = ()
 
     def save(self, path: str, codec: str | None = None) -> None:
         """Parquet partitioned by interval, sorted by section, so a query reads the sections it needs of the intervals it
-        needs. codec compresses the bitmap table."""
+        needs; an interval is written by as many tasks as its rows take. codec compresses the bitmap table, shard by shard."""
         spark = self.sections.sparkSession
-        self.sections.repartition("interval_id").sortWithinPartitions("interval_id", "section").write.partitionBy("interval_id").parquet(f"{path}/sections")
+        ordered = self.sections.repartitionByRange("interval_id", "section", "chunk").sortWithinPartitions("interval_id", "section", "chunk")
+        ordered.write.partitionBy("interval_id").parquet(f"{path}/sections")
         self.flows.write.partitionBy("interval_id").parquet(f"{path}/flows")
         if self.flowbits is not None:
             kept = compress.pack_index(self.flowbits, codec) if codec else self.flowbits
             kept.write.partitionBy("interval_id").parquet(f"{path}/index")
-        spark.createDataFrame([asdict(self.config) | {"codec": codec or ""}], ", ".join(f"{k} {t}" for k, t in CONFIG_TYPES.items())).coalesce(1).write.json(f"{path}/config")
+        spark.createDataFrame([asdict(self.config) | {"reduction": float(self.config.reduction), "codec": codec or ""}], ", ".join(f"{k} {t}" for k, t in CONFIG_TYPES.items())).coalesce(1).write.json(f"{path}/config")
+
+    def bitmaps(self, intervals: list[int] | None = None, opened=None) -> DataFrame | None:
+        """The flow bitmaps of the given intervals; of a compressed table no other shard is read or opened. opened: an accumulator
+        that counts the opened shards."""
+        some = (lambda df: df) if intervals is None else (lambda df: df.filter(F.col("interval_id").isin(intervals)))
+        if self.archive is not None:
+            return compress.unpack_index(some(self.archive), None, self.codec, opened)
+        return None if self.flowbits is None else some(self.flowbits)
+
+    def close(self) -> None:
+        """Lets go of what building kept in memory; plans that still use it compute it again."""
+        for df in self.kept:
+            df.unpersist()
 
 
 CONFIG_TYPES = {
@@ -82,20 +137,21 @@ def load(spark: SparkSession, path: str, intervals: list[int] | None = None) ->
     codec = row.pop("codec")
     config = DigestConfig(**row)
     some = (lambda df: df.filter(F.col("interval_id").isin(intervals))) if intervals is not None else (lambda df: df)
-    sections = some(spark.read.schema("section int, bits binary, interval_id int").parquet(f"{path}/sections"))
+    sections = some(spark.read.schema("section int, chunk int, bits binary, interval_id int").parquet(f"{path}/sections")).select("interval_id", "section", "chunk", "bits")
     flows = some(spark.read.schema("flow_key string, src string, dst string, packets bigint, bytes bigint, interval_id int").parquet(f"{path}/flows"))
-    flowbits = None
+    flowbits = archive = None
     if config.index:
         if codec:
-            held = spark.read.schema("shard int, flows array<string>, width int, raw_bytes bigint, packed binary, interval_id int").parquet(f"{path}/index")
-            flowbits = compress.unpack_index(some(held), None, codec)
+            archive = some(spark.read.schema("shard int, flows array<string>, width int, raw_bytes bigint, packed binary, interval_id int").parquet(f"{path}/index"))
+            flowbits = compress.unpack_index(archive, None, codec)
         else:
             flowbits = some(spark.read.schema("flow_key string, bitmap binary, interval_id int").parquet(f"{path}/index"))
-    return Digest(config, sections, flows, flowbits)
+    return Digest(config, sections, flows, flowbits, archive, codec)
 
 
 def prepared(packets: DataFrame, config: DigestConfig) -> DataFrame:
-    return trace.reassemble(packets) if config.assembly == "flow" else packets
+    """Packets, or their flows' bytes in overlapping pieces: the same set of blocks as whole flows have."""
+    return trace.flow_pieces(packets, overlap=8 * (config.window + config.overlap)) if config.assembly == "flow" else packets
 
 
 def raw_bytes(packets: DataFrame) -> int:
@@ -128,91 +184,174 @@ def words_of(blocks: DataFrame, config: DigestConfig) -> DataFrame:
     return membership.build_sectioned(elements(blocks, config), config.m_bits, config.filter_sections, config.k)
 
 
+#: Up to so many bits of filters a task holds as they are; larger filters as sorted places.
+DENSE_BITS = 1 << 26
+#: Places that a task holds before it hands them on.
+HELD_PLACES = 4_000_000
+
+
+class _Filter:
+    """What one task sets in one interval's filter."""
+
+    def __init__(self, layout: Layout):
+        self.layout, self.width = layout, layout.section_bytes * 8
+        self.dense = np.zeros(layout.sections * self.width, bool) if layout.sections * self.width <= DENSE_BITS else None
+        self.places: list[np.ndarray] = []
+        self.held = 0
+
+    def add(self, section: np.ndarray, pos: np.ndarray) -> None:
+        at = section * self.width + pos
+        if self.dense is not None:
+            self.dense[at] = True
+        else:
+            self.places.append(at)
+            self.held += len(at)
+
+    def rows(self) -> Iterator[tuple[int, int, bytes]]:
+        """section, chunk, bits of what is set: all bytes of the chunk, or fewer bytes with the places (16 bits each)."""
+        layout = self.layout
+        if self.dense is not None:
+            packed = np.packbits(self.dense, bitorder="little").reshape(layout.sections, -1)
+            for section in np.flatnonzero(packed.any(axis=1)).tolist():
+                raw = packed[section].tobytes()
+                for chunk in range(layout.chunks):
+                    bits = raw[chunk * CHUNK_BYTES : (chunk + 1) * CHUNK_BYTES]
+                    if any(bits):
+                        yield section, chunk, bits
+            return
+        every = np.unique(np.concatenate(self.places)) if self.places else np.zeros(0, np.int64)
+        section, pos = every // self.width, every % self.width
+        key = section * layout.chunks + pos // CHUNK_BITS
+        low = (pos % CHUNK_BITS).astype("<u2")
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+        for a, b in zip(first.tolist(), [*first[1:].tolist(), len(key)], strict=True):
+            whole = layout.chunk_bytes(int(key[a]) % layout.chunks)
+            if 2 * (b - a) < whole:
+                bits = low[a:b].tobytes()
+            else:
+                own = np.zeros(whole * 8, bool)
+                own[low[a:b]] = True
+                bits = np.packbits(own, bitorder="little").tobytes()
+            yield int(key[a]) // layout.chunks, int(key[a]) % layout.chunks, bits
+
+
 def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20) -> DataFrame:
-    """interval_id, flow_key (null: filter), section (0 for flows), bits: what each task has gathered, at most `budget` bytes at a time."""
-    m_sub = max(1, config.m_bits // config.filter_sections)
-    n_words, width = -(-m_sub // 32), -(-config.sections // 8)
+    """interval_id, flow_key ("\\0": filter), section and chunk (0 for flows), whole (bytes that the bits have when unpacked), bits: what
+    each task has gathered, at most about `budget` bytes at a time."""
+    layout, width = Layout.of(config), -(-config.sections // 8)
+    names, types = ["interval_id", "flow_key", "section", "chunk", "whole", "bits"], (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        filters: dict[int, np.ndarray] = {}
+        filters: dict[int, _Filter] = {}
         maps: dict[tuple[int, str], np.ndarray] = {}
 
+        def ready(rows):
+            return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), types, strict=True)], names)
+
         def flush():
             rows = []
             for i, f in filters.items():
-                rows += [(i, None, s, f[s].tobytes()) for s in np.flatnonzero(f.any(axis=1)).tolist()]
-            rows += [(i, key, 0, np.packbits(m, bitorder="little").tobytes()) for (i, key), m in maps.items()]
+                for section, chunk, bits in f.rows():
+                    rows.append((i, "\0", section, chunk, layout.chunk_bytes(chunk), bits))
+                    if len(rows) == 4096:
+                        yield ready(rows)
+                        rows = []
+            for (i, key), bits in maps.items():
+                rows.append((i, key, 0, 0, width, bits.tobytes()))
+                if len(rows) == 4096:
+                    yield ready(rows)
+                    rows = []
             filters.clear()
             maps.clear()
-            for a in range(0, len(rows), 4096):
-                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows[a : a + 4096], strict=True), (pa.int32(), pa.string(), pa.int32(), pa.binary()), strict=True)], ["interval_id", "flow_key", "section", "bits"])
-
-        def insert(held: np.ndarray, raw: bytes) -> np.ndarray:
-            sel, g1, g2 = md5_parts(raw)
-            section = sel % config.filter_sections
-            for r in range(config.k):
-                pos = (g1 + r * g2) % m_sub
-                np.bitwise_or.at(held, (section, pos >> 5), np.left_shift(np.uint32(1), (pos & 31).astype(np.uint32)))
-            return sel % config.sections
+            if rows:
+                yield ready(rows)
 
         for batch in batches:
-            row, _, _, _, blocks = blocking.winnow_batch(batch.column("payload").to_pylist(), config.window, config.overlap, config.threshold, config.keep_equal)
-            if not len(row):
-                continue
-            interval, flows = batch.column("interval_id").to_numpy(zero_copy_only=False)[row], batch.column("flow_key").to_pylist()
-            suffix = [flow_suffix(f) for f in flows]
-            for i in np.unique(interval).tolist():
-                at = np.flatnonzero(interval == i)
-                own = blocks if len(at) == len(blocks) else [blocks[x] for x in at.tolist()]
-                if i not in filters:
-                    filters[i] = np.zeros((config.filter_sections, n_words), np.uint32)
-                section = insert(filters[i], digests(own, b"", config.hash_family, config.salt))
-                if config.flow_blocks:
-                    insert(filters[i], digests([b + suffix[r] for b, r in zip(own, row[at].tolist(), strict=True)], b"", config.hash_family, config.salt))
+            interval, flows = batch.column("interval_id").to_numpy(zero_copy_only=False), batch.column("flow_key").to_pylist()
+            if config.hash_family == "vector":
+                number = np.array([flow_number(f) for f in flows], np.uint64)
+            else:
+                suffix = [flow_suffix(f) for f in flows]
+            one = len(np.unique(interval)) == 1
+            touched: list[tuple[np.ndarray, np.ndarray]] = []
+            for data, at, to, row, _, _ in blocking.winnow_places(batch.column("payload").to_pylist(), config.window, config.overlap, config.threshold, config.keep_equal):
+                if not len(row):
+                    continue
+                if config.hash_family == "vector":
+                    hashes = vector_hashes(np.frombuffer(data, np.uint8), at, to, config.salt)
+                    content = hash_parts(hashes)
+                    bound = hash_parts(bound_hashes(hashes, number[row])) if config.flow_blocks else None
+                else:
+                    blocks = [data[x:y] for x, y in zip(at.tolist(), to.tolist(), strict=True)]
+                    content = md5_parts(digests(blocks, b"", config.hash_family, config.salt))
+                    bound = md5_parts(digests([b + suffix[r] for b, r in zip(blocks, row.tolist(), strict=True)], b"", config.hash_family, config.salt)) if config.flow_blocks else None
+                own = interval[row]
+                for i in [int(own[0])] if one else np.unique(own).tolist():
+                    some = slice(None) if one else own == i
+                    if i not in filters:
+                        filters[i] = _Filter(layout)
+                    for parts in (content, bound):
+                        if parts is not None:
+                            for section, pos in layout.places(parts, config.k):
+                                filters[i].add(section[some], pos[some])
                 if config.index:
-                    who, nth = np.unique(row[at], return_inverse=True)
-                    held = np.zeros((len(who), width * 8), bool)
-                    held[nth, section] = True
-                    for r, bits in zip(who.tolist(), held, strict=True):
-                        key = (i, flows[r])
+                    touched.append((row, content[0] % config.sections))
+            if touched:
+                row, section = (np.concatenate([x[i] for x in touched]) for i in range(2))
+                who, nth = np.unique(row, return_inverse=True)
+                for a in range(0, len(who), 4096):
+                    held = np.zeros((min(4096, len(who) - a), width * 8), bool)
+                    near = (nth >= a) & (nth < a + 4096) if len(who) > 4096 else slice(None)
+                    held[nth[near] - a, section[near]] = True
+                    for r, bits in zip(who[a : a + 4096].tolist(), np.packbits(held, axis=1, bitorder="little"), strict=True):
+                        key = (int(interval[r]), flows[r])
                         maps[key] = maps[key] | bits if key in maps else bits
-                if len(filters) * n_words * 4 * config.filter_sections + len(maps) * width * 8 > budget:
-                    yield from flush()
+            dense = sum(f.dense is not None for f in filters.values()) * layout.sections * layout.section_bytes * 8
+            if dense + len(maps) * (width + 100) > budget or sum(f.held for f in filters.values()) > HELD_PLACES:
+                yield from flush()
         yield from flush()
 
-    return packets.select("interval_id", "flow_key", "payload").mapInArrow(kernel, "interval_id int, flow_key string, section int, bits binary")
+    return packets.select("interval_id", "flow_key", "payload").mapInArrow(kernel, "interval_id int, flow_key string, section int, chunk int, whole int, bits binary")
 
 
 def or_merged(parts: DataFrame, keys: list[str]) -> DataFrame:
-    """Bits of equal keys merged by OR. Rows stream in key order, so a key of any number of parts needs one buffer."""
+    """Bits of equal keys merged by OR. Rows stream in key order, so a key of any number of parts needs one buffer. A column `whole`
+    gives the bytes of the result; rows with fewer hold places."""
     from pyspark.sql import types as T
 
     schema = T.StructType([parts.schema[k] for k in keys] + [T.StructField("bits", T.BinaryType())])
+    if "whole" not in parts.columns:
+        parts = parts.withColumn("whole", F.octet_length("bits"))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        now, bits, out = None, None, []
+        now, bits, out, types = None, None, [], None
 
         def ready(rows):
-            return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], f.type) for i, f in enumerate(arrow)], [*keys, "bits"])
+            return pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], [*keys, "bits"])
 
-        arrow = None
         for batch in batches:
-            arrow = [batch.schema.field(k) for k in [*keys, "bits"]]
-            for *key, raw in zip(*(batch.column(k).to_pylist() for k in keys), batch.column("bits"), strict=True):
-                own = np.frombuffer(raw.as_buffer(), np.uint8)
+            types = [batch.schema.field(k).type for k in [*keys, "bits"]]
+            columns = [batch.column(k).to_pylist() for k in keys]
+            for *key, whole, raw in zip(*columns, batch.column("whole").to_pylist(), batch.column("bits").to_pylist(), strict=True):
+                if len(raw) < whole:
+                    own = np.zeros(whole * 8, bool)
+                    own[np.frombuffer(raw, "<u2")] = True
+                    own = np.packbits(own, bitorder="little")
+                else:
+                    own = np.frombuffer(raw, np.uint8)
                 if key == now:
-                    np.bitwise_or(bits, own, out=bits)
+                    bits = bits | own
                 else:
                     if now is not None:
                         out.append((*now, bits.tobytes()))
-                    now, bits = key, own.copy()
+                    now, bits = key, own
                 if len(out) >= 1024:
                     yield ready(out)
                     out = []
         if now is not None:
             yield ready([*out, (*now, bits.tobytes())])
 
-    return parts.select(*keys, "bits").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(kernel, schema)
+    return parts.select(*keys, "whole", "bits").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(kernel, schema)
 
 
 def build(packets: DataFrame, config: DigestConfig) -> Digest:
@@ -220,23 +359,22 @@ def build(packets: DataFrame, config: DigestConfig) -> Digest:
     config = config if config.m_bits else config.sized(largest_interval(packets))
     own = prepared(packets, config)
     flows = bitindex.flow_list(packets)
-    parts = _partials(own, config).withColumn("flow_key", F.coalesce("flow_key", F.lit("\0")))
-    merged = or_merged(parts, ["interval_id", "flow_key", "section"])
+    merged = or_merged(_partials(own, config), ["interval_id", "flow_key", "section", "chunk"])
     if not config.index:
         return Digest(config, merged.drop("flow_key"), flows, None)
-    merged = merged.persist(StorageLevel.MEMORY_AND_DISK)  # read twice below
+    merged = merged.persist(StorageLevel.MEMORY_AND_DISK)  # read twice below, until close()
     sections = merged.filter(F.col("flow_key") == "\0").drop("flow_key")
     some = merged.filter(F.col("flow_key") != "\0").select("interval_id", "flow_key", F.col("bits").alias("bitmap"))
     zero = F.lit(bytes(-(-config.sections // 8)))
     flowbits = flows.select("interval_id", "flow_key").join(some, ["interval_id", "flow_key"], "left").withColumn("bitmap", F.coalesce("bitmap", zero))
-    return Digest(config, sections, flows, flowbits)
+    return Digest(config, sections, flows, flowbits, kept=(merged,))
 
 
 def merge(a: Digest, b: Digest) -> Digest:
     """Digests of two places as one; refused unless they were taken alike."""
     if a.config != b.config:
         raise ValueError("digests of different configurations can't be merged")
-    sections = or_merged(a.sections.unionByName(b.sections), ["interval_id", "section"])
+    sections = or_merged(a.sections.unionByName(b.sections), ["interval_id", "section", "chunk"])
     flows = a.flows.unionByName(b.flows).groupBy("interval_id", "flow_key").agg(F.min("src").alias("src"), F.min("dst").alias("dst"), F.sum("packets").alias("packets"), F.sum("bytes").alias("bytes"))
     flowbits = None
     if a.flowbits is not None and b.flowbits is not None:

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -68,33 +71,88 @@ def keep_protocols(df: DataFrame, protocols: list[str]) -> DataFrame:
     return df.filter(F.col("proto").isin(protocols))
 
 
-def assign_interval(df: DataFrame, seconds: int | None = None, target_bytes: int | None = None, coarse: str = "flow_key", buckets: int = 64) -> DataFrame:
-    """Intervals of a fixed time, or of about a fixed number of bytes. By bytes: running sums inside hash buckets (never one
-    global window), each bucket cut on its own, numbered bucket by bucket."""
+def assign_interval(df: DataFrame, seconds: int | None = None, target_bytes: int | None = None, grain: int = 60) -> DataFrame:
+    """Intervals of a fixed time, or of about a fixed number of bytes in the order of time: bytes are summed by grains of
+    `grain` seconds, and the running sum over grains (never over packets) numbers the intervals. An interval holds whole grains, so it
+    has target_bytes and less than a grain more. Packets without a time are interval 0."""
     if seconds:
         return df.withColumn("interval_id", F.floor(F.unix_seconds("ts") / seconds).cast("int"))
-    bucket = F.pmod(F.xxhash64(coarse), F.lit(buckets)).cast("int")
-    running = F.sum(F.octet_length("payload")).over(Window.partitionBy(bucket).orderBy("ts", "flow_key", "seq").rowsBetween(Window.unboundedPreceding, -1))
-    part = F.floor(F.coalesce(running, F.lit(0)) / max(1, target_bytes)).cast("int")
-    return df.withColumn("interval_id", (part * buckets + bucket).cast("int"))
+    own = df.drop("interval_id").withColumn("grain", F.coalesce(F.floor(F.unix_seconds("ts") / grain), F.lit(-1)))
+    per = own.groupBy("grain").agg(F.sum(F.octet_length("payload")).alias("grain_bytes"))
+    before = F.coalesce(F.sum("grain_bytes").over(Window.orderBy("grain").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    named = per.select("grain", F.floor(before / max(1, target_bytes)).cast("int").alias("interval_id"))
+    return own.join(named, "grain").select(*df.columns) if "interval_id" in df.columns else own.join(named, "grain").drop("grain")
+
+
+#: Bytes of a flow that may meet in one row.
+FLOW_BYTES = 64 << 20
+
 
+def _order(df: DataFrame) -> list[str]:
+    """What orders a flow's packets: their number, and the fragment's where packets were cut."""
+    return ["seq", "frag"] if "frag" in df.columns else ["seq"]
 
-def reassemble(df: DataFrame, by: tuple[str, ...] = ("interval_id", "flow_key"), separator: bytes = b"") -> DataFrame:
+
+def reassemble(df: DataFrame, by: tuple[str, ...] = ("interval_id", "flow_key"), separator: bytes = b"", max_bytes: int = FLOW_BYTES) -> DataFrame:
     """One payload per flow: packets in order, joined without (or with) a separator. Excerpts that cross packets then have
-    their blocks. A flow's bytes meet in one row, so use intervals that bound a flow's bytes."""
-    joined = F.aggregate(
-        F.array_sort(F.collect_list(F.struct("seq", "payload"))), F.struct(F.lit(True).alias("first"), F.lit(b"").alias("out")),
-        lambda s, x: F.struct(F.lit(False).alias("first"), F.when(s["first"], x["payload"]).otherwise(F.concat(s["out"], F.lit(separator), x["payload"])).alias("out")), lambda s: s["out"],
-    )
-    out = df.groupBy(*by).agg(F.min("ts").alias("ts"), F.min("src").alias("src"), F.min("dst").alias("dst"), F.min("proto").alias("proto"), F.lit(0).cast("bigint").alias("seq"), joined.alias("payload"))
+    their blocks. A flow's bytes meet in one row: beyond max_bytes this fails, and flow_pieces does it in pieces."""
+    hx = lambda c: F.hex(F.coalesce(c, F.lit(b"")))
+    joined = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct(*_order(df), "payload"))), lambda x: hx(x["payload"])), separator.hex().upper())
+    size = F.sum(F.octet_length("payload"))
+    whole = F.when(size > max_bytes, F.raise_error(F.lit(f"a flow has more than {max_bytes} bytes in an interval: use flow_pieces"))).otherwise(F.unhex(joined))
+    out = df.groupBy(*by).agg(F.min("ts").alias("ts"), F.min("src").alias("src"), F.min("dst").alias("dst"), F.min("proto").alias("proto"), F.lit(0).cast("bigint").alias("seq"), whole.alias("payload"))
     return out.select("interval_id", "ts", "flow_key", "src", "dst", "proto", "seq", "payload")
 
 
+def flow_pieces(df: DataFrame, overlap: int, separator: bytes = b"", piece: int = 8 << 20) -> DataFrame:
+    """interval_id, flow_key, seq, payload: each flow's bytes in order, in pieces of about `piece` bytes that share `overlap` bytes with
+    the next, so every block of the flow is a block of a piece, and of no piece alone. Packets stream in order: a flow of any
+    size takes one piece of memory."""
+    keys = ["interval_id", "flow_key"]
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held, size, number = None, [], 0, 0
+        out: list[tuple] = []
+
+        def ready():
+            made = pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out, strict=True), (pa.int32(), pa.string(), pa.int64(), pa.binary()), strict=True)], [*keys, "seq", "payload"])
+            out.clear()
+            return made
+
+        waiting = 0
+        for batch in batches:
+            for i, flow, payload in zip(*(batch.column(c).to_pylist() for c in keys), batch.column("payload"), strict=True):
+                raw = payload.as_py() or b""
+                if (i, flow) != now:
+                    if now is not None:
+                        out.append((*now, number, b"".join(held)))
+                    now, held, size, number = (i, flow), [raw], len(raw), 0
+                else:
+                    held += [separator, raw] if separator else [raw]
+                    size += len(separator) + len(raw)
+                if size >= piece:
+                    whole = b"".join(held)
+                    out.append((*now, number, whole))
+                    held, size, number = [whole[-overlap:]], min(overlap, len(whole)), number + 1
+                waiting += len(raw)
+                if waiting >= piece and out:
+                    yield ready()
+                    waiting = 0
+        if now is not None:
+            out.append((*now, number, b"".join(held)))
+        if out:
+            yield ready()
+
+    order = [*keys, *_order(df)]
+    rows = df.select(*order, "payload").repartition(*keys).sortWithinPartitions(*order, "payload")
+    return rows.mapInArrow(kernel, "interval_id int, flow_key string, seq bigint, payload binary")
+
+
 def fragment(df: DataFrame, size: int) -> DataFrame:
-    """Payloads cut into packets of `size` bytes: what an evader does."""
+    """Payloads cut into packets of `size` bytes: what an evader does. A column frag numbers a packet's fragments."""
     n = F.greatest(F.ceil(F.octet_length("payload") / size), F.lit(1)).cast("int")
-    cut = df.withColumn("i", F.explode(F.sequence(F.lit(0), n - 1)))
-    return cut.withColumn("payload", F.expr(f"substring(payload, i * {size} + 1, {size})")).withColumn("seq", F.col("seq") * 65536 + F.col("i")).drop("i")
+    cut = df.withColumn("frag", F.explode(F.sequence(F.lit(0), n - 1)))
+    return cut.withColumn("payload", F.expr(f"substring(payload, frag * {size} + 1, {size})"))
 
 
 def with_view(df: DataFrame, view: str, key: int = 5) -> DataFrame:

@@ -302,12 +302,12 @@ def _(spark, d):
 
 
 ABSENT = f"""with {o.DOCS}, {o.SIZE}, {o.blocks()},
-all_slices as (select excerpt_id, substr(hx, 2 * ((len(hx) // 2 - 200) // 2) + 1, 400) as hx from (select conv_id * 64 + turn as excerpt_id, hex(encode(coalesce(text, ''))) as hx from conversations union all select page_id + 1000000000, hex(encode(coalesce(html, ''))) from pages) where len(hx) >= 400),
+all_slices as (select excerpt_id, substr(hx, 2 * ((len(hx) // 2 - 200) // 2) + 1, 400) as hx from (select printf('turn %d of %d', turn, conv_id) as excerpt_id, hex(encode(coalesce(text, ''))) as hx from conversations union all select printf('page %d', page_id), hex(encode(coalesce(html, ''))) from pages) where len(hx) >= 400),
 spaced as (select {o.SPACED.format('hx')} as sp from trace),
 excerpts as (select excerpt_id, hx from all_slices a where not exists (select 1 from spaced where contains(sp, {o.SPACED.format('a.hx')})) order by excerpt_id limit 10000),
-xt as (select excerpt_id::varchar as flow_key, 0::bigint as seq, hx from excerpts), {o.blocks('xt', 'xblk')},
+xt as (select excerpt_id as flow_key, 0::bigint as seq, hx from excerpts), {o.blocks('xt', 'xblk')},
 cfg as (select 0 as config_id, 1 as j, 2 as k, m as ms from size_), el as (select 0 as config_id, {o.digest('block')} as d, null::bigint as tag from blk), {o.bits('el')},
-ask as (select flow_key::bigint as excerpt_id, block_no, size, bool_and(b.pos is not null) as present from (select flow_key, block_no, size, ({o.number(o.digest('block'), '9', 12)} + r * {o.number(o.digest('block'), '21', 12)}) % ms as pos from xblk, cfg, range(2) g(r)) a left join bits b on a.pos = b.pos group by all)"""
+ask as (select flow_key as excerpt_id, block_no, size, bool_and(b.pos is not null) as present from (select flow_key, block_no, size, ({o.number(o.digest('block'), '9', 12)} + r * {o.number(o.digest('block'), '21', 12)}) % ms as pos from xblk, cfg, range(2) g(r)) a left join bits b on a.pos = b.pos group by all)"""
 
 
 @query("true_negative_size", f"{ABSENT} select size, count(*) as blocks, count(*) filter (not present) as negatives, round(count(*) filter (not present) / count(*), 6) as rate, round(count(*) filter (not present) / (select count(*) from ask where not present), 6) as share from ask group by size")

@@ -52,8 +52,8 @@ def unique_excerpts(spark: SparkSession, sf_dir: str, packets: DataFrame | None
 def absent_excerpts(spark: SparkSession, sf_dir: str, count: int = 10_000) -> DataFrame:
     """excerpt_id, excerpt: slices of turns and pages that no document contains."""
     turn = F.encode(F.coalesce("text", F.lit("")), "UTF-8")
-    turns = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 64 + F.col("turn")).alias("excerpt_id"), turn.alias("data"))
-    pages = table(spark, sf_dir, "pages").select((F.col("page_id") + 1_000_000_000).alias("excerpt_id"), F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("data"))
+    turns = table(spark, sf_dir, "conversations").select(F.format_string("turn %d of %d", "turn", "conv_id").alias("excerpt_id"), turn.alias("data"))
+    pages = table(spark, sf_dir, "pages").select(F.format_string("page %d", "page_id").alias("excerpt_id"), F.encode(F.coalesce("html", F.lit("")), "UTF-8").alias("data"))
     slices = turns.unionByName(pages).filter(F.octet_length("data") >= LENGTH).select("excerpt_id", F.expr(f"substring(data, (octet_length(data) - {LENGTH}) div 2 + 1, {LENGTH})").alias("excerpt"))
     found = baselines.exact_search(docs_trace(spark, sf_dir), slices)
     return slices.join(found.select("excerpt_id").distinct(), "excerpt_id", "left_anti").orderBy("excerpt_id").limit(count)
