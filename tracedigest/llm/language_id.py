@@ -5,9 +5,15 @@ its segmentations into pieces, by a forward algorithm; a text's is the product o
 maximisation over the words of a bounded sample of labelled rows: forward and backward sums give expected piece counts,
 summed over the corpus sample by one aggregation per step; the driver holds languages x pieces numbers, no more.
 
-Words are runs between Unicode white space, scored in stretches of STRETCH characters; the vocabulary marks a word's
-beginning. A character that no piece holds has one small probability in every language. In a batch each different word is
-scored once, by vectorised sums over all words at a time.
+Words are runs between Unicode white space, scored whole whatever their length (forward sums are rescaled as they go, and a long
+word is looked at SPAN characters at a time); the vocabulary marks a word's beginning, and all its pieces take part. A
+character that no piece holds has one small probability in every language. In a batch each different word is scored once, by
+vectorised sums over all words at a time.
+
+The prediction is the language of the highest probability. Its score compares, per character and so alike for texts of
+any length, the languages and a background of evenly likely characters: the share of the predicted one when each is weighted by
+its mean probability of SCORED characters, over the words with letters and no digit (over all, if there is none). Texts of one
+language score near 1, evenly mixed ones near 1 over the number of languages, and letters that are no words of any near 0.
 
 A text that is null or has no letter is `und` with score 0. Ties go to the first label in order. No labelled rows:
 everything is `und`. Label, source and id are never inputs of a prediction.
@@ -24,7 +30,12 @@ from pyspark.sql import functions as F
 
 from .common import materialize, pieces
 
-STRETCH, LONGEST = 24, 12
+#: Characters of a word that are looked at together, and characters of a batch of words.
+SPAN, BATCH_CHARS = 50_000, 300_000
+#: Words longer than this are not learned from.
+LEARNED = 256
+#: The background's probability of a character, and the characters that the score weighs by.
+BACKGROUND, SCORED = 1 / 64, 3.0
 #: Bound of the training sample: rows per label (a threshold on a hash of the id, so about this many at most).
 SAMPLE_ROWS = 1_500
 STEPS = 2
@@ -34,12 +45,12 @@ TABLE_BITS = 22
 
 
 def vocabulary(name: str = "piece_bpe_32k") -> list[str]:
-    """The pieces, without control and byte pieces, of at most LONGEST characters."""
+    """The pieces, without control and byte pieces."""
     import public_tokenizers
     import sentencepiece
 
     model = sentencepiece.SentencePieceProcessor(model_file=public_tokenizers.path(f"{name}.model"))
-    return [p for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)) and 0 < len(p := model.id_to_piece(i)) <= LONGEST]
+    return [p for i in range(model.get_piece_size()) if not (model.is_control(i) or model.is_unknown(i) or model.is_byte(i)) and (p := model.id_to_piece(i))]
 
 
 def codes(text: str) -> np.ndarray:
@@ -51,6 +62,7 @@ class Lattice:
 
     def __init__(self, words: list[str]):
         h = np.array([self.hashed(codes(w)) for w in words], np.uint64)
+        self.longest = max(map(len, words), default=1)
         self.order = np.argsort(h)
         self.sorted = h[self.order]
         self.seen = np.zeros(1 << TABLE_BITS, bool)
@@ -63,17 +75,16 @@ class Lattice:
             out = out * K + np.uint64(int(x) + 1)
         return (out * K)[0]
 
-    def places(self, words: list[str]) -> tuple[np.ndarray, list[tuple[np.ndarray, np.ndarray, np.ndarray]], np.ndarray]:
-        """Lengths of the words; for each place t (1, 2, ...) in a word, the arrays (word, length, piece) of all pieces that
-        end there. Pieces are -1 for a character without a piece."""
+    def places(self, words: list[str]) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """Lengths of the words, and the arrays (word, end, length, piece) of all pieces at all their places, in the order of end and
+        word. Pieces are -1 for a character without a piece."""
         n = np.array([len(w) for w in words], np.int64)
         flat = codes("".join(words)).astype(np.uint64)
-        start = np.cumsum(n) - n
         word = np.repeat(np.arange(len(n)), n)
-        place = np.arange(len(flat)) - np.repeat(start, n)
+        place = np.arange(len(flat)) - np.repeat(np.cumsum(n) - n, n)
         at, size, piece = [], [], []
         h = np.zeros(len(flat), np.uint64)
-        for k in range(1, LONGEST + 1):
+        for k in range(1, self.longest + 1):
             if len(flat) < k:
                 break
             h = h[: len(flat) - k + 1] * K + (flat[k - 1 :] + np.uint64(1))
@@ -93,65 +104,113 @@ class Lattice:
             piece.append(ids)
         at, size, piece = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (at, size, piece))
         end = place[at] + 1 if len(at) else at
-        order = np.argsort(end, kind="stable")
-        at, size, piece, end = at[order], size[order], piece[order], end[order]
-        cut = np.searchsorted(end, np.arange(1, (int(n.max()) if len(n) else 0) + 2))
-        return n, [(word[at[a:b]], size[a:b], piece[a:b]) for a, b in zip(cut[:-1], cut[1:], strict=True)]
-
-
-def forward(n: np.ndarray, steps: list, p: np.ndarray) -> np.ndarray:
-    """Sums over all segmentations of each word's beginnings: [place, word, language]. p: [piece + 1, language], the last row for
-    characters without a piece."""
-    out = np.zeros((len(steps) + 1, len(n), p.shape[1]))
-    out[0] = 1.0
-    for t, (word, size, piece) in enumerate(steps, 1):
-        gain = out[t - size, word] * p[piece]
-        cut = np.argsort(word, kind="stable")
-        word, gain = word[cut], gain[cut]
-        if len(word):
-            first = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
-            out[t, word[first]] = np.add.reduceat(gain, first, axis=0)
-    return out
+        order = np.lexsort((at, end))
+        return n, (word[at[order]] if len(at) else at, end[order], size[order], piece[order])
+
+
+def runs(x: np.ndarray) -> np.ndarray:
+    """Where runs of equal numbers begin."""
+    return np.flatnonzero(np.concatenate([[True], x[1:] != x[:-1]])) if len(x) else np.zeros(0, np.int64)
+
+
+class Forward:
+    """Sums over all segmentations of the words' beginnings, place by place: the last sums of each word and language, rescaled every
+    few places, and the logarithm of the scale. p: [piece + 1, language], the last row for characters without a piece."""
+
+    def __init__(self, words: int, longest: int, p: np.ndarray):
+        self.p, self.turns = p, longest + 1
+        self.ring = np.zeros((self.turns, words, p.shape[1]))
+        self.ring[0] = 1.0
+        self.scale = np.zeros((words, p.shape[1]))
+        self.at = 0
+
+    def run(self, n: np.ndarray, entries: tuple, skip: int = 0) -> np.ndarray:
+        """Goes on by the entries' places from `skip` on; the logarithm of every word's sum where its n characters end."""
+        word, end, size, piece = entries
+        out = np.zeros_like(self.scale)
+        last = int(n.max()) if len(n) else 0
+        cut = np.searchsorted(end, np.arange(skip + 1, last + 2))
+        done = np.searchsorted(np.sort(n), np.arange(skip + 1, last + 2))  # words come in the order of their length
+        for t, (a, b) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True), skip + 1):
+            self.at += 1
+            w = word[a:b]
+            gain = self.ring[(self.at - size[a:b]) % self.turns, w] * self.p[piece[a:b]]
+            first = runs(w)
+            own, now = w[first], self.at % self.turns
+            self.ring[now, own] = np.add.reduceat(gain, first, axis=0)
+            if t == last or done[t - skip] > done[t - skip - 1]:
+                over = own[n[own] == t]
+                out[over] = np.log(self.ring[now, over]) + self.scale[over]
+            if self.at % 8 == 0:
+                most = self.ring[:, own].max(axis=0)
+                self.ring[:, own] /= most
+                self.scale[own] += np.log(most)
+        return out
 
 
 def log_scores(lattice: Lattice, words: list[str], p: np.ndarray) -> np.ndarray:
     """Natural logarithm of each word's probability in each language."""
     out = np.zeros((len(words), p.shape[1]))
-    for a in range(0, len(words), 60_000):
-        own = words[a : a + 60_000]
-        order = np.argsort([len(w) for w in own], kind="stable")
-        for part in np.array_split(order, max(1, len(own) // 6_000)):
-            n, steps = lattice.places([own[i] for i in part])
-            f = forward(n, steps, p)
-            out[a + part] = np.log(np.maximum(f[n, np.arange(len(n))], 1e-300))
+    size = np.array([len(w) for w in words], np.int64)
+    order = np.argsort(size, kind="stable")
+    short = order[: np.searchsorted(size[order], SPAN, side="right")]
+    part = np.cumsum(size[short]) // BATCH_CHARS
+    for own in np.split(short, np.flatnonzero(np.diff(part)) + 1) if len(short) else []:
+        n, entries = lattice.places([words[i] for i in own])
+        out[own] = Forward(len(own), lattice.longest, p).run(n, entries)
+    for i in order[len(short) :].tolist():
+        f = Forward(1, lattice.longest, p)
+        for a in range(0, len(words[i]), SPAN):
+            lead = min(a, lattice.longest - 1)
+            n, entries = lattice.places([words[i][a - lead : a + SPAN]])
+            out[i] = f.run(n, entries, skip=lead)[0]
     return out
 
 
+def log_sums(x: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Logarithms of the sums of exp(x) over the runs that begin at `first`."""
+    most = np.maximum.reduceat(x, first)
+    return most + np.log(np.add.reduceat(np.exp(x - np.repeat(most, np.diff(np.append(first, len(x))))), first))
+
+
 def expected(lattice: Lattice, words: list[str], counts: np.ndarray, p: np.ndarray) -> np.ndarray:
-    """Expected number of each piece in counts[word] of each word, for one language (p: [piece + 1, 1])."""
-    out = np.zeros(len(p))
-    order = np.argsort([len(w) for w in words], kind="stable")
-    for part in np.array_split(order, max(1, len(words) // 20_000)):
-        n, steps = lattice.places([words[i] for i in part])
-        f = forward(n, steps, p)[:, :, 0]
-        back = np.zeros_like(f)
-        back[n, np.arange(len(n))] = 1.0
-        share = counts[part] / np.maximum(f[n, np.arange(len(n))], 1e-300)
-        for t in range(len(steps), 0, -1):
-            word, size, piece = steps[t - 1]
-            through = back[t, word] * p[piece, 0]
-            np.add.at(out, piece, f[t - size, word] * through * share[word])
-            np.add.at(back, (t - size, word), through)
+    """Expected number of each piece in counts[word] of each word, for one language (p: [piece + 1, 1]). In logarithms."""
+    out, logs = np.zeros(len(p)), np.log(p[:, 0])
+    size = np.array([len(w) for w in words], np.int64)
+    order = np.argsort(size, kind="stable")
+    part = np.cumsum(size) if not len(words) else np.cumsum(size[order]) // BATCH_CHARS
+    for own in np.split(order, np.flatnonzero(np.diff(part)) + 1) if len(order) else []:
+        n, (word, end, length, piece) = lattice.places([words[i] for i in own])
+        last, each = int(n.max()), np.arange(len(n))
+        ahead = np.full((last + 1, len(n)), -np.inf)
+        ahead[0] = 0.0
+        cut = np.searchsorted(end, np.arange(1, last + 2))
+        for t, (a, b) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True), 1):
+            first = runs(word[a:b])
+            ahead[t, word[a:b][first]] = log_sums(ahead[t - length[a:b], word[a:b]] + logs[piece[a:b]], first)
+        back = np.full((last + 1, len(n)), -np.inf)
+        back[n, each] = 0.0
+        by = np.lexsort((word, end - length))
+        start = (end - length)[by]
+        cut = np.searchsorted(start, np.arange(last + 1))
+        for t in range(last - 1, -1, -1):
+            some = by[cut[t] : cut[t + 1]]
+            if len(some):
+                first = runs(word[some])
+                back[t, word[some][first]] = log_sums(back[t + length[some], word[some]] + logs[piece[some]], first)
+        share = np.log(counts[own]) - ahead[n, each]
+        np.add.at(out, piece, np.exp(ahead[end - length, word] + logs[piece] + back[end, word] + share[word]))
     return out
 
 
-def stretches(text: str) -> list[str]:
-    """The words of a text with their mark, long ones in stretches."""
-    out = []
-    for word in text.split():
-        out.append(f"▁{word[:STRETCH]}")
-        out += [word[i : i + STRETCH] for i in range(STRETCH, len(word), STRETCH)]
-    return out
+def marked(text: str) -> list[str]:
+    """The words of a text with their mark; words in capitals in small letters."""
+    return [f"▁{w.lower() if w.isupper() else w}" for w in text.split()]
+
+
+def plain(word: str) -> bool:
+    """Whether a word counts in the score: letters, and no digit."""
+    return has_letter(word) and not any(map(str.isdigit, word))
 
 
 def has_letter(text: str | None) -> bool:
@@ -174,8 +233,9 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
             for x in pieces(batch):
                 held: dict[tuple[str, str], int] = {}
                 for text, label in zip(x.column("text").to_pylist(), x.column("label").to_pylist(), strict=True):
-                    for w in stretches(text):
-                        held[label, w] = held.get((label, w), 0) + 1
+                    for w in marked(text):
+                        if len(w) <= LEARNED:
+                            held[label, w] = held.get((label, w), 0) + 1
                 yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in held], pa.string()), pa.array([k[1] for k in held], pa.string()), pa.array(list(held.values()), pa.int64())], ["label", "word", "n"])
 
     counts = materialize(part.select("text", "label").mapInArrow(counted, "label string, word string, n bigint").groupBy("label", "word").agg(F.sum("n").alias("n")), "language-words")
@@ -208,8 +268,14 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
     return labels, p
 
 
+def share(total: np.ndarray, best: int, characters: int) -> float:
+    """The score of the language `best` for a text of so many characters with these log probabilities."""
+    mean = np.append(total / max(1, characters), np.log(BACKGROUND)) * SCORED
+    return float(1.0 / np.exp(np.minimum(mean - mean[best], 700.0)).sum())
+
+
 def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str = "doc_id", text_col: str = "text", keep: tuple[str, ...] = (), name: str = "piece_bpe_32k") -> DataFrame:
-    """doc_id, `keep` columns as k0, k1, ..., lang_pred, score (the posterior of the predicted language, priors equal)."""
+    """doc_id, `keep` columns as k0, k1, ..., lang_pred, score (0 to 1, see above)."""
     labels, _ = model
     held = docs.sparkSession.sparkContext.broadcast(model[1])
     words = vocabulary(name)
@@ -224,12 +290,14 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lattice, p = Lattice(words), held.value
         for batch in batches:
-            for part in pieces(batch, source, limit=12 << 20):
+            for part in pieces(batch, source, limit=8 << 20):
                 seen: dict[str, int] = {}
                 which = []
                 for text in part.column(source).to_pylist():
-                    which.append(np.array([seen.setdefault(w, len(seen)) for w in stretches(text)], np.int64) if labels and has_letter(text) else None)
-                scores = log_scores(lattice, list(seen), p)
+                    which.append(np.array([seen.setdefault(w, len(seen)) for w in marked(text)], np.int64) if labels and has_letter(text) else None)
+                every = list(seen)
+                scores = log_scores(lattice, every, p)
+                size = np.array([len(w) if plain(w) else 0 for w in seen], np.int64)
                 lang, score = [], []
                 for at in which:
                     if at is None:
@@ -239,7 +307,8 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
                     total = scores[at].sum(axis=0)
                     best = int(np.argmax(total))
                     lang.append(labels[best])
-                    score.append(float(1.0 / np.exp(total - total[best]).sum()))
+                    own = at[size[at] > 0] if size[at].any() else at
+                    score.append(share(scores[own].sum(axis=0), best, sum(len(every[i]) for i in own.tolist())))
                 yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*names, "lang_pred", "score"])
 
     return own.mapInArrow(kernel, schema)
