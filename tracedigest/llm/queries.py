@@ -93,7 +93,8 @@ r(verdict, rule, h, s) as (values ('allow', 'com/', 'com', '/'), ('block', 'exam
       ('block', 'net/es/', 'net', '/es/'), ('block', 'net/fr/', 'net', '/fr/')),
 f as (select page_id, arg_max(rule, length(rule)) as rule, arg_max(r.verdict, length(rule)) as verdict
       from q join r on (host = h or ends_with(host, '.' || h)) and starts_with(path, s) group by page_id)
-select q.page_id, host, path, f.rule, coalesce(f.verdict, case when list_has_any(string_split(host, '.'), ['casino', 'cheap-pills', 'free-money', 'spam-farm', 'win-prize', 'xxx']) then 'block' else 'allow' end) as verdict
+select q.page_id, host, path, f.rule, coalesce(f.verdict, case when regexp_matches(host, '(^|[.-])(ads-track|adserver|betting|bets|bingo|casino|cheap-pills|click-bait|crack-keys|dating-now|doubleclick|escorts|free-money|jackpot|keygen|link-farm|lottery|payday-loan|pharmacy-online|phishing|poker|porn|replica-watches|slots|spam-farm|sportsbook|torrents|viagra|warez|win-prize|xxx)($|[.-])')
+  or regexp_matches(path, '(^|[/._-])(casino|escorts|payday-loan|poker|porn|viagra|warez|xxx)($|[/._-])') then 'block' else 'allow' end) as verdict
 from q left join f using (page_id)""",
     "op5_decontaminate": r"""
 with t as (select doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') as w from documents),
