@@ -1,12 +1,13 @@
 """Benchmark decontamination: a broadcast hash set of normalised test n-grams, and one scan of the documents.
 
 Words: A-Z lowered, then runs of ASCII letters, digits and anything beyond ASCII. An item's windows are its runs of
-`window` words; a shorter item is one window. Every window of a document whose hash is in the set is verified word by
-word (words are numbered by the benchmark's own vocabulary, so equal numbers are equal words), and its words are hit.
+`window` words; a shorter item is one window. Every window of a document whose hash is in the set is verified byte by byte
+against the item's normalised words, and its words are hit.
 
-The scan is row-local: no exchange, no state beyond one slice of text. The set is broadcast only up to
-`max_broadcast_bytes` of item text; a larger benchmark is cut by item hash into parts of that size, and the documents
-stream through one kernel per part, each adding its hits.
+The set is arrays: sorted window hashes, the place of each window in one string of all normalised items, its item. Its bytes
+are counted before it is sent: a benchmark whose set would be larger than `max_broadcast_bytes` is cut by item hash into
+parts, and the documents stream through one kernel per part, each adding its hits. The scan is row-local: no
+exchange, no state beyond one slice of text.
 
 Nulls: a null text has no words and no hits; items with null text or no words give no window, items with a null id
 are left out. Repeated items and ids count once. Empty tables give no rows, or no hits. Only named columns are read.
@@ -15,9 +16,11 @@ are left out. Repeated items and ids count once. Empty tables give no rows, or n
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -32,28 +35,67 @@ def words(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "replace").translate(NORMAL).split()
 
 
-def rolling(ids: np.ndarray, window: int) -> np.ndarray:
-    """A hash of each run of `window` numbers."""
-    out = np.zeros(max(0, len(ids) - window + 1), np.uint64)
+def rolling(hashes: np.ndarray, window: int) -> np.ndarray:
+    """A hash of each run of `window` word hashes."""
+    out = np.zeros(max(0, len(hashes) - window + 1), np.uint64)
     for j in range(window):
-        out = out * MIX + ids[j : j + len(out)]
+        out = out * MIX + hashes[j : j + len(out)]
     return out ^ (out >> np.uint64(29))
 
 
-def grams(items: list[tuple[str, str]], window: int) -> tuple[dict[bytes, int], dict[int, dict[tuple, list[int]]], list[str]]:
-    """Vocabulary, windows by length with the numbers of the items that hold them, item ids."""
-    vocabulary: dict[bytes, int] = {}
-    by_length: dict[int, dict[tuple, list[int]]] = {}
+class WordHashes(dict):
+    def __missing__(self, word: bytes) -> int:
+        if len(self) > 400_000:
+            self.clear()
+        out = self[word] = xxhash.xxh3_64_intdigest(word)
+        return out
+
+
+@dataclass(frozen=True)
+class Grams:
+    """The windows of one length: sorted hashes; first byte, end and item of each in `text`, where words are joined by one space."""
+
+    hashes: np.ndarray
+    first: np.ndarray
+    end: np.ndarray
+    item: np.ndarray
+
+
+#: Bytes of the set for each word of an item beside its text, at most.
+WORD_BYTES = 8 + 8 + 8 + 4 + 1
+
+
+def grams(items: list[tuple[str, str]], window: int) -> tuple[bytes, dict[int, Grams], list[str]]:
+    """Normalised text of all items, windows by length (a window of one item once), item ids."""
+    memo = WordHashes()
     names = sorted({i for i, _ in items})
     number = {x: i for i, x in enumerate(names)}
-    for item, text in items:
-        ids = [vocabulary.setdefault(w, len(vocabulary) + 1) for w in words(text)]
-        n = min(window, len(ids))
-        for i in range(len(ids) - n + 1 if ids else 0):
-            held = by_length.setdefault(n, {}).setdefault(tuple(ids[i : i + n]), [])
-            if number[item] not in held:
-                held.append(number[item])
-    return vocabulary, by_length, names
+    text, found, at = [], {}, 0
+    for item, raw in items:
+        own = words(raw)
+        if not own:
+            continue
+        n = min(window, len(own))
+        size = np.array([len(w) for w in own], np.int64)
+        end = np.cumsum(size + 1) - 1
+        first = end - size
+        h = rolling(np.fromiter((memo[w] for w in own), np.uint64, len(own)), n)
+        found.setdefault(n, []).append((h, first[: len(h)] + at, end[n - 1 :] + at, np.full(len(h), number[item], np.int32)))
+        text.append(b" ".join(own))
+        at += int(end[-1]) + 1
+    by_length = {}
+    for n, parts in found.items():
+        h, first, end, item = (np.concatenate([p[i] for p in parts]) for i in range(4))
+        order = np.lexsort((item, h))
+        h, first, end, item = h[order], first[order], end[order], item[order]
+        # repeats within an item: the same hash and item once, unless the words differ
+        same = (h[1:] == h[:-1]) & (item[1:] == item[:-1])
+        whole = b" ".join(text)
+        keep = np.ones(len(h), bool)
+        for i in np.flatnonzero(same).tolist():
+            keep[i + 1] = whole[first[i] : end[i]] != whole[first[i + 1] : end[i + 1]]
+        by_length[n] = Grams(h[keep], first[keep], end[keep], item[keep])
+    return b" ".join(text), by_length, names
 
 
 def scan(docs: DataFrame, items: list[tuple[str, str]], window: int) -> DataFrame:
@@ -62,9 +104,8 @@ def scan(docs: DataFrame, items: list[tuple[str, str]], window: int) -> DataFram
     names, schema = docs.columns, docs.schema
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, by_length, item_ids = held.value
-        number = vocabulary.get
-        hashes = {n: np.sort(rolling(np.array(list(w), np.uint64).reshape(-1, n).T, n)[0]) for n, w in by_length.items()}
+        whole, by_length, item_ids = held.value
+        memo = WordHashes()
         for batch in batches:
             for part in pieces(batch):
                 spans, found = part.column("spans").to_pylist(), part.column("items").to_pylist()
@@ -72,17 +113,19 @@ def scan(docs: DataFrame, items: list[tuple[str, str]], window: int) -> DataFram
                 for row, text in enumerate(part.column("text").to_pylist()):
                     own = words(text)
                     counts.append(len(own))
-                    ids = np.fromiter((number(w, 0) for w in own), np.uint64, len(own))
-                    if not ids.any():
+                    if not own:
                         continue
+                    hashes = np.fromiter((memo[w] for w in own), np.uint64, len(own))
                     hit, seen = [], set()
-                    for n, table in hashes.items():
-                        at = rolling(ids, n)
-                        at = np.flatnonzero(table[np.minimum(np.searchsorted(table, at), len(table) - 1)] == at)
-                        for i in at.tolist():
-                            if (which := by_length[n].get(tuple(ids[i : i + n].tolist()))) is not None:
+                    for n, g in by_length.items():
+                        h = rolling(hashes, n)
+                        at = np.flatnonzero(g.hashes[np.minimum(np.searchsorted(g.hashes, h), len(g.hashes) - 1)] == h)
+                        for i, a, b in zip(at.tolist(), np.searchsorted(g.hashes, h[at]).tolist(), np.searchsorted(g.hashes, h[at], side="right").tolist(), strict=True):
+                            mine = b" ".join(own[i : i + n])
+                            which = [x for x in range(a, b) if whole[g.first[x] : g.end[x]] == mine]
+                            if which:
                                 hit.append({"a": i, "b": i + n})
-                                seen.update(which)
+                                seen.update(g.item[which].tolist())
                     if hit:
                         spans[row] = spans[row] + hit
                         found[row] = sorted({*found[row], *(item_ids[x] for x in seen)})
@@ -100,7 +143,8 @@ def scan(docs: DataFrame, items: list[tuple[str, str]], window: int) -> DataFram
 def mark(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_broadcast_bytes: int = 32 << 20, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text", keep: tuple[str, ...] = ()) -> DataFrame:
     """doc_id, text, `keep` columns (renamed k0, k1, ...), n_words, spans, items of each document."""
     items = benchmark.select(F.col(item_col).cast("string").alias("item"), F.col(item_text_col).alias("text")).filter("item is not null and text is not null").distinct()
-    size = items.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    # a word has a byte and a byte after it at least, and an item an id
+    size = items.agg(F.sum(F.octet_length("text") + (F.octet_length("text") / 2 + 1) * WORD_BYTES + F.octet_length("item") + 64)).first()[0] or 0
     parts = max(1, -(-int(size) // max_broadcast_bytes))
     out = docs.select(
         F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)],
