@@ -7,9 +7,10 @@ kept neighbour is nearer to it by the factor `alpha` than the node itself), reve
 alike. A second pass uses the relaxed factor. Queries, in blocks, search every shard by beam; distances of what a
 beam ends with are taken again in double precision, and the best of all shards are ranked.
 
-The index is one written row per shard; a query block visits a shard in one kernel call. Vectors that are null, zero, of another
-length than most, or hold null or non-finite components take no part; nor do rows with a null id. Repeated ids with
-different vectors are different rows of one id. An empty table gives no rows.
+The index is one written row per shard. A few shards meet a set of queries in one kernel call, which loads each once, searches in blocks
+and hands on the best of them all. Vectors that are null, zero, of another length than most, or hold null or non-finite
+components take no part; nor do rows with a null id. An id with several vectors is as near as its nearest one, as a
+neighbour and as a query. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -21,9 +22,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, shuffle_width
+from .common import materialize
 
 SHARD_NODES, DEGREE, BEAM, ALPHA, BLOCK = 4_000, 32, 64, 1.2, 512
+#: Queries and shards that meet in one kernel call.
+CALL_QUERIES, CALL_SHARDS = 8_192, 8
 
 
 def usable(rows: DataFrame, id_col: str, vector_col: str) -> DataFrame:
@@ -169,37 +172,36 @@ def index(nodes: DataFrame, dim: int, degree: int, beam: int, alpha: float) -> D
     return nodes.groupBy("shard").applyInArrow(kernel, "shard int, vectors binary, graph binary, start int, ids array<array<bigint>>")
 
 
-def search(shards: DataFrame, queries: DataFrame, dim: int, k: int, degree: int, beam: int, n_shards: int) -> DataFrame:
-    """query_id, vec_id, score of the k best of each shard."""
-    spark = shards.sparkSession
-    blocks = queries.select(F.pmod(F.xxhash64("vec_id"), F.lit(-(-max(1, queries.count()) // BLOCK))).cast("int").alias("block"), F.struct("vec_id", "v").alias("q"))
-    blocks = blocks.groupBy("block").agg(F.collect_list("q").alias("q")).select(F.explode(F.sequence(F.lit(0), F.lit(n_shards - 1))).alias("shard"), "q")
-    pairs = blocks.repartition(max(n_shards, shuffle_width(spark)), "shard").join(shards, "shard")
-
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for row in range(batch.num_rows):
-                one = batch.slice(row, 1).to_pylist()[0]
-                x = np.frombuffer(one["vectors"], np.float64).reshape(-1, dim)
-                graph = np.frombuffer(one["graph"], np.int32).reshape(len(x), degree).astype(np.int64)
-                q = np.array([r["v"] for r in one["q"]], np.float64).reshape(-1, dim)
-                found, _ = beam_search(x.astype(np.float32), graph, one["start"], q.astype(np.float32), max(beam, 2 * k))
-                query, vec, score = [], [], []
-                for i, near in enumerate(found):
+def search(shards: DataFrame, queries: DataFrame, dim: int, k: int, degree: int, beam: int, n_shards: int, call_queries: int = CALL_QUERIES, call_shards: int = CALL_SHARDS) -> DataFrame:
+    """query_id, vec_id, score of the k best of each query and few shards."""
+    sets, groups = -(-max(1, queries.count()) // call_queries), -(-n_shards // call_shards)
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    asked = queries.select("vec_id", "v", F.pmod(F.xxhash64("vec_id"), F.lit(sets)).cast("int").alias("part")).withColumn("some", every(groups))
+    held = shards.withColumn("some", F.floor(F.col("shard") / call_shards).cast("int")).withColumn("part", every(sets))
+
+    def kernel(own: pa.Table, asked: pa.Table) -> pa.Table:
+        ids = asked.column("vec_id").to_numpy()
+        q = asked.column("v").combine_chunks().flatten().to_numpy().reshape(-1, dim) if asked.num_rows else np.zeros((0, dim))
+        best: list[dict[int, float]] = [{} for _ in ids]
+        for n in range(own.num_rows if len(ids) else 0):
+            one = own.slice(n, 1)
+            x = np.frombuffer(one.column("vectors")[0].as_py(), np.float64).reshape(-1, dim)
+            graph = np.frombuffer(one.column("graph")[0].as_py(), np.int32).reshape(len(x), degree).astype(np.int64)
+            names, start, small = one.column("ids")[0].as_py(), one.column("start")[0].as_py(), x.astype(np.float32)
+            for a in range(0, len(ids), BLOCK):
+                found, _ = beam_search(small, graph, start, q[a : a + BLOCK].astype(np.float32), max(beam, 2 * k))
+                for i, near in enumerate(found, a):
                     near = near[near >= 0]
-                    d = np.sqrt(((x[near] - q[i]) ** 2).sum(1))
-                    best: dict[int, float] = {}  # an id may have several vectors
-                    for s, node in zip(d.tolist(), near.tolist(), strict=True):
-                        for v in one["ids"][node]:
-                            if v != one["q"][i]["vec_id"]:
-                                best[v] = min(s, best.get(v, s))
-                    own = sorted((s, v) for v, s in best.items())[:k]
-                    query += [one["q"][i]["vec_id"]] * len(own)
-                    vec += [v for _, v in own]
-                    score += [s for s, _ in own]
-                yield pa.RecordBatch.from_arrays([pa.array(query, pa.int64()), pa.array(vec, pa.int64()), pa.array(score, pa.float64())], ["query_id", "vec_id", "score"])
-
-    return pairs.mapInArrow(kernel, "query_id bigint, vec_id bigint, score double")
+                    mine = best[i]
+                    for s, node in zip(np.sqrt(((x[near] - q[i]) ** 2).sum(1)).tolist(), near.tolist(), strict=True):
+                        for v in names[node]:
+                            if v != ids[i]:
+                                mine[v] = min(s, mine.get(v, s))
+                    best[i] = {v: s for s, v in sorted((s, v) for v, s in mine.items())[:k]}
+        rows = [(i, v, s) for i, own in zip(ids.tolist(), best, strict=True) for v, s in own.items()]
+        return pa.table({"query_id": pa.array([r[0] for r in rows], pa.int64()), "vec_id": pa.array([r[1] for r in rows], pa.int64()), "score": pa.array([r[2] for r in rows], pa.float64())})
+
+    return held.groupBy("part", "some").cogroup(asked.groupBy("part", "some")).applyInArrow(kernel, "query_id bigint, vec_id bigint, score double")
 
 
 def nearest(rows: DataFrame, k: int = 10, query_step: int = 100, shard_nodes: int = SHARD_NODES, degree: int = DEGREE, beam: int = BEAM, alpha: float = ALPHA, id_col: str = "vec_id", vector_col: str = "embedding") -> DataFrame:
