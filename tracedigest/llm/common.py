@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -17,15 +16,13 @@ CHUNK_BYTES = 4 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one set here where none is (tests)."""
+    """The folder that driver and executors share: spark.checkpoint.dir, the session's checkpoint folder, or, where neither is set, one
+    in the warehouse, which executors reach as well."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
-    if folder:
-        return folder.rstrip("/")
-    held = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if not held.isDefined():
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="tracedigest-"))
+    if not folder:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
-    return held.get().rstrip("/")
+        folder = held.get() if held.isDefined() else f"{spark.conf.get('spark.sql.warehouse.dir').rstrip('/')}/_tracedigest"
+    return folder.rstrip("/")
 
 
 def materialize(df: DataFrame, tag: str) -> DataFrame:

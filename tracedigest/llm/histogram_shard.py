@@ -85,10 +85,11 @@ def histogram_shards(docs: DataFrame, shards: int = 8, tolerance: float = 1e-4,
     )
 
 
-def write_shards(docs: DataFrame, path: str, shards: int = 8, id_col: str = "doc_id", text_col: str = "text", tasks_per_shard: int = 8) -> None:
-    """The rows themselves, exchanged once and written under path/shard=N."""
-    slim = keyed(docs, id_col, text_col)
-    cuts, _, _ = splitters(materialize(slim, "shard-keys"), shards)
+def write_shards(docs: DataFrame, path: str, shards: int = 8, id_col: str = "doc_id", text_col: str = "text", task_bytes: int = 128 << 20) -> None:
+    """The rows themselves, exchanged once and written under path/shard=N, by a task for each `task_bytes` of a shard's text."""
+    slim = materialize(keyed(docs, id_col, text_col), "shard-keys")
+    cuts, _, _ = splitters(slim, shards)
+    tasks_per_shard = max(1, -(-int(slim.agg(F.sum("size")).first()[0] or 0) // (shards * task_bytes)))
     low = F.lit((1 << 31) - 1)
     key = F.shiftleft(F.xxhash64(text_col).bitwiseAND(low), 31) + F.xxhash64(F.lit(7), F.col(id_col)).bitwiseAND(low)
     shard = sum(((key >= F.lit(c)).cast("int") for c in cuts), F.lit(0))
