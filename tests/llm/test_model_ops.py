@@ -65,6 +65,83 @@ def test_language_of_held_out_documents(spark):
     assert len(right) > 20 and np.mean(right) > 0.97
 
 
+def test_long_words_are_summed_whole_and_all_pieces_take_part(monkeypatch):
+    """Against sums in whole numbers over all segmentations, across the places where a long word is looked at anew."""
+    from fractions import Fraction
+
+    pieces = language_id.vocabulary()
+    assert len(pieces) > 31_700 and max(map(len, pieces)) > 12
+    lattice = language_id.Lattice(pieces)
+    rng = np.random.default_rng(2)
+    p = np.maximum(rng.dirichlet(np.full(len(pieces) + 1, 0.1)), 1e-8)[:, None] * np.array([[1.0, 0.5]])
+    number = {x: i for i, x in enumerate(pieces)}
+    text = "▁relationshipprofessionalünd中" * 12
+    want = [Fraction(1)]
+    for t in range(1, len(text) + 1):
+        total = Fraction(0)
+        for k in range(1, min(t, lattice.longest) + 1):
+            x = text[t - k : t]
+            if x in number or k == 1:
+                total += want[t - k] * Fraction(float(p[number.get(x, -1), 0]))
+        want.append(total)
+    exact = float(want[-1].numerator.bit_length() - want[-1].denominator.bit_length()) * np.log(2)
+    got = language_id.log_scores(lattice, [text, "▁a"], p)
+    assert abs(got[0, 0] - exact) < 1.0 and got[0, 0] < -700  # beyond what one double holds
+    for span in (17, 50, 100):
+        monkeypatch.setattr(language_id, "SPAN", span)
+        assert np.allclose(language_id.log_scores(lattice, [text, "▁a"], p), got)
+
+
+def test_predictions_equal_brute_force_on_a_small_vocabulary(spark, monkeypatch):
+    pieces = ["▁", "a", "b", "c", "ab", "bc", "▁a", "ca", "abc"]
+    monkeypatch.setattr(language_id, "vocabulary", lambda name="": pieces)
+    rng = np.random.default_rng(4)
+    p = rng.dirichlet(np.ones(len(pieces) + 1), 3).T
+    p[-1] = 1e-4
+    texts = [(i, " ".join("".join(rng.choice(list("abcx1"), int(n))) for n in rng.integers(1, 6, int(rng.integers(1, 6))))) for i in range(40)]
+    got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language_id.predict(spark.createDataFrame(texts, "doc_id long, text string"), (["u", "v", "w"], p)).collect()}
+
+    def sums(word):
+        out = [np.ones(3)]
+        for t in range(1, len(word) + 1):
+            out.append(sum((out[t - k] * p[pieces.index(x) if x in pieces else -1] for k in range(1, t + 1) if (x := word[t - k : t]) in pieces or k == 1 and x not in pieces), np.zeros(3)))
+        return np.log(out[-1])
+
+    for i, text in texts:
+        if not any(map(str.isalpha, text)):
+            assert got[i] == ("und", 0.0)
+            continue
+        every = [f"▁{w}" for w in text.split()]
+        best = int(np.argmax(sum(map(sums, every))))
+        own = [w for w in every if any(map(str.isalpha, w)) and "1" not in w] or every
+        mean = 3.0 * np.append(sum(map(sums, own)) / sum(map(len, own)), np.log(1 / 64))
+        assert got[i][0] == "uvw"[best] and abs(got[i][1] - 1 / np.exp(mean - mean[best]).sum()) < 1e-9
+
+
+def test_language_stage_drops_mixed_and_junk_texts(spark):
+    """Evenly mixed texts and letters that are no words go; texts of one language stay, with secrets and numbers in them too."""
+    docs = rows("documents", "/root/testdata/sf0.01")
+    by = {}
+    for r in docs:
+        if r[1] and 40 < len(r[1].split()) < 400:
+            by.setdefault(r[2], []).append(r[1].split())
+    rng = np.random.default_rng(8)
+    junk = lambda n: " ".join("".join(map(chr, rng.integers(97, 123, 8))) for _ in range(n))
+    made = []
+    for i in range(15):
+        made.append((10**6 + i, junk(60), "en"))
+        made.append((2 * 10**6 + i, junk(40) + " " + " ".join(by["en"][i][:25]), "en"))
+        made.append((3 * 10**6 + i, " ".join(x for k in sorted(by) for x in (by[k][i] * 2)[:30]), "de"))
+        made.append((4 * 10**6 + i, " ".join(by["fr"][i][:30]) + " 4734663219866878 token=2abc3ff2ca8fb1e4c565a0eb63815530a948bdde", "fr"))
+    schema = "doc_id long, text string, lang string, source string, n_chars long"
+    every = spark.createDataFrame([*docs, *((i, t, None, "x", len(t)) for i, t, _ in made)], schema)
+    left = {r["doc_id"] for r in corpus_pipeline.language_stage(spark, every, SF).collect()}
+    kept = lambda m: sum(i // 10**6 == m and i in left for i, _, _ in made)
+    assert kept(1) == kept(2) == 0 and kept(3) <= 7 and kept(4) == 15
+    clean = {r[0] for r in docs if any(map(str.isalpha, r[1] or ""))}
+    assert len(clean - left) <= 0.005 * len(clean) and not (left - clean) & {r[0] for r in docs}
+
+
 def test_language_awkward_rows(spark):
     model = language_id.train(awkward(spark))
     got = {r["doc_id"]: (r["lang_pred"], r["score"]) for r in language_id.predict(awkward(spark), model).collect()}
@@ -101,6 +178,24 @@ def test_neighbours_have_high_recall(spark):
     assert hit / sum(map(len, want.values())) > 0.95
 
 
+def test_neighbours_over_several_shards(spark):
+    """Recall with shards of 300 nodes, few of which meet few queries at a time."""
+    data = rows("embeddings", "/root/testdata/sf0.1")
+    ids, x = np.array([r[0] for r in data]), np.array([r[1] for r in data], np.float64)
+    want = exact_neighbours(ids, x)
+    made = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    got = {}
+    for r in vamana.nearest(made, shard_nodes=300).collect():
+        got.setdefault(r["query_id"], set()).add(r["vec_id"])
+    assert sum(len(got[q] & {v for v, _ in near}) for q, near in want.items()) / sum(map(len, want.values())) > 0.95
+    own = vamana.usable(made, "vec_id", "embedding")
+    dim, n = vamana.main_length(own)
+    shards = vamana.index(vamana.distinct_vectors(own, dim, 11, 7), dim, 32, 64, 1.2).persist()
+    asked = own.filter("vec_id % 100 = 0")
+    best = lambda *how: {tuple(r) for r in vamana.search(shards, asked, dim, 10, 32, 64, 7, *how).groupBy("query_id").agg({"score": "min"}).collect()}
+    assert best(3, 2) == best(100, 7) == best(8192, 1)
+
+
 def test_neighbours_of_awkward_vectors(spark):
     data = [(100, [1.0, 0.0]), (1, [1.0, 0.0]), (2, [1.0, 0.0]), (3, [0.0, 0.0]), (4, None), (5, [float("nan"), 1.0]), (6, [1.0]), (7, [0.5, None]), (None, [1.0, 1.0]), (8, [0.0, 1.0]), (200, [0.0, 2.0])]
     made = spark.createDataFrame(data, "vec_id long, embedding array<double>")
@@ -190,6 +285,31 @@ def brute_format(c, r):
     return n, show(c[:n]), show(c[n:]), show(r[n:]), mask(c[n:]), mask(r[n:])
 
 
+def test_many_matches_in_one_text(spark):
+    """Places beyond one block of sums and of text, overlaps, and a mask that joins them."""
+    text = "".join(f"é{'x' * (i % 7)} secret='{'z' * (8 + i % 50)}' AKIA{'Q' * 20} {'a0' * 20}\U0001f600 " for i in range(3000))
+    docs = spark.createDataFrame([(1, text, "r", "o"), (2, "token=" + "a0" * 20 + "z", "r", "o")], "doc_id long, text string, repo string, owner string")
+    got = {r["doc_id"]: r["shown"] for r in secret_scan.scan(docs).select("doc_id", secret_scan.shown(secret_scan.F.col("base")).alias("shown")).collect()}
+    assert got[1] == brute_base(text)[1] and got[1].count(":") == 18_000
+    out, at = [], 0
+    for x in got[1].split(","):
+        s, e = map(int, x.split(":")[1:])
+        if s >= at:
+            out += [text[at:s], "[SECRET]"]
+        at = max(at, e)
+    clean = {r["doc_id"]: r["text"] for r in secret_scan.redact(docs).collect()}
+    assert clean == {1: "".join(out) + text[at:], 2: "[SECRET]"}
+
+
+def test_ownership_counts_repositories_too(spark):
+    key = "ghp_" + "k" * 36
+    made = lambda repos: spark.createDataFrame([(i, key, f"r{i}", "o") for i in range(repos)], "doc_id long, text string, repo string, owner string")
+    F = secret_scan.F
+    for repos, live in ((3, True), (4, False)):
+        got = secret_scan.scan(made(repos), repo=F.col("repo"), owner=F.col("owner")).select(F.size("spans")).collect()
+        assert [r[0] for r in got] == [int(live)] * repos
+
+
 def test_preference_format_equals_brute_force_and_sql(spark):
     convs = {}
     for conv, turn, role, text in rows("conversations"):

@@ -71,18 +71,22 @@ def brute_url(url):
         if (host == h or host.endswith("." + h)) and path.startswith("/" + p) and (best is None or len(rule) > len(best[1])):
             best = verdict, rule
     if best is None:
-        best = ("block" if any(x in host.split(".") for x in url_filter.BLOCKED_LABELS) else "allow"), None
+        own = any(re.search(rf"(^|[.-]){w}($|[.-])", host) for w in url_filter.HOST_WORDS) or any(re.search(rf"(^|[/._-]){w}($|[/._-])", path) for w in url_filter.PATH_WORDS)
+        best = ("block" if own else "allow"), None
     return host, path, best[1], best[0]
 
 
-URLS = ["http://WWW.Example.com/en/1", "https://example.com/en", "https://example.com/en/", "x.net/es/1", None, "", "a://b.net/es/?q", "a://net/fr/", "a://xnet/fr/", "http://spam-farm.org", "http://casino.example.org/x", "http://a.com", "http://a.com/?x://b.net/es/", "://com/", "http://e\u00e9.NET/es/\n#x", "http://com/En/"]
+URLS = ["http://free-bets.org/" + "x/" * 50_000, "http://free-bets.org/" + "x/" * 50_000, "http://" + "a." * 20_000 + "net/es/", "a://x.org/go/casino", "a://x.org/casinos/", "a://m.casino-win.org", "a://casinowin.org", "a://x.org/y.porn", "a://cheap-pills", "a://pills.org/cheap", "http://WWW.Example.com/en/1", "https://example.com/en", "https://example.com/en/", "x.net/es/1", None, "", "a://b.net/es/?q", "a://net/fr/", "a://xnet/fr/", "http://spam-farm.org", "http://casino.example.org/x", "http://a.com", "http://a.com/?x://b.net/es/", "://com/", "http://e\u00e9.NET/es/\n#x", "http://com/En/"]
 
 
 def test_url_filter_equals_brute_force(spark):
     got = {r[0]: tuple(r)[1:5] for r in queries.op2_url_filter(spark, SF).collect()}
     assert got == {i: brute_url(u) for i, u, _ in rows("pages")}
     made = spark.createDataFrame(list(enumerate(URLS)), "page_id long, url string")
-    assert {r[0]: tuple(r)[1:5] for r in url_filter.judge(made).collect()} == {i: brute_url(u) for i, u in enumerate(URLS)}
+    want = {i: brute_url(u) for i, u in enumerate(URLS)}
+    one, other = (sorted(map(tuple, url_filter.judge(made, closure_bytes=b).collect())) for b in (1 << 20, 0))
+    assert one == other and {r[0]: r[1:5] for r in one} == want
+    assert url_filter.judge(made.limit(0), closure_bytes=0).collect() == []
     assert url_filter.judge(made.limit(0)).collect() == []
 
 
@@ -168,6 +172,27 @@ def test_packing_covers_every_token_once(spark):
     assert len(bins) <= -(-total // 1024) * 1.01 + 1
 
 
+def test_packing_of_special_strings_and_a_hot_length(spark):
+    """Strings of special tokens have their id, as the tokenizer file says; a length of many rows has many buckets."""
+    from tokenizers import Tokenizer
+
+    import public_tokenizers
+
+    tok = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    texts = ["a<|endoftext|>b", "<|endoftext|>", " <|endoftext|> x<|endoftext", "plain"]
+    encode = bin_packing.encoder()
+    assert [encode(t) for t in texts] == [tok.encode(t, add_special_tokens=False).ids for t in texts] and encode(texts[0]) == [64, 50256, 65]
+    docs = spark.createDataFrame([(i, "one") for i in range(3000)] + [(9000, "a<|endoftext|>b")], "doc_id long, text string")
+    got = bin_packing.pack_documents(docs).collect()
+    bins = {}
+    for r in got:
+        bins.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    assert len(got) == 3001 and len(bins) == 6
+    for placed in bins.values():
+        placed.sort()
+        assert all(a + n == b for (a, n), (b, _) in zip(placed, placed[1:], strict=False)) and placed[0][0] == 0
+
+
 def test_packing_awkward_rows_and_sequences(spark):
     docs = awkward(spark)
     got = bin_packing.pack_documents(docs)
@@ -215,5 +240,5 @@ def test_shards_are_even_in_bytes(spark):
 
 def test_written_shards_hold_all_rows(spark, tmp_path):
     docs = awkward(spark)
-    histogram_shard.write_shards(docs, str(tmp_path / "out"), shards=4)
+    histogram_shard.write_shards(docs, str(tmp_path / "out"), shards=4, task_bytes=100_000)
     assert spark.read.parquet(str(tmp_path / "out")).count() == docs.count()
