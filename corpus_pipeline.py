@@ -1,6 +1,6 @@
 """The corpus pipeline: five stages over `documents`, each written and read again before the next.
 
-Language identification (texts without a letter and doubtful ones go), near-duplicates (one document of each class stays),
+Language identification (texts without a letter, and those of no one language go), near-duplicates (one document of each class stays),
 benchmark decontamination (documents that hold a benchmark window go), secret scans (found spans are masked), packing.
 Nulls and odd rows: as the operators say; a null text has no letter, so it goes in the first stage.
 """
@@ -13,7 +13,8 @@ from pyspark.sql import functions as F
 from tracedigest.llm import bin_packing, decontaminate, language_id, probminhash, secret_scan
 from tracedigest.llm.common import materialize
 
-LEAST_SCORE = 0.5
+#: Texts of one language score near 1; evenly mixed ones, and letters that are no words, less than this.
+LEAST_SCORE = 0.4
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
