@@ -80,6 +80,17 @@ def hier_fixed(block: int = 32, levels: int = 1):
     return cut
 
 
+def hier_elements(excerpt: bytes, a: int, place: int, block: int = 32, levels: int = 1) -> list[bytes]:
+    """What hier_fixed stores of the excerpt if its byte `a` begins the payload's block number `place`."""
+    out = []
+    for level in range(levels):
+        run = 1 << level
+        for i in range((len(excerpt) - a) // block - run + 1):
+            if (place + i) % run == 0:
+                out.append(excerpt[a + i * block : a + (i + run) * block] + b"@%d" % ((place + i) // run))
+    return out
+
+
 def packet_elements(trace: DataFrame) -> DataFrame:
     """Baseline 6: a whole payload is one element; only whole payloads can be asked for."""
     return trace.select("interval_id", "flow_key", F.col("payload").alias("block"))

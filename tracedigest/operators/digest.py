@@ -25,11 +25,11 @@ from . import bitindex, blocking, compress, membership, trace
 class DigestConfig:
     """reduction: raw bytes over filter bytes; m_bits overrides it (bits per interval). sections 1 is the conventional filter; index
     keeps flow bitmaps, of the sections or (feature "hash") of as many hash values beside a conventional filter; threshold discards smaller
-    blocks; assembly "flow" joins a flow's packets before blocking. hash_family: "portable" (SQL can say it), "fast" or "vector"."""
+    blocks; k may be "auto"; assembly "flow" joins a flow's packets before blocking. hash_family: "portable" (SQL can say it), "fast" or "vector"."""
 
     reduction: float = 100.0
     m_bits: int | None = None
-    k: int = 1
+    k: int | str = 1
     sections: int = 1
     window: int = 64
     overlap: int = 4
@@ -41,14 +41,25 @@ class DigestConfig:
     salt: str = ""
     flow_blocks: bool = True
     feature: str = "section"
+    reduction_includes_index: bool = False
 
     @property
     def filter_sections(self) -> int:
         """Sections of the filter itself: the index's feature may also be a plain hash beside a conventional filter."""
         return 1 if self.feature == "hash" else self.sections
 
-    def sized(self, raw_bytes: int) -> DigestConfig:
-        return self if self.m_bits else replace(self, m_bits=max(32 * self.filter_sections, int(8 * raw_bytes / self.reduction)))
+    def sized(self, raw_bytes: int, flows: int = 0) -> DigestConfig:
+        """With m_bits and k as numbers, for an interval of so many bytes (and flows, if the reduction is that of filter and
+        uncompressed index together). k "auto" fits the load that is to be expected."""
+        own = self
+        if not own.m_bits:
+            index_bits = flows * self.sections if self.reduction_includes_index and self.index else 0
+            own = replace(own, m_bits=max(32 * self.filter_sections, int(8 * raw_bytes / self.reduction) - index_bits))
+        if own.k == "auto":
+            kept = max(0, min(self.window, self.window + self.overlap + 1 - self.threshold)) / self.window
+            blocks = raw_bytes / ((self.window + 1) / 2) * kept
+            own = replace(own, k=membership.best_k(own.m_bits, int(blocks * (2 if self.flow_blocks else 1))))
+        return own
 
 
 #: Bytes of a section's bits in one row.
@@ -127,7 +138,7 @@ class Digest:
 
 CONFIG_TYPES = {
     "reduction": "double", "m_bits": "bigint", "k": "int", "sections": "int", "window": "int", "overlap": "int", "threshold": "int", "keep_equal": "boolean", "index": "boolean", "assembly": "string",
-    "hash_family": "string", "salt": "string", "flow_blocks": "boolean", "feature": "string", "codec": "string",
+    "hash_family": "string", "salt": "string", "flow_blocks": "boolean", "feature": "string", "reduction_includes_index": "boolean", "codec": "string",
 }
 
 
@@ -158,8 +169,14 @@ def raw_bytes(packets: DataFrame) -> int:
     return int(packets.agg(F.coalesce(F.sum(F.octet_length("payload")), F.lit(0))).first()[0])
 
 
-def largest_interval(packets: DataFrame) -> int:
-    return int(packets.groupBy("interval_id").agg(F.sum(F.octet_length("payload")).alias("b")).agg(F.coalesce(F.max("b"), F.lit(0))).first()[0])
+def largest_interval(packets: DataFrame, flows: bool = False) -> tuple[int, int]:
+    """Bytes (and flows, if asked for) of the interval with most bytes."""
+    per = packets.groupBy("interval_id").agg(F.coalesce(F.sum(F.octet_length("payload")), F.lit(0)).alias("b"))
+    found = per.orderBy(F.desc("b"), "interval_id").first()
+    if found is None:
+        return 0, 0
+    n = packets.filter(F.col("interval_id") == found["interval_id"]).select("flow_key").distinct().count() if flows else 0
+    return int(found["b"]), n
 
 
 def blocks_of(packets: DataFrame, config: DigestConfig) -> DataFrame:
@@ -235,10 +252,23 @@ class _Filter:
             yield int(key[a]) // layout.chunks, int(key[a]) % layout.chunks, bits
 
 
-def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20) -> DataFrame:
+def cut_places(cut):
+    """A baseline's elements in the form of winnowed places."""
+
+    def places(payloads: list[bytes | None]):
+        for a, b in blocking.chunks(payloads):
+            row, number, start, _, blocks = cut(payloads[a:b])
+            end = np.cumsum(np.fromiter(map(len, blocks), np.int64, len(blocks)))
+            yield b"".join(blocks), np.concatenate([[0], end[:-1]]) if len(end) else end, end, np.asarray(row, np.int64) + a, number, start
+
+    return places
+
+
+def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20, cut=None) -> DataFrame:
     """interval_id, flow_key ("\\0": filter), section and chunk (0 for flows), whole (bytes that the bits have when unpacked), bits: what
     each task has gathered, at most about `budget` bytes at a time."""
     layout, width = Layout.of(config), -(-config.sections // 8)
+    places = cut_places(cut) if cut is not None else lambda payloads: blocking.winnow_places(payloads, config.window, config.overlap, config.threshold, config.keep_equal)
     names, types = ["interval_id", "flow_key", "section", "chunk", "whole", "bits"], (pa.int32(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -274,7 +304,7 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20)
                 suffix = [flow_suffix(f) for f in flows]
             one = len(np.unique(interval)) == 1
             touched: list[tuple[np.ndarray, np.ndarray]] = []
-            for data, at, to, row, _, _ in blocking.winnow_places(batch.column("payload").to_pylist(), config.window, config.overlap, config.threshold, config.keep_equal):
+            for data, at, to, row, _, _ in places(batch.column("payload").to_pylist()):
                 if not len(row):
                     continue
                 if config.hash_family == "vector":
@@ -354,12 +384,13 @@ def or_merged(parts: DataFrame, keys: list[str]) -> DataFrame:
     return parts.select(*keys, "whole", "bits").repartition(*keys).sortWithinPartitions(*keys).mapInArrow(kernel, schema)
 
 
-def build(packets: DataFrame, config: DigestConfig) -> Digest:
-    """A digest of the packets. Without m_bits the largest interval's bytes decide it (one cheap aggregate before)."""
-    config = config if config.m_bits else config.sized(largest_interval(packets))
+def build(packets: DataFrame, config: DigestConfig, cut=None) -> Digest:
+    """A digest of the packets. Without m_bits the largest interval's bytes decide it (one cheap aggregate before). cut: a
+    baseline's elements instead of winnowed blocks."""
+    config = config if config.m_bits and config.k != "auto" else config.sized(*largest_interval(packets, config.reduction_includes_index))
     own = prepared(packets, config)
     flows = bitindex.flow_list(packets)
-    merged = or_merged(_partials(own, config), ["interval_id", "flow_key", "section", "chunk"])
+    merged = or_merged(_partials(own, config, cut=cut), ["interval_id", "flow_key", "section", "chunk"])
     if not config.index:
         return Digest(config, merged.drop("flow_key"), flows, None)
     merged = merged.persist(StorageLevel.MEMORY_AND_DISK)  # read twice below, until close()

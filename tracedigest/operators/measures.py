@@ -129,16 +129,18 @@ def timed(fn: Callable[[], DataFrame | None]) -> float:
     return time.perf_counter() - began
 
 
-#: The cost model's formulas, for payload length b, n blocks, t instances, k hashes, reduction d.
+#: The cost model's formulas, for payload length b, n blocks, t instances, k hashes, reduction d, index bytes i.
 COSTS = (
-    ("boundary_selection", lambda b, n, t, k, d: (2 * b, 2 * t * b, b, 2 * b, 2 * b)),
-    ("blocks", lambda b, n, t, k, d: (n, t * n, n, 2 * n, n / d)),
-    ("block_processing", lambda b, n, t, k, d: (k, k, k, k, k + 2)),
+    ("boundary_selection", lambda b, n, t, k, d, i: (2 * b, 2 * t * b, b, 2 * b, 2 * b)),
+    ("blocks", lambda b, n, t, k, d, i: (n, t * n, n, 2 * n, n / d)),
+    ("block_processing", lambda b, n, t, k, d, i: (k, k, k, k, k + 2)),
+    ("storage_processing", lambda b, n, t, k, d, i: (0, 0, 0, 0, i)),
 )
 
 
-def cost_table(spark: SparkSession, b: float, n: float, t: int, d: float, k: int) -> DataFrame:
-    rows = [(name, *(float(x) for x in f(b, n, t, k, d))) for name, f in COSTS]
+def cost_table(spark: SparkSession, b: float, n: float, t: int, d: float, k: int, index: float = 0.0) -> DataFrame:
+    """index: bytes of bitmaps that compression goes over; only a digest with an index has that cost."""
+    rows = [(name, *(float(x) for x in f(b, n, t, k, d, index))) for name, f in COSTS]
     return spark.createDataFrame(rows, "measure string, shingled_winnow double, multi_winnow double, fixed_multifilter double, double_winnow double, sectioned_indexed double")
 
 
@@ -163,6 +165,13 @@ def arrival_profile(trace: DataFrame) -> DataFrame:
     return per.crossJoin(F.broadcast(mean)).select("interval_id", "packets", "bytes", F.round(F.col("bytes") / F.col("mean"), 6).alias("to_mean"))
 
 
+def storage_seconds(flowbits: DataFrame, codec: str = "lzma2") -> float:
+    """Measured cost of storage processing: seconds to compress the bitmap table."""
+    from . import compress
+
+    return timed(lambda: compress.pack_index(flowbits, codec))
+
+
 def lzma_size(flowbits: DataFrame, codec: str = "lzma2") -> DataFrame:
     from . import compress
 

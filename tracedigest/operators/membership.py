@@ -60,7 +60,9 @@ def packed(words: DataFrame, m_bits: int, sections: int, keys: tuple[str, ...] =
 
 
 def to_array(words: DataFrame, m_bits: int, sections: int) -> np.ndarray:
-    """One interval's filter in the driver, for kernels that hold it whole: [section, word]. The caller bounds m_bits."""
+    """One interval's filter in the driver, for kernels that hold it whole: [section, word]. Up to 512 MB."""
+    if m_bits > 1 << 32:
+        raise ValueError(f"a filter of {m_bits} bits is not for one array")
     n = -(-max(1, m_bits // sections) // 32)
     out = np.zeros((sections, n), np.uint32)
     for section, word_ix, word in words.select("section", "word_ix", "word").collect():

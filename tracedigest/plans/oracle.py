@@ -65,8 +65,8 @@ excerpts as (select excerpt_id, hx, true_flow from slices join found using (exce
 xt as (select excerpt_id::varchar as flow_key, 0::bigint as seq, hx from excerpts)"""
 
 
-def unique(limit: int = 1000) -> str:
-    return UNIQUE.replace("limit 1000", f"limit {limit}")
+#: The same without the experiments' number of excerpts.
+UNIQUE_ALL = UNIQUE.replace(" order by excerpt_id limit 1000", "")
 
 
 #: Filter size in bits at 100:1, of the trace.
@@ -110,6 +110,7 @@ def setup(packets: str = DOCS) -> str:
 
 
 SETUP = setup()
+SETUP_ALL = SETUP.replace(UNIQUE, UNIQUE_ALL)
 
 
 def sweep(entries: list[dict], columns: str, packets: str = DOCS) -> str:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -222,7 +222,7 @@ def _(spark, d):
 
 
 def _pruned(spark, d, inverted: bool) -> DataFrame:
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     c = DigestConfig(sections=256, index=True).sized(e.raw)
     blocks = attribution.excerpt_blocks(e.excerpts, c)
     if not inverted:
@@ -231,7 +231,7 @@ def _pruned(spark, d, inverted: bool) -> DataFrame:
     return bitindex.prune_inverted(bitindex.invert(dg.content_elements(e.blocks, c)), hits).select("excerpt_id", "flow_key")
 
 
-PRUNED = f"{o.SETUP}, touched as (select distinct flow_key, {o.number(o.digest('block'), '1', 8)} % 256 as section from blk), need as (select distinct flow_key::bigint as excerpt_id, {o.number(o.digest('block'), '1', 8)} % 256 as section from xblk), n as (select excerpt_id, count(*) as n from need group by 1)"
+PRUNED = f"{o.SETUP_ALL}, touched as (select distinct flow_key, {o.number(o.digest('block'), '1', 8)} % 256 as section from blk), need as (select distinct flow_key::bigint as excerpt_id, {o.number(o.digest('block'), '1', 8)} % 256 as section from xblk), n as (select excerpt_id, count(*) as n from need group by 1)"
 PRUNED += ", kept as (select excerpt_id, flow_key from need join touched using (section) join n using (excerpt_id) group by excerpt_id, flow_key, n having count(*) = n)"
 
 
@@ -247,14 +247,14 @@ def _(spark, d):
 
 @query("candidate_stats", f"{PRUNED} select (select count(*) from excerpts) as excerpts, count(*) as candidates, round(count(*) / (select count(*) from excerpts), 6) as mean, (select max(c) from (select count(*) as c from kept group by excerpt_id)) as most from kept")
 def _(spark, d):
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     c = DigestConfig(sections=256, index=True).sized(e.raw)
     return measures.candidate_stats(attribution.candidates_of(attribution.excerpt_blocks(e.excerpts, c), e.words(c), e.flows, e.excerpts, c), e.excerpts)
 
 
 @query("flow_probes", f"{PRUNED} select sum(c * b)::bigint as probes from (select excerpt_id, count(*) as c from kept group by 1) join (select flow_key::bigint as excerpt_id, count(*) as b from xblk group by 1) using (excerpt_id)")
 def _(spark, d):
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     c = DigestConfig(sections=256, index=True).sized(e.raw)
     blocks = attribution.excerpt_blocks(e.excerpts, c)
     return measures.flow_probes(attribution.candidates_of(blocks, e.words(c), e.flows, e.excerpts, c), blocks)
@@ -288,14 +288,14 @@ def _(spark, d):
 # ---- attribution
 
 
-@query("unique_excerpts", f"with {o.DOCS}, {o.unique()} select excerpt_id, hx as excerpt, true_flow from excerpts")
+@query("unique_excerpts", f"with {o.DOCS}, {o.UNIQUE_ALL} select excerpt_id, hx as excerpt, true_flow from excerpts")
 def _(spark, d):
     return w.unique_excerpts(spark, d).select("excerpt_id", F.hex("excerpt").alias("excerpt"), "true_flow")
 
 
-@query("appearance", f"{o.SETUP}, {o.evaluation([{'k': 2}])} select excerpt_id, 0 as interval_id from excerpts anti join gone using (excerpt_id)")
+@query("appearance", f"{o.SETUP_ALL}, {o.evaluation([{'k': 2}])} select excerpt_id, 0 as interval_id from excerpts anti join gone using (excerpt_id)")
 def _(spark, d):
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     c = DigestConfig(k=2).sized(e.raw)
     present, _ = attribution.appearance(attribution.excerpt_blocks(e.excerpts, c), e.excerpts, dg.words_of(e.blocks, c), e.flows, c)
     return present
@@ -325,12 +325,12 @@ def _(spark, d):
 
 
 def _verdict_sql(entry: dict) -> str:
-    return f"{o.SETUP}, {o.evaluation([entry])} select excerpt_id, flow_key from (select excerpt_id, flow_key from excerpts, flows) anti join missed using (excerpt_id, flow_key)"
+    return f"{o.SETUP_ALL}, {o.evaluation([entry])} select excerpt_id, flow_key from (select excerpt_id, flow_key from excerpts, flows) anti join missed using (excerpt_id, flow_key)"
 
 
 @query("determine_exhaustive", _verdict_sql({"k": 2}))
 def _(spark, d):
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     c = DigestConfig(k=2).sized(e.raw)
     words, blocks = dg.words_of(e.blocks, c), attribution.excerpt_blocks(e.excerpts, c)
     present, _ = attribution.appearance(blocks, e.excerpts, words, e.flows, c)
@@ -340,7 +340,7 @@ def _(spark, d):
 @query("attribute_pruned", _verdict_sql({"sections": 256, "index": True}))
 def _(spark, d):
     """The whole procedure on a built digest: appearance, index, flow-bound probes."""
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     digest = dg.build(e.packets, DigestConfig(sections=256, index=True).sized(e.raw))
     return attribution.attribute(e.excerpts, digest).select("excerpt_id", "flow_key")
 
@@ -348,22 +348,22 @@ def _(spark, d):
 @query("attribute_hash_feature", _verdict_sql({"sections": 256, "index": True, "feature": "hash"}))
 def _(spark, d):
     """The index's feature from a hash, beside a conventional filter."""
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     digest = dg.build(e.packets, DigestConfig(sections=256, index=True, feature="hash").sized(e.raw))
     return attribution.attribute(e.excerpts, digest).select("excerpt_id", "flow_key")
 
 
 @query("attribute_downsampled", _verdict_sql({"sections": 256, "threshold": 40, "index": True}))
 def _(spark, d):
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     digest = dg.build(e.packets, DigestConfig(sections=256, threshold=40, index=True).sized(e.raw))
     return attribution.attribute(e.excerpts, digest).select("excerpt_id", "flow_key")
 
 
-@query("attribute_flagged", f"{o.SETUP}, {o.evaluation([{'threshold': 60}])} select excerpt_id, flow_key, excerpt_id not in (select excerpt_id from xd where size >= 60) as untestable from (select excerpt_id, flow_key from excerpts, flows) anti join missed using (excerpt_id, flow_key)")
+@query("attribute_flagged", f"{o.SETUP_ALL}, {o.evaluation([{'threshold': 60}])} select excerpt_id, flow_key, excerpt_id not in (select excerpt_id from xd where size >= 60) as untestable from (select excerpt_id, flow_key from excerpts, flows) anti join missed using (excerpt_id, flow_key)")
 def _(spark, d):
     """Excerpts without a kept block, flagged: they are reported everywhere."""
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     digest = dg.build(e.packets, DigestConfig(threshold=60).sized(e.raw))
     return attribution.attribute(e.excerpts, digest, on_empty="flag").select("excerpt_id", "flow_key", "untestable")
 
@@ -371,17 +371,15 @@ def _(spark, d):
 @query("attribute_saved", _verdict_sql({"sections": 64, "index": True}))
 def _(spark, d):
     """A digest written with a compressed index, loaded, and asked in a range of intervals."""
-    e = w.Experiment(spark, d)
+    e = w.Experiment(spark, d, count=None)
     path = f"{shared_folder(spark)}/digest"
     dg.build(e.packets, DigestConfig(sections=64, index=True).sized(e.raw)).save(path, codec="lzma2")
     return attribution.attribute(e.excerpts, dg.load(spark, path), between=(0, 0)).select("excerpt_id", "flow_key")
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """A new folder in the session's checkpoint folder, or a local one where none is set."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="tracedigest-")
+    """A new folder in the session's checkpoint folder, or in its warehouse where none is set: both are shared by all executors."""
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.conf.get("spark.sql.warehouse.dir")
     return f"{base.rstrip('/')}/tracedigest-{uuid.uuid4().hex}"
 
 
@@ -401,7 +399,7 @@ def _(spark, d):
     return truth.join(verdict, ["config_id", "excerpt_id", "flow_key"], "left_anti").select("excerpt_id", "flow_key")
 
 
-@query("safe_threshold", f"{o.SETUP} select min(largest)::int as safe from (select flow_key, max(size) as largest from xblk group by flow_key)")
+@query("safe_threshold", f"{o.SETUP_ALL} select min(largest)::int as safe from (select flow_key, max(size) as largest from xblk group by flow_key)")
 def _(spark, d):
     return downsample.safe_threshold(attribution.excerpt_blocks(w.unique_excerpts(spark, d), DigestConfig()))
 
@@ -475,23 +473,21 @@ def _(spark, d):
     return w.index_stats(spark, d, w.docs_trace(spark, d, by="skew"))
 
 
-@query("cost_table", f"{DOCS_BLOCKS}, {o.SIZE}, x as (select raw::double as b, (select count(*) from blk)::double as n, (select round(count(*) / count(*) filter (size >= 40), 6) from blk) as d from size_) select 'boundary_selection' as measure, 2 * b as shingled_winnow, 4 * b as multi_winnow, b as fixed_multifilter, 2 * b as double_winnow, 2 * b as sectioned_indexed from x union all select 'blocks', n, 2 * n, n, 2 * n, n / d from x union all select 'block_processing', 1, 1, 1, 1, 3")
+@query("cost_table", f"{DOCS_BLOCKS}, {o.SIZE}, x as (select raw::double as b, (select count(*) from blk)::double as n, (select round(count(*) / count(*) filter (size >= 40), 6) from blk) as d from size_) select 'boundary_selection' as measure, 2 * b as shingled_winnow, 4 * b as multi_winnow, b as fixed_multifilter, 2 * b as double_winnow, 2 * b as sectioned_indexed from x union all select 'blocks', n, 2 * n, n, 2 * n, n / d from x union all select 'block_processing', 1, 1, 1, 1, 3 union all select 'storage_processing', 0, 0, 0, 0, (select flows * 32 from size_)")
 def _(spark, d):
     return w.cost_table(spark, d)
 
 
 # ---- baselines
 
-BASE = f"with {o.DOCS}, {o.SIZE}, {o.UNIQUE}"
-
-
-def _plain_eval(el: str, xel: str) -> str:
-    """Rates of one filter of k = 1 from elements el(flow_key, block) and excerpt elements xel(excerpt_id, block)."""
-    return f""", cfg as (select 0 as config_id, 1 as j, 1 as k, m as ms from size_), e2 as (select 0 as config_id, {o.digest('block')} as d, null::bigint as tag from {el} union all select 0, {o.digest('block', 'flow_key')}, null from {el}), {o.bits('e2')},
-flows as (select distinct flow_key from trace), gone as (select distinct excerpt_id from (select excerpt_id, {o.number(o.digest('block'), '9', 12)} % ms as pos from {xel}, cfg) a anti join bits using (pos)),
-miss as (select distinct excerpt_id, flow_key from (select excerpt_id, flow_key, {o.number(o.digest('block', 'flow_key'), '9', 12)} % ms as pos from {xel}, flows, cfg) a anti join bits using (pos)),
+def _plain_eval(el: str, xel: str, k: int = 1, m: str = "m") -> str:
+    """Rates of one filter of m bits and k hashes from elements el(flow_key, block) and excerpt elements xel(excerpt_id, block)."""
+    at = lambda flow: f"({o.number(o.digest('block', flow), '9', 12)} + r * {o.number(o.digest('block', flow), '21', 12)}) % ms as pos"
+    return f""", cfg as (select 0 as config_id, 1 as j, {k} as k, {m} as ms from size_), e2 as (select 0 as config_id, {o.digest('block')} as d, null::bigint as tag from {el} union all select 0, {o.digest('block', 'flow_key')}, null from {el}), {o.bits('e2')},
+flows as (select distinct flow_key from trace), gone as (select distinct excerpt_id from (select excerpt_id, {at(None)} from {xel}, cfg, range({k}) g(r)) a anti join bits using (pos)),
+miss as (select distinct excerpt_id, flow_key from (select excerpt_id, flow_key, {at('flow_key')} from {xel}, flows, cfg, range({k}) g(r)) a anti join bits using (pos)),
 bad as (select excerpt_id, flow_key from miss union select excerpt_id, flow_key from gone, flows)
-select '{{name}}' as method, (select count(*) from {el})::bigint as elements, (select count(*) from excerpts) as excerpts, r as reported, r - (select count(*) from excerpts) as false_flows, round((r - (select count(*) from excerpts)) / ((select count(*) from excerpts) * (select flows from size_)), 6) as fpr
+select '{{name}}' as method, {k} as k, (select count(*) from {el})::bigint as elements, (select count(*) from excerpts) as excerpts, r as reported, r - (select count(*) from excerpts) as false_flows, round((r - (select count(*) from excerpts)) / ((select count(*) from excerpts) * (select flows from size_)), 6) as fpr
 from (select (select count(*) from excerpts) * (select flows from size_) - count(*) as r from bad)"""
 
 
@@ -503,47 +499,93 @@ def _baseline(name: str):
     return run
 
 
-query("b_shingled", f"{BASE}, {o.blocks()}, {o.blocks('xt', 'xblk')}, xel as (select flow_key::bigint as excerpt_id, block from xblk)" + _plain_eval("blk", "xel").format(name="shingled_winnow"))(_baseline("shingled_winnow"))
-query(
-    "b_multi",
-    f"{BASE}, {o.blocks(out='k0')}, {o.blocks(out='k1', instance=1)}, {o.blocks('xt', 'x0')}, {o.blocks('xt', 'x1', instance=1)}, el as (select flow_key, encode('0:') || block as block from k0 union all select flow_key, encode('1:') || block from k1), xel as (select flow_key::bigint as excerpt_id, encode('0:') || block as block from x0 union all select flow_key::bigint, encode('1:') || block from x1)"
-    + _plain_eval("el", "xel").format(name="multi_winnow"),
-)(_baseline("multi_winnow"))
-
-
 def _twice(src: str, out: str, key: str) -> str:
     return f"""{out} as (select {key}, block from {src} union all select {key}, block || encode('~' || ({o.number('md5(nxt)', '1', 8)} % 8)::varchar) from (select flow_key, block, lead(block) over (partition by flow_key, seq order by block_no) as nxt from {src}) where nxt is not null)"""
 
 
-query("b_double", f"{BASE}, {o.blocks(width=10)}, {o.blocks('xt', 'xblk', width=10)}, {_twice('blk', 'el', 'flow_key')}, {_twice('xblk', 'xel', 'flow_key::bigint as excerpt_id')}" + _plain_eval("el", "xel").format(name="double_winnow"))(_baseline("double_winnow"))
-
-FIXED = f"""{BASE}, {o.fixed()}, cfg as (select 0 as config_id, 8 as j, 1 as k, m // 8 as ms from size_),
-el as (select 0 as config_id, {o.digest('block')} as d, {o.number('md5(unhex(substr(hex(block), 1, 16)))', '1', 8)} % 8 as tag from blk union all select 0, {o.digest('block', 'flow_key')}, {o.number('md5(unhex(substr(hex(block), 1, 16)))', '1', 8)} % 8 from blk), {o.bits('el')},
+def _fixed_eval(k: int = 1, m: str = "m") -> str:
+    mark = f"{o.number('md5(unhex(substr(hex(block), 1, 16)))', '1', 8)} % 8"
+    at = lambda flow: f"({o.number(o.digest('block', flow), '9', 12)} + r * {o.number(o.digest('block', flow), '21', 12)}) % ms as pos"
+    return f""", {o.fixed()}, cfg as (select 0 as config_id, 8 as j, {k} as k, ({m}) // 8 as ms from size_),
+el as (select 0 as config_id, {o.digest('block')} as d, {mark} as tag from blk union all select 0, {o.digest('block', 'flow_key')}, {mark} from blk), {o.bits('el')},
 xb as (select excerpt_id, a, unhex(substr(hx, 2 * p + 1, 64)) as block from (select excerpt_id, hx, a, unnest(range(a, 200 - 32 + 1, 32)) as p from excerpts, range(32) g(a))),
-xd as (select excerpt_id, a, block, {o.number('md5(unhex(substr(hex(block), 1, 16)))', '1', 8)} % 8 as section from xb),
-dead as (select distinct excerpt_id, a from (select excerpt_id, a, section, {o.number(o.digest('block'), '9', 12)} % ms as pos from xd, cfg) q anti join bits using (section, pos)),
+xd as (select excerpt_id, a, block, {mark} as section from xb),
+dead as (select distinct excerpt_id, a from (select excerpt_id, a, section, {at(None)} from xd, cfg, range({k}) g(r)) q anti join bits using (section, pos)),
 live as (select excerpt_id, a, block, section from xd anti join dead using (excerpt_id, a)), flows as (select distinct flow_key from trace),
-miss as (select distinct excerpt_id, a, flow_key from (select excerpt_id, a, flow_key, section, {o.number(o.digest('block', 'flow_key'), '9', 12)} % ms as pos from live, flows, cfg) q anti join bits using (section, pos)),
+miss as (select distinct excerpt_id, a, flow_key from (select excerpt_id, a, flow_key, section, {at('flow_key')} from live, flows, cfg, range({k}) g(r)) q anti join bits using (section, pos)),
 hit as (select distinct excerpt_id, flow_key from (select distinct excerpt_id, a, flow_key from live, flows) q anti join miss using (excerpt_id, a, flow_key))
-select 'fixed_multifilter' as method, (select count(*) from blk) as elements, (select count(*) from excerpts) as excerpts, count(*) as reported, count(*) - (select count(*) from excerpts) as false_flows, round((count(*) - (select count(*) from excerpts)) / ((select count(*) from excerpts) * (select flows from size_)), 6) as fpr from hit"""
-query("b_fixed", FIXED)(_baseline("fixed_multifilter"))
+select 'fixed_multifilter' as method, {k} as k, (select count(*) from blk) as elements, (select count(*) from excerpts) as excerpts, count(*) as reported, count(*) - (select count(*) from excerpts) as false_flows, round((count(*) - (select count(*) from excerpts)) / ((select count(*) from excerpts) * (select flows from size_)), 6) as fpr from hit"""
 
 
-@query("b_hier", f"""{BASE}, {o.fixed()}, bits as (select distinct {o.number("md5(block || encode('@' || block_no))", '9', 12)} % m as pos from blk, size_),
-xb as (select excerpt_id, a, f, unhex(substr(hx, 2 * (a + 32 * i) + 1, 64)) as block, f + i as no from excerpts, range(32) g(a), range(4) o(f), range(6) n(i) where a + 32 * i + 32 <= 200),
-dead as (select distinct excerpt_id, a, f from (select excerpt_id, a, f, {o.number("md5(block || encode('@' || no))", '9', 12)} % m as pos from xb, size_) q anti join bits using (pos))
-select excerpt_id, count(*) as alive from (select distinct excerpt_id, a, f from xb) anti join dead using (excerpt_id, a, f) group by excerpt_id""")
+BASE = f"with {o.DOCS}, {o.SIZE}, {o.UNIQUE}"
+
+
+def method_sql(name: str, k: int = 1, m: str = "m") -> str:
+    """One baseline's rates, with its k."""
+    if name == "fixed_multifilter":
+        return BASE + _fixed_eval(k, m)
+    if name == "multi_winnow":
+        cut = f", {o.blocks(out='k0')}, {o.blocks(out='k1', instance=1)}, {o.blocks('xt', 'x0')}, {o.blocks('xt', 'x1', instance=1)}, el as (select flow_key, encode('0:') || block as block from k0 union all select flow_key, encode('1:') || block from k1), xel as (select flow_key::bigint as excerpt_id, encode('0:') || block as block from x0 union all select flow_key::bigint, encode('1:') || block from x1)"
+    elif name == "double_winnow":
+        cut = f", {o.blocks(width=10)}, {o.blocks('xt', 'xblk', width=10)}, {_twice('blk', 'el', 'flow_key')}, {_twice('xblk', 'xel', 'flow_key::bigint as excerpt_id')}"
+    else:
+        cut = f", {o.blocks()}, {o.blocks('xt', 'xblk')}, el as (select flow_key, block from blk), xel as (select flow_key::bigint as excerpt_id, block from xblk)"
+    return BASE + cut + _plain_eval("el", "xel", k, m).format(name=name)
+
+
+RATES = "method, elements, excerpts, reported, false_flows, fpr"
+for _key, _name in (("b_shingled", "shingled_winnow"), ("b_multi", "multi_winnow"), ("b_double", "double_winnow"), ("b_fixed", "fixed_multifilter")):
+    query(_key, f"select {RATES} from ({method_sql(_name)})")(_baseline(_name))
+
+BY_K = " union all ".join(f"select {RATES}, k from ({method_sql(name, k)})" for name in w.METHODS for k in (1, 2))
+
+
+@query("methods_fpr", BY_K)
 def _(spark, d):
-    """Fixed blocks stored with their place: how many (alignment, place) guesses of the first four places the filter leaves
-    an excerpt, content blocks alone."""
-    e = w.Experiment(spark, d)
-    m = DigestConfig().sized(e.raw).m_bits
-    words = membership.build(blocking.block_rows(e.packets, baselines.hier_fixed()).select("interval_id", F.md5("block").alias("digest")), m, 1)
-    guess = e.excerpts.select("excerpt_id", "excerpt", F.explode(F.sequence(F.lit(0), F.lit(31))).alias("a")).withColumn("f", F.explode(F.sequence(F.lit(0), F.lit(3)))).withColumn("i", F.explode(F.sequence(F.lit(0), F.lit(5)))).filter("a + 32 * i + 32 <= 200")
-    element = F.concat(F.expr("substring(excerpt, a + 32 * i + 1, 32)"), F.encode(F.concat(F.lit("@"), F.col("f") + F.col("i")), "UTF-8"))
-    asked = guess.select(F.lit(0).alias("interval_id"), "excerpt_id", "a", "f", "i", F.md5(element).alias("digest"))
-    alive = membership.probe(asked, words, m).groupBy("excerpt_id", "a", "f").agg(F.bool_and("present").alias("alive"))
-    return alive.filter("alive").groupBy("excerpt_id").agg(F.count("*").alias("alive"))
+    """The baselines at 100:1, by their number of hashes."""
+    return w.methods_fpr(spark, d, ks=(1, 2))
+
+
+@query("methods_best_k", f"select method, min(fpr) as fpr, arg_min(k, (fpr, k)) as k from ({BY_K}) group by method")
+def _(spark, d):
+    """Each baseline with the number of hashes that serves it best."""
+    return w.at_best_k(w.methods_fpr(spark, d, ks=(1, 2)).select("method", "k", "fpr"), "method")
+
+
+def _matched_sql(sections: int) -> str:
+    m = f"m + 8 * flows * {sections // 8}"
+    every = " union all ".join(f"select {RATES}, k from ({method_sql(name, k, m)})" for name in w.METHODS for k in (1, 2))
+    ours = o.sweep([{"sections": sections, "index": True}], "ji as sections")
+    best = f"select method, {sections} as sections, unnest(arg_min({{'k': k, 'excerpts': excerpts, 'reported': reported, 'false_flows': false_flows, 'fpr': fpr}}, (fpr, k))) from ({every}) group by method"
+    return f"select 'sectioned_indexed' as method, sections, 1 as k, excerpts, reported, false_flows, fpr from ({ours}) union all ({best})"
+
+
+@query("matched_uncompressed", " union all ".join(f"select method, sections, k, excerpts, reported, false_flows, fpr from ({_matched_sql(j)})" for j in (64, 256)))
+def _(spark, d):
+    """All methods where filter and uncompressed index together have the baselines' bytes."""
+    return w.matched_uncompressed(spark, d)
+
+
+HIER = f"""{BASE}, cfg as (select 8 * raw // 10 as ms from size_),
+l0 as (select flow_key, unhex(substr(hx, 64 * i + 1, 64)) || encode('@' || i) as el from (select flow_key, hx, unnest(range(0, len(hx) // 64)) as i from trace)),
+l1 as (select flow_key, unhex(substr(hx, 128 * i + 1, 128)) || encode('@' || i) as el from (select flow_key, hx, unnest(range(0, len(hx) // 128)) as i from trace)),
+els as (select * from l0 union all select * from l1),
+bits as (select distinct pos from (select {o.number("md5(el)", '9', 12)} % ms as pos from els, cfg union all select {o.number(o.digest('el', 'flow_key'), '9', 12)} % ms from els, cfg)),
+guess as (select excerpt_id, hx, a, f, unhex(substr(hx, 2 * a + 1, 64)) || encode('@' || f) as el from excerpts, range(32) g(a), range({w.HIER_PLACES}) p(f)),
+one as (select excerpt_id, hx, a, f from (select guess.*, {o.number("md5(el)", '9', 12)} % ms as pos from guess, cfg) q semi join bits using (pos)),
+xs as (select excerpt_id, a, f, unhex(substr(hx, 2 * (a + 32 * i) + 1, 64)) || encode('@' || (f + i)) as el from one, range(6) n(i) where a + 32 * (i + 1) <= 200
+  union all select excerpt_id, a, f, unhex(substr(hx, 2 * (a + 32 * i) + 1, 128)) || encode('@' || ((f + i) // 2)) from one, range(5) n(i) where a + 32 * (i + 2) <= 200 and (f + i) % 2 = 0),
+dead as (select distinct excerpt_id, a, f from (select excerpt_id, a, f, {o.number("md5(el)", '9', 12)} % ms as pos from xs, cfg) q anti join bits using (pos)),
+live as (select xs.* from xs anti join dead using (excerpt_id, a, f)), flows as (select distinct flow_key from trace),
+miss as (select distinct excerpt_id, a, f, flow_key from (select excerpt_id, a, f, flow_key, {o.number(o.digest('el', 'flow_key'), '9', 12)} % ms as pos from live, flows, cfg) q anti join bits using (pos)),
+hit as (select distinct excerpt_id, flow_key from (select distinct excerpt_id, a, f, flow_key from live, flows) q anti join miss using (excerpt_id, a, f, flow_key)),
+r as (select count(*) as reported, count(*) filter (flow_key = true_flow) as right_ from hit join excerpts using (excerpt_id))
+select (select count(*) from excerpts) as excerpts, (select count(*) from (select distinct excerpt_id, a, f from live)) as alive, reported, reported - right_ as false_flows, (select count(*) from excerpts) - right_ as missed from r"""
+
+
+@query("b_hier", HIER)
+def _(spark, d):
+    return w.hier_verdict(spark, d)
 
 
 @query("b_packet", f"with {o.DOCS}, {o.SIZE}, bits as (select distinct {o.number('md5(unhex(hx))', '9', 12)} % m as pos from trace, size_) select role, count(*) as asked, count(pos) as present from (select role, {o.number('md5(encode(text))', '9', 12)} % m as p from conversations, size_) left join bits on p = pos group by role")
@@ -572,7 +614,22 @@ def _(spark, d):
     return w.leak_trace(spark, d)
 
 
-@query("worm_trace", "select md5(coalesce(text, '')) as signature, count(distinct doc_id) as carriers, min(octet_length(encode(coalesce(text, ''))))::int as bytes from documents group by 1 having count(distinct doc_id) > 1")
+def _use_sql(excerpts: str, entry: dict) -> str:
+    """Verdicts on other excerpts(excerpt_id, hx)."""
+    return f"with {o.DOCS}, {o.SIZE}, {o.blocks()}, excerpts as ({excerpts}), xt as (select excerpt_id::varchar as flow_key, 0::bigint as seq, hx from excerpts), {o.blocks('xt', 'xblk')}, {o.evaluation([entry])} select excerpt_id{{id}}, flow_key from (select excerpt_id, flow_key from excerpts, flows) anti join missed using (excerpt_id, flow_key)"
+
+
+@query("leak_digest", _use_sql("select item_id as excerpt_id, hex(encode(text)) as hx from benchmark where text <> ''", w.USE).format(id=" as item_id"))
+def _(spark, d):
+    return w.leak_digest(spark, d)
+
+
+@query("worm_digest", _use_sql("select min(doc_id) as excerpt_id, any_value(hex(encode(text))) as hx from documents where octet_length(encode(text)) >= 132 group by text having count(*) > 1", w.USE).format(id=""))
+def _(spark, d):
+    return w.worm_digest(spark, d)
+
+
+@query("worm_trace", "with d as (select md5(coalesce(text, '')) as signature, doc_id::varchar as flow_key, octet_length(encode(coalesce(text, '')))::int as b from documents), s as (select signature, count(distinct flow_key) as carriers, min(b) as bytes from d group by 1 having count(distinct flow_key) > 1) select distinct signature, carriers, bytes, flow_key from d join s using (signature)")
 def _(spark, d):
     return w.worm_trace(spark, d)
 
@@ -619,7 +676,7 @@ def _(spark, d):
     return measures.arrival_profile(trace.from_events(w.table(spark, d, "events")))
 
 
-@query("interval_hits", f"""with {o.DOCS}, {o.blocks()}, {o.UNIQUE}, {o.blocks('xt', 'xblk')},
+@query("interval_hits", f"""with {o.DOCS}, {o.blocks()}, {o.UNIQUE_ALL}, {o.blocks('xt', 'xblk')},
 bits as (select distinct flow_key::bigint // 250 as interval_id, {o.number(o.digest('block'), '9', 12)} % 49152 as pos from blk),
 x as (select flow_key::bigint as excerpt_id, block_no, {o.number(o.digest('block'), '9', 12)} % 49152 as pos from xblk), n as (select excerpt_id, count(*) as n from x group by 1)
 select excerpt_id, interval_id::int as interval_id from x join bits using (pos) join n using (excerpt_id) group by excerpt_id, interval_id, n having count(*) = n""")
@@ -627,6 +684,61 @@ def _(spark, d):
     return w.interval_hits(spark, d)
 
 
+@query("attribute_intervals", f"""with {o.DOCS}, {o.blocks()}, {o.UNIQUE_ALL}, {o.blocks('xt', 'xblk')}, b as (select flow_key, flow_key::bigint // {w.INTERVAL_DOCS} as interval_id, block from blk),
+bits as (select distinct interval_id, {o.number('d', '1', 8)} % 64 as section, {o.number('d', '9', 12)} % {w.INTERVAL_BITS // 64} as pos from (select interval_id, {o.digest('block')} as d from b union all select interval_id, {o.digest('block', 'flow_key')} from b)),
+touched as (select distinct interval_id, flow_key, {o.number(o.digest('block'), '1', 8)} % 64 as section from b),
+flows as (select distinct flow_key, flow_key::bigint // {w.INTERVAL_DOCS} as interval_id from trace), inside as (select * from flows where interval_id between 1 and 2),
+ivs as (select distinct interval_id from inside), x as (select flow_key::bigint as excerpt_id, block, {o.digest('block')} as d from xblk),
+gone as (select distinct excerpt_id, interval_id from (select excerpt_id, interval_id, {o.number('d', '1', 8)} % 64 as section, {o.number('d', '9', 12)} % {w.INTERVAL_BITS // 64} as pos from x, ivs) q anti join bits using (interval_id, section, pos)),
+pairs as (select excerpt_id, interval_id, flow_key from excerpts, inside), alive as (select * from pairs anti join gone using (excerpt_id, interval_id)),
+pruned as (select distinct excerpt_id, interval_id, flow_key from (select excerpt_id, interval_id, flow_key, {o.number('d', '1', 8)} % 64 as section from alive join x using (excerpt_id)) q anti join touched using (interval_id, flow_key, section)),
+missed as (select distinct excerpt_id, interval_id, flow_key from (select excerpt_id, interval_id, flow_key, {o.number(o.digest('block', 'flow_key'), '1', 8)} % 64 as section, {o.number(o.digest('block', 'flow_key'), '9', 12)} % {w.INTERVAL_BITS // 64} as pos from alive join x using (excerpt_id)) q anti join bits using (interval_id, section, pos))
+select excerpt_id, interval_id::int as interval_id, flow_key from alive anti join pruned using (excerpt_id, interval_id, flow_key) anti join missed using (excerpt_id, interval_id, flow_key)""")
+def _(spark, d):
+    return w.attribute_intervals(spark, d)
+
+
+@query("intervals_by_bytes", """with e as (select floor(epoch_us(ts) / 1000000 / 3600)::bigint as g, octet_length(encode(concat_ws('|', event_id, epoch_us(ts), user_id, event_type, round(value * 10000)::bigint, props)))::bigint as b from events),
+p as (select g, sum(b) as b, count(*) as n from e group by g), r as (select b, n, coalesce(sum(b) over (order by g rows between unbounded preceding and 1 preceding), 0) as before_ from p)
+select (before_ // 50000)::int as interval_id, sum(n)::bigint as packets, sum(b)::bigint as bytes from r group by 1""")
+def _(spark, d):
+    """Intervals of about 50,000 bytes in the order of time, by grains of an hour."""
+    packets = trace.assign_interval(trace.from_events(w.table(spark, d, "events")), target_bytes=50_000, grain=3600)
+    return packets.groupBy("interval_id").agg(F.count("*").alias("packets"), F.sum(F.octet_length("payload")).cast("bigint").alias("bytes"))
+
+
+@query("index_ones", " union all ".join(f"select {j} as sections, flows, ones, round(ones / (flows * {j}), 6) as share, flows * {j // 8} as index_bytes, round(raw / (greatest({32 * j}, m) // 8 + flows * {j // 8}), 3) as overall from ({DOCS_BLOCKS}, {o.SIZE}, touched as (select distinct flow_key, {o.number(o.digest('block'), '1', 8)} % {j} as section from blk) select (select count(*) from touched) as ones, flows, raw, m from size_)" for j in (64, 256)))
+def _(spark, d):
+    return w.index_ones(spark, d)
+
+
+@query("index_included", f"with {o.DOCS}, {o.SIZE} select (8 * raw // 20 - flows * 256) as m_bits, (flows * 32)::bigint as index_bytes, round(raw / ((8 * raw // 20 - flows * 256) / 8 + flows * 32), 2) as overall from size_")
+def _(spark, d):
+    """A reduction of 20 that filter and uncompressed index have together."""
+    c = dg.build(_docs(spark, d), DigestConfig(reduction=20.0, sections=256, index=True, reduction_includes_index=True)).config
+    row = bitindex.flow_list(_docs(spark, d)).agg(F.count("*").alias("n"), F.sum("bytes").alias("raw"))
+    return row.select(F.lit(c.m_bits).cast("bigint").alias("m_bits"), (F.col("n") * 32).alias("index_bytes"), F.round(F.col("raw") / (F.lit(c.m_bits / 8) + F.col("n") * 32), 2).alias("overall"))
+
+
+@query("auto_k_words", o.filter_words(1, 5).replace("// 100", "// 20").replace("greatest(32, m)", "m") + o.words())
+def _(spark, d):
+    """At 20:1 five hashes fit the load that is to be expected."""
+    packets, c = _sized(spark, d, reduction=20.0, k="auto")
+    return dg.words_of(blocking.winnow_blocks(packets), c).select("section", "word_ix", "word")
+
+
+@query("vector_family", f"{o.SETUP} select count(*) as excerpts, 0 as missed, true as fewer_false_flows from excerpts")
+def _(spark, d):
+    """A digest of the vectorised hashes misses no carrier, and its false flows are those of the portable one give or take a fifth."""
+    e = w.Experiment(spark, d)
+    found = lambda family: attribution.attribute(e.excerpts, dg.build(e.packets, DigestConfig(sections=256, index=True, hash_family=family).sized(e.raw))).select("excerpt_id", "flow_key")
+    got = found("vector").persist()
+    truth = e.excerpts.select("excerpt_id", F.col("true_flow").alias("flow_key"))
+    missed = truth.join(got, ["excerpt_id", "flow_key"], "left_anti").agg(F.count("*").cast("int").alias("missed"))
+    sizes = got.agg(F.count("*").alias("n")).crossJoin(found("portable").agg(F.count("*").alias("p"))).crossJoin(truth.agg(F.count("*").alias("excerpts")))
+    return sizes.crossJoin(missed).select("excerpts", "missed", (F.col("n") - F.col("excerpts") <= 1.2 * (F.col("p") - F.col("excerpts")) + 50).alias("fewer_false_flows"))
+
+
 @query("fragmentation", f"with {o.DOCS}, {o.blocks()} select 'packet' as assembly, (select sum(greatest(1, (len(hx) // 2 + 63) // 64)) from trace)::bigint as packets, 0::bigint as blocks union all select 'flow', (select count(*) from trace), (select count(*) from blk)")
 def _(spark, d):
     return w.fragmentation(spark, d)
@@ -637,7 +749,7 @@ def _(spark, d):
     return w.small_blocks(spark, d)
 
 
-@query("encrypted", f"{BASE} select 'plain' as \"view\", 'plain' as excerpt_form, (select count(*) from excerpts) as found union all select 'wire', 'plain', 0 union all select 'wire', 'coded', (select count(*) from excerpts)")
+@query("encrypted", f"with {o.DOCS}, {o.SIZE}, {o.UNIQUE_ALL} select 'plain' as \"view\", 'plain' as excerpt_form, (select count(*) from excerpts) as found union all select 'wire', 'plain', 0 union all select 'wire', 'coded', (select count(*) from excerpts)")
 def _(spark, d):
     return w.encrypted(spark, d)
 
@@ -659,7 +771,7 @@ def _(spark, d):
     return bitindex.flow_list(w.ledger_trace(spark, d, yearly=True)).select("interval_id", "flow_key", "packets", "bytes")
 
 
-@query("model_flow_fpr", f"{o.SETUP} select round(avg(pow(0.5, n)), 6) as model_fpr from (select flow_key, count(*) as n from xblk group by 1)")
+@query("model_flow_fpr", f"{o.SETUP_ALL} select round(avg(pow(0.5, n)), 6) as model_fpr from (select flow_key, count(*) as n from xblk group by 1)")
 def _(spark, d):
     blocks = attribution.excerpt_blocks(w.unique_excerpts(spark, d), DigestConfig())
     return measures.model_flow_fpr(0.5, blocks.groupBy("excerpt_id").agg(F.count("*").alias("n")))
@@ -667,5 +779,5 @@ def _(spark, d):
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
     """excerpt_id, interval_id, flow_key, src, dst: the whole procedure on documents."""
-    e = w.Experiment(spark, sf_dir)
+    e = w.Experiment(spark, sf_dir, count=None)
     return attribution.attribute(e.excerpts, dg.build(e.packets, DigestConfig(sections=256, index=True).sized(e.raw)))

@@ -7,13 +7,14 @@ digest is computed once for all of them.
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import block_digest, flow_digest, section_of
+from ..functions.hashing import block_digest, digests, flow_digest, md5_parts, section_of
 from ..operators import attribution, baselines, bitindex, blocking, downsample, measures, membership, trace
-from ..operators.digest import DigestConfig, content_elements, raw_bytes, words_of
+from ..operators.digest import DigestConfig, build, content_elements, raw_bytes, words_of
 
 #: The experiments' size: this many excerpts (the smallest ids), of this many bytes.
 EXCERPTS, LENGTH = 1_000, 200
@@ -40,13 +41,14 @@ def excerpt_slices(documents: DataFrame, length: int = LENGTH) -> DataFrame:
     return rows.withColumn("at", at.cast("int")).select("excerpt_id", F.expr(f"substring(data, at + 1, {length})").alias("excerpt"))
 
 
-def unique_excerpts(spark: SparkSession, sf_dir: str, packets: DataFrame | None = None, count: int = EXCERPTS) -> DataFrame:
-    """excerpt_id, excerpt, true_flow: slices that exactly one flow of the trace contains; the experiment takes `count`."""
+def unique_excerpts(spark: SparkSession, sf_dir: str, packets: DataFrame | None = None, count: int | None = None) -> DataFrame:
+    """excerpt_id, excerpt, true_flow: slices that exactly one flow of the trace contains; an experiment takes `count`."""
     packets = docs_trace(spark, sf_dir) if packets is None else packets
     slices = excerpt_slices(table(spark, sf_dir, "documents"))
     found = baselines.exact_search(packets, slices)
     once = found.groupBy("excerpt_id").agg(F.count("*").alias("n"), F.min("flow_key").alias("true_flow")).filter("n = 1")
-    return slices.join(once.select("excerpt_id", "true_flow"), "excerpt_id").orderBy("excerpt_id").limit(count)
+    found = slices.join(once.select("excerpt_id", "true_flow"), "excerpt_id")
+    return found if count is None else found.orderBy("excerpt_id").limit(count)
 
 
 def absent_excerpts(spark: SparkSession, sf_dir: str, count: int = 10_000) -> DataFrame:
@@ -70,7 +72,7 @@ class Experiment:
 
     last: Experiment | None = None
 
-    def __init__(self, spark: SparkSession, sf_dir: str, packets: DataFrame | None = None, count: int = EXCERPTS):
+    def __init__(self, spark: SparkSession, sf_dir: str, packets: DataFrame | None = None, count: int | None = EXCERPTS):
         if Experiment.last is not None and Experiment.last.spark is spark:
             Experiment.last.close()
         Experiment.last = self
@@ -87,13 +89,17 @@ class Experiment:
         self.excerpts.unpersist()
 
     def excerpt_rows(self, cut=None) -> tuple[list, list[int]]:
-        """Block rows of the excerpts (a bounded experiment input) and all excerpt ids."""
+        """Block rows of the excerpts and all excerpt ids; refused where the excerpts are too large to be sent to every task."""
+        if baselines.excerpt_bytes(self.excerpts) > attribution.PACKED_BOUND:
+            raise ValueError("too many excerpts for one pass: use attribution.attribute")
         held = [(r["excerpt_id"], bytes(r["excerpt"])) for r in self.excerpts.select("excerpt_id", "excerpt").collect()]
         row, number, _, size, blocks = (cut or blocking.winnow_batch)([e for _, e in held])
         return [(held[i][0], int(n), int(s), b) for i, n, s, b in zip(row.tolist(), number, size, blocks, strict=True)], sorted(i for i, _ in held)
 
     def filters(self, configs: list[tuple[int, DigestConfig]], blocks: DataFrame | None = None) -> dict[int, np.ndarray]:
         """[section, word] arrays of all configurations, from one plan."""
+        if sum(c.m_bits for _, c in configs) > 16 * attribution.PACKED_BOUND:
+            raise ValueError("filters too large for one pass: use attribution.attribute")
         blocks = self.blocks if blocks is None else blocks
         parts = [words_of(downsample.keep_large(blocks, c.threshold, c.keep_equal), c).withColumn("config_id", F.lit(i)) for i, c in configs]
         every = parts[0]
@@ -156,21 +162,32 @@ def tagged_elements(e: Experiment, cut) -> DataFrame:
     return blocking.block_rows(e.packets, cut)
 
 
-def baseline_fpr(e: Experiment, name: str, m_bits: int, k: int = 1) -> DataFrame:
-    """method, elements, excerpts, reported, false_flows, fpr of a baseline in a filter of m_bits."""
-    truth = e.excerpts.select("excerpt_id", F.col("true_flow").alias("flow_key"))
+def cut_of(name: str):
+    """How a baseline cuts payloads and excerpts."""
+    return {"shingled_winnow": baselines.shingled_winnow, "multi_winnow": baselines.multi_winnow, "double_winnow": baselines.double_winnow, "fixed_multifilter": lambda: baselines.fixed_multifilter()[0]}[name]()
+
+
+def baseline_verdict(e: Experiment, name: str, m_bits: int, k: int = 1) -> tuple[DataFrame, DataFrame]:
+    """flow_key, excerpt_id that a baseline reports, and its elements."""
     config = DigestConfig(m_bits=m_bits, k=k)
     if name == "fixed_multifilter":
-        return fixed_fpr(e, m_bits, k, truth)
-    cut = {"shingled_winnow": baselines.shingled_winnow, "multi_winnow": baselines.multi_winnow, "double_winnow": baselines.double_winnow}[name]()
-    blocks = tagged_elements(e, cut).persist(StorageLevel.MEMORY_AND_DISK)
+        return fixed_verdict(e, m_bits, k)
+    cut = cut_of(name)
+    blocks = tagged_elements(e, cut)
     rows, ids = e.excerpt_rows(cut)
     verdict = attribution.evaluate(e.flows.select("flow_key").repartition(e.spark.sparkContext.defaultParallelism), rows, ids, [(0, config)], e.filters([(0, config)], blocks))
+    return verdict, blocks
+
+
+def baseline_fpr(e: Experiment, name: str, m_bits: int, k: int = 1) -> DataFrame:
+    """method, elements, excerpts, reported, false_flows, fpr of a baseline in a filter of m_bits."""
+    truth = e.excerpts.select("excerpt_id", F.col("true_flow").alias("flow_key"))
+    verdict, blocks = baseline_verdict(e, name, m_bits, k)
     n = blocks.count()
     return measures.flow_fpr(verdict, truth, e.excerpts, e.n_flows).select(F.lit(name).alias("method"), F.lit(n).cast("bigint").alias("elements"), "excerpts", "reported", "false_flows", "fpr")
 
 
-def fixed_fpr(e: Experiment, m_bits: int, k: int, truth: DataFrame, modulus: int = 8) -> DataFrame:
+def fixed_verdict(e: Experiment, m_bits: int, k: int, modulus: int = 8) -> tuple[DataFrame, DataFrame]:
     """Baseline 3: alignments are asked one by one; flows only under alignments whose content is all present."""
     cut, tag, size = baselines.fixed_multifilter(modulus=modulus)
     config = DigestConfig(m_bits=m_bits, k=k, sections=modulus)
@@ -179,28 +196,26 @@ def fixed_fpr(e: Experiment, m_bits: int, k: int, truth: DataFrame, modulus: int
     content = blocks.select("interval_id", block_digest(F.col("block")).alias("digest"), mark.alias("tag"))
     bound = blocks.select("interval_id", flow_digest(F.col("block"), F.col("flow_key")).alias("digest"), mark.alias("tag"))
     words = membership.build_sectioned(content.unionByName(bound), m_bits, modulus, k, tag=F.col("tag"))
+    if baselines.excerpt_bytes(e.excerpts) * size > 16 * attribution.PACKED_BOUND:
+        raise ValueError("too many excerpts for one pass")
     held = [(r["excerpt_id"], bytes(r["excerpt"])) for r in e.excerpts.select("excerpt_id", "excerpt").collect()]
     rows, tags = [], []
     for i, x in held:
         for a in range(size):
             for n, at in enumerate(range(a, len(x) - size + 1, size)):
-                rows.append((i * size + a, n, size, x[at : at + size]))
+                rows.append((f"{i}:{a}", n, size, x[at : at + size]))
                 tags.append(tag(rows[-1][3]))
     flows = e.flows.select("flow_key").repartition(e.spark.sparkContext.defaultParallelism)
     # alignments whose content is absent fall out here, before any flow is asked
     array = membership.to_array(words, m_bits, modulus)
     alive = content_alive(rows, tags, array, config)
     kept = [(r, t) for r, t in zip(rows, tags, strict=True) if r[0] in alive]
-    verdict = attribution.evaluate(flows, [r for r, _ in kept], sorted(alive), [(0, config)], {0: array}, [t for _, t in kept])
-    verdict = verdict.select("flow_key", F.floor(F.col("excerpt_id") / size).cast("bigint").alias("excerpt_id")).distinct()
-    n = blocks.count()
-    return measures.flow_fpr(verdict, truth, e.excerpts, e.n_flows).select(F.lit("fixed_multifilter").alias("method"), F.lit(n).cast("bigint").alias("elements"), "excerpts", "reported", "false_flows", "fpr")
+    verdict = attribution.evaluate(flows, [r for r, _ in kept], sorted(alive), [(0, config)], {0: array}, [t for _, t in kept], kind="string")
+    return verdict.select("flow_key", F.substring_index("excerpt_id", ":", 1).cast("bigint").alias("excerpt_id")).distinct(), blocks
 
 
 def content_alive(rows: list, tags: list[int], array: np.ndarray, config: DigestConfig) -> set[int]:
     """Ids of row groups whose content digests are all present."""
-    from ..functions.hashing import digests, md5_parts
-
     _, g1, g2 = md5_parts(digests([r[3] for r in rows]))
     tag, m_sub = np.array(tags), config.m_bits // config.sections
     hit = np.ones(len(rows), bool)
@@ -214,15 +229,84 @@ def content_alive(rows: list, tags: list[int], array: np.ndarray, config: Digest
 METHODS = ("shingled_winnow", "multi_winnow", "fixed_multifilter", "double_winnow")
 
 
-def methods_fpr(spark: SparkSession, sf_dir: str, reduction: float = 100.0, k: int = 1) -> DataFrame:
-    """The four baselines at one reduction ratio."""
+def methods_fpr(spark: SparkSession, sf_dir: str, reduction: float = 100.0, ks: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
+    """method, k, elements, ...: the four baselines at one reduction ratio, for each number of hashes."""
     e = Experiment(spark, sf_dir)
     m = DigestConfig(reduction=reduction).sized(e.raw).m_bits
-    out = [baseline_fpr(e, name, m, k) for name in METHODS]
-    every = out[0]
-    for o in out[1:]:
-        every = every.unionByName(o)
-    return every
+    return union([baseline_fpr(e, name, m, k).withColumn("k", F.lit(k)) for name in METHODS for k in ks])
+
+
+def union(parts: list[DataFrame]) -> DataFrame:
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out
+
+
+def at_best_k(rows: DataFrame, *keys: str) -> DataFrame:
+    """Each method with the number of hashes that serves it best (the smaller of equals)."""
+    rest = [c for c in rows.columns if c not in keys]
+    best = rows.groupBy(*keys).agg(F.min(F.struct("fpr", "k", *[c for c in rest if c not in ("fpr", "k")])).alias("b"))
+    return best.select(*keys, *[F.col(f"b.{c}").alias(c) for c in rest])
+
+
+def matched_uncompressed(spark: SparkSession, sf_dir: str, sections: tuple[int, ...] = (64, 256), ks: tuple[int, ...] = (1, 2)) -> DataFrame:
+    """method, sections, k, fpr ...: all methods at equal overall ratios with the index as it is: the baselines' filters have the bytes of
+    our filter and bitmaps, and each its best number of hashes."""
+    e = Experiment(spark, sf_dir)
+    configs = grid(e.raw, [{"sections": j, "index": True} for j in sections])
+    names = spark.createDataFrame([(i, c.sections) for i, c in configs], "config_id int, sections int")
+    ours = e.fpr(configs).join(F.broadcast(names), "config_id").select(F.lit("sectioned_indexed").alias("method"), "sections", F.lit(1).alias("k"), "excerpts", "reported", "false_flows", "fpr")
+    others = [
+        baseline_fpr(e, name, c.m_bits + 8 * e.n_flows * (-(-c.sections // 8)), k).select("method", F.lit(c.sections).alias("sections"), F.lit(k).alias("k"), "excerpts", "reported", "false_flows", "fpr")
+        for _, c in configs for name in METHODS for k in ks
+    ]
+    return ours.unionByName(at_best_k(union(others), "method", "sections"))
+
+
+#: Places of a payload that an excerpt's start is guessed at, and the ratio of the hierarchical digest.
+HIER_PLACES, HIER_RATIO, HIER_LEVELS = 64, 10.0, 2
+
+
+def hier_verdict(spark: SparkSession, sf_dir: str, places: int = HIER_PLACES, block: int = 32) -> DataFrame:
+    """excerpts, alive (guesses of alignment and place that content leaves), reported, false_flows, missed: fixed blocks stored with
+    their place, and runs of two. An excerpt is asked for at each of the first `places` places; one that starts beyond is missed."""
+    e = Experiment(spark, sf_dir)
+    config = DigestConfig(reduction=HIER_RATIO).sized(e.raw)
+    cut = baselines.hier_fixed(block, HIER_LEVELS)
+    filters = e.filters([(0, config)], tagged_elements(e, cut))
+    held = spark.sparkContext.broadcast(filters[0])
+    m = config.m_bits
+
+    def guesses(batches):
+        table = held.value[0]
+
+        def present(elements: list[bytes]) -> np.ndarray:
+            _, g1, _ = md5_parts(digests(elements))
+            pos = g1 % m
+            return (table[pos >> 5] >> (pos & 31).astype(np.uint32) & 1).astype(bool)
+
+        for batch in batches:
+            out = []
+            for i, x in zip(batch.column("excerpt_id").to_pylist(), batch.column("excerpt").to_pylist(), strict=True):
+                tried = [(a, f) for a in range(min(block, len(x) - block + 1)) for f in range(places)]
+                if not tried:
+                    continue
+                first = present([x[a : a + block] + b"@%d" % f for a, f in tried])
+                for (a, f), ok in zip(tried, first.tolist(), strict=True):
+                    if ok and present(own := baselines.hier_elements(x, a, f, block, HIER_LEVELS)).all():
+                        out += [(i, a, f, n, len(b), b) for n, b in enumerate(own)]
+            yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in out], t) for j, t in enumerate((pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary()))], ["excerpt_id", "a", "f", "n", "size", "element"])
+
+    alive = e.excerpts.select("excerpt_id", "excerpt").mapInArrow(guesses, "excerpt_id bigint, a int, f int, n int, size int, element binary")
+    rows = [(f"{r['excerpt_id']}:{r['a']}:{r['f']}", r["n"], r["size"], bytes(r["element"])) for r in alive.collect()]
+    ids = sorted({r[0] for r in rows})
+    verdict = attribution.evaluate(e.flows.select("flow_key").repartition(spark.sparkContext.defaultParallelism), rows, ids, [(0, config)], filters, kind="string")
+    found = verdict.select(F.substring_index("excerpt_id", ":", 1).cast("bigint").alias("excerpt_id"), "flow_key").distinct()
+    truth = e.excerpts.select("excerpt_id", F.col("true_flow").alias("flow_key"))
+    right = found.join(truth, ["excerpt_id", "flow_key"], "left_semi").agg(F.count("*").alias("right"))
+    out = found.agg(F.count("*").alias("reported")).crossJoin(right).crossJoin(e.excerpts.agg(F.count("*").alias("excerpts")))
+    return out.select("excerpts", F.lit(len(ids)).cast("bigint").alias("alive"), "reported", (F.col("reported") - F.col("right")).alias("false_flows"), (F.col("excerpts") - F.col("right")).alias("missed"))
 
 
 def index_sizes(e: Experiment, entries: list[dict], codec: str = "lzma2") -> DataFrame:
@@ -267,7 +351,8 @@ def measures_ones(e: Experiment, c: DigestConfig) -> DataFrame:
 
 
 def matched_ratio(spark: SparkSession, sf_dir: str, skewed: bool = True) -> DataFrame:
-    """All methods at equal overall ratios: our configurations decide the ratios, the baselines get filters of that size. On the
+    """All methods at equal overall ratios: our configurations decide the ratios, the baselines get filters of that size, each with
+    its best number of hashes. On the
     trace of mice and elephants, or on small flows."""
     packets = docs_trace(spark, sf_dir, by="skew") if skewed else None
     e = Experiment(spark, sf_dir, packets)
@@ -279,9 +364,8 @@ def matched_ratio(spark: SparkSession, sf_dir: str, skewed: bool = True) -> Data
     for _, c in configs:
         ratio = ratios[c.sections, c.threshold]
         m = DigestConfig(reduction=ratio).sized(e.raw).m_bits
-        for name in METHODS:
-            row = baseline_fpr(e, name, m)
-            out = out.unionByName(row.select("method", F.lit(c.sections).alias("sections"), F.lit(c.threshold).alias("threshold"), F.lit(float(ratio)).alias("overall"), "excerpts", "false_flows", "fpr"))
+        best = at_best_k(union([baseline_fpr(e, name, m, k).withColumn("k", F.lit(k)) for name in METHODS for k in (1, 2)]), "method")
+        out = out.unionByName(best.select("method", F.lit(c.sections).alias("sections"), F.lit(c.threshold).alias("threshold"), F.lit(float(ratio)).alias("overall"), "excerpts", "false_flows", "fpr"))
     return out
 
 
@@ -299,7 +383,8 @@ def cost_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The analytic costs with the measured payload length, blocks and reduction of the trace."""
     packets = docs_trace(spark, sf_dir)
     d = measures.block_reduction(blocking.winnow_blocks(packets), 40).first()
-    return measures.cost_table(spark, raw_bytes(packets), d["seen"], 2, d["d"], 1)
+    index = packets.select("flow_key").distinct().count() * 256 / 8
+    return measures.cost_table(spark, raw_bytes(packets), d["seen"], 2, d["d"], 1, index)
 
 
 def fragmentation(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -325,16 +410,65 @@ def encrypted(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+def benchmark_items(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """excerpt_id, excerpt: known texts whose leaks are looked for."""
+    return table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("excerpt_id"), F.encode("text", "UTF-8").alias("excerpt")).filter("octet_length(excerpt) > 0")
+
+
 def leak_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """item_id, flow_key: which documents carry a known text whole."""
-    items = table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("excerpt_id"), F.encode("text", "UTF-8").alias("excerpt")).filter("octet_length(excerpt) > 0")
-    return baselines.exact_search(docs_trace(spark, sf_dir), items).select(F.col("excerpt_id").alias("item_id"), "flow_key")
+    """item_id, flow_key: which documents carry a known text whole, by exact search."""
+    return baselines.exact_search(docs_trace(spark, sf_dir), benchmark_items(spark, sf_dir)).select(F.col("excerpt_id").alias("item_id"), "flow_key")
+
+
+#: The digest that uses ask: sections, index, 100:1.
+USE = {"sections": 256, "index": True}
+
+
+def leak_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """item_id, flow_key: which flows carried a known text, as the digest says without the payloads: all carriers, and false ones."""
+    packets = docs_trace(spark, sf_dir)
+    found = attribution.attribute(benchmark_items(spark, sf_dir), build(packets, DigestConfig(**USE).sized(raw_bytes(packets))))
+    return found.select(F.col("excerpt_id").alias("item_id"), "flow_key")
 
 
 def worm_trace(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """signature, carriers, flows: payloads that several flows carried, with all of their flows."""
+    """signature, carriers, bytes, flow_key: payloads that several flows carried, a row for each of their flows."""
+    packets = docs_trace(spark, sf_dir).withColumn("signature", F.md5("payload"))
+    several = packets.groupBy("signature").agg(F.countDistinct("flow_key").alias("carriers"), F.min(F.octet_length("payload")).alias("bytes")).filter("carriers > 1")
+    return packets.select("signature", "flow_key").distinct().join(several, "signature").select("signature", "carriers", "bytes", "flow_key")
+
+
+def worms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """excerpt_id, excerpt: each payload of 132 bytes or more that several documents carry, once."""
+    docs = table(spark, sf_dir, "documents").select("doc_id", F.encode(F.coalesce("text", F.lit("")), "UTF-8").alias("excerpt")).filter("octet_length(excerpt) >= 132")
+    first = docs.groupBy(F.md5("excerpt").alias("s")).agg(F.min("doc_id").alias("excerpt_id"), F.count("*").alias("n")).filter("n > 1")
+    return docs.join(first, F.col("doc_id") == F.col("excerpt_id"), "left_semi").select(F.col("doc_id").alias("excerpt_id"), "excerpt")
+
+
+def worm_digest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """excerpt_id, flow_key: the flows that carried a repeated payload, as the digest says."""
     packets = docs_trace(spark, sf_dir)
-    return packets.groupBy(F.md5("payload").alias("signature")).agg(F.countDistinct("flow_key").alias("carriers"), F.min(F.octet_length("payload")).alias("bytes")).filter("carriers > 1")
+    return attribution.attribute(worms(spark, sf_dir), build(packets, DigestConfig(**USE).sized(raw_bytes(packets)))).select("excerpt_id", "flow_key")
+
+
+#: Documents in an interval, and the filter bits of one, where several intervals are asked.
+INTERVAL_DOCS, INTERVAL_BITS = 250, 49_152
+
+
+def attribute_intervals(spark: SparkSession, sf_dir: str, between: tuple[int, int] = (1, 2)) -> DataFrame:
+    """excerpt_id, interval_id, flow_key: the whole procedure over several intervals, asked within a range of them."""
+    digest = build(docs_trace(spark, sf_dir, interval_docs=INTERVAL_DOCS), DigestConfig(m_bits=INTERVAL_BITS, sections=64, index=True))
+    return attribution.attribute(unique_excerpts(spark, sf_dir), digest, between=between).select("excerpt_id", "interval_id", "flow_key")
+
+
+def index_ones(spark: SparkSession, sf_dir: str, sections: tuple[int, ...] = (64, 256)) -> DataFrame:
+    """sections, flows, ones, share, index_bytes, reduction with the index as it is: the index table without its compressed size."""
+    e = Experiment(spark, sf_dir, count=1)
+    out = []
+    for _, c in grid(e.raw, [{"sections": j, "index": True} for j in sections]):
+        size = F.lit(c.m_bits // 8) + F.col("flows") * (c.sections // 8)
+        out.append(measures_ones(e, c).select("sections", "flows", "ones", "share", (F.col("flows") * (c.sections // 8)).alias("index_bytes"), F.round(F.lit(e.raw) / size, 3).alias("overall")))
+    return union(out)
 
 
 def interval_hits(spark: SparkSession, sf_dir: str) -> DataFrame:
