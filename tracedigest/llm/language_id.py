@@ -61,20 +61,20 @@ class Lattice:
     """The pieces of the vocabulary by hash, and all their places in a batch of words."""
 
     def __init__(self, words: list[str]):
-        h = np.array([self.hashed(codes(w)) for w in words], np.uint64)
+        size = np.array([len(w) for w in words], np.int64)
+        h = np.zeros(len(words), np.uint64)
+        for k in np.unique(size).tolist():
+            at = np.flatnonzero(size == k)
+            own = codes("".join(words[i] for i in at)).astype(np.uint64).reshape(-1, k)
+            for j in range(k):
+                h[at] = h[at] * K + (own[:, j] + np.uint64(1))
+        h *= K
         self.longest = max(map(len, words), default=1)
         self.order = np.argsort(h)
         self.sorted = h[self.order]
         self.seen = np.zeros(1 << TABLE_BITS, bool)
         self.seen[(h >> np.uint64(64 - TABLE_BITS)).astype(np.int64)] = True
 
-    @staticmethod
-    def hashed(c: np.ndarray) -> np.uint64:
-        out = np.zeros(1, np.uint64)
-        for x in c:
-            out = out * K + np.uint64(int(x) + 1)
-        return (out * K)[0]
-
     def places(self, words: list[str]) -> tuple[np.ndarray, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
         """Lengths of the words, and the arrays (word, end, length, piece) of all pieces at all their places, in the order of end and
         word. Pieces are -1 for a character without a piece."""
@@ -290,7 +290,7 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lattice, p = Lattice(words), held.value
         for batch in batches:
-            for part in pieces(batch, source, limit=8 << 20):
+            for part in pieces(batch, source, limit=12 << 20):
                 seen: dict[str, int] = {}
                 which = []
                 for text in part.column(source).to_pylist():
