@@ -21,7 +21,7 @@ everything is `und`. Label, source and id are never inputs of a prediction.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -41,7 +41,7 @@ SAMPLE_ROWS = 1_500
 STEPS = 2
 FLOOR = 1e-8
 K = np.uint64(0x9E3779B97F4A7C15)
-TABLE_BITS = 22
+TABLE_BITS = 20
 
 
 def vocabulary(name: str = "piece_bpe_32k") -> list[str]:
@@ -83,17 +83,19 @@ class Lattice:
         word = np.repeat(np.arange(len(n)), n)
         place = np.arange(len(flat)) - np.repeat(np.cumsum(n) - n, n)
         at, size, piece = [], [], []
-        h = np.zeros(len(flat), np.uint64)
+        h, left, start = np.zeros(len(flat), np.uint64), n[word] - place, np.arange(len(flat))
         for k in range(1, self.longest + 1):
-            if len(flat) < k:
+            some = left >= k  # beginnings with k characters of their word
+            h, left, start = h[some], left[some], start[some]
+            if not len(h):
                 break
-            h = h[: len(flat) - k + 1] * K + (flat[k - 1 :] + np.uint64(1))
+            h = h * K + (flat[start + (k - 1)] + np.uint64(1))
             g = h * K
-            ok = np.flatnonzero(self.seen[(g >> np.uint64(64 - TABLE_BITS)).astype(np.int64)] & (place[: len(h)] + k <= n[word[: len(h)]]))
+            ok = np.flatnonzero(self.seen[(g >> np.uint64(64 - TABLE_BITS)).astype(np.int64)])
             where = np.minimum(np.searchsorted(self.sorted, g[ok]), len(self.sorted) - 1)
             hit = self.sorted[where] == g[ok]
             ids = self.order[where[hit]]
-            ok = ok[hit]
+            ok = start[ok[hit]]
             if k == 1:
                 none = np.ones(len(flat), bool)
                 none[ok] = False
@@ -104,7 +106,7 @@ class Lattice:
             piece.append(ids)
         at, size, piece = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (at, size, piece))
         end = place[at] + 1 if len(at) else at
-        order = np.lexsort((at, end))
+        order = np.argsort(end * np.int64(len(flat) + 1) + at)
         return n, (word[at[order]] if len(at) else at, end[order], size[order], piece[order])
 
 
@@ -203,9 +205,9 @@ def expected(lattice: Lattice, words: list[str], counts: np.ndarray, p: np.ndarr
     return out
 
 
-def marked(text: str) -> list[str]:
-    """The words of a text with their mark; words in capitals in small letters."""
-    return [f"▁{w.lower() if w.isupper() else w}" for w in text.split()]
+def marked(words: Iterable[str]) -> list[str]:
+    """Words with their mark; words in capitals in small letters."""
+    return [f"▁{w.lower() if w.isupper() else w}" for w in words]
 
 
 def plain(word: str) -> bool:
@@ -233,7 +235,7 @@ def train(labelled: DataFrame, id_col: str = "doc_id", text_col: str = "text", l
             for x in pieces(batch):
                 held: dict[tuple[str, str], int] = {}
                 for text, label in zip(x.column("text").to_pylist(), x.column("label").to_pylist(), strict=True):
-                    for w in marked(text):
+                    for w in marked(text.split()):
                         if len(w) <= LEARNED:
                             held[label, w] = held.get((label, w), 0) + 1
                 yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in held], pa.string()), pa.array([k[1] for k in held], pa.string()), pa.array(list(held.values()), pa.int64())], ["label", "word", "n"])
@@ -294,10 +296,11 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
                 seen: dict[str, int] = {}
                 which = []
                 for text in part.column(source).to_pylist():
-                    which.append(np.array([seen.setdefault(w, len(seen)) for w in marked(text)], np.int64) if labels and has_letter(text) else None)
-                every = list(seen)
+                    which.append(np.array([seen.setdefault(w, len(seen)) for w in text.split()], np.int64) if labels and has_letter(text) else None)
+                every = marked(seen)
                 scores = log_scores(lattice, every, p)
-                size = np.array([len(w) if plain(w) else 0 for w in seen], np.int64)
+                length = np.array([len(w) for w in every], np.int64)
+                size = length * np.array([plain(w) for w in every], bool)
                 lang, score = [], []
                 for at in which:
                     if at is None:
@@ -308,7 +311,7 @@ def predict(docs: DataFrame, model: tuple[list[str], np.ndarray], id_col: str =
                     best = int(np.argmax(total))
                     lang.append(labels[best])
                     own = at[size[at] > 0] if size[at].any() else at
-                    score.append(share(scores[own].sum(axis=0), best, sum(len(every[i]) for i in own.tolist())))
+                    score.append(share(scores[own].sum(axis=0), best, int(length[own].sum())))
                 yield pa.RecordBatch.from_arrays([*(part.column(c) for c in names), pa.array(lang, pa.string()), pa.array(score, pa.float64())], [*names, "lang_pred", "score"])
 
     return own.mapInArrow(kernel, schema)
