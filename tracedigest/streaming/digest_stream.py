@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import pickle
 from collections.abc import Callable, Iterator
+from datetime import timedelta
 
 import pandas as pd
 import pyarrow as pa
@@ -79,10 +80,17 @@ def patch(words: DataFrame, late: DataFrame) -> DataFrame:
     return membership.merge(words, late)
 
 
-def run_to_parquet(stream: DataFrame, path: str, checkpoint: str, mode: str = "append") -> None:
-    """All available input, to Parquet, to its end."""
+def run_to_parquet(stream: DataFrame, path: str, checkpoint: str, mode: str = "append") -> list[dict]:
+    """All available input, to Parquet, to its end; the progress of its batches. Called again with the same checkpoint it goes on where
+    it ended."""
     query = stream.writeStream.format("parquet").option("path", path).option("checkpointLocation", checkpoint).outputMode(mode).trigger(availableNow=True).start()
     query.awaitTermination()
+    return list(query.recentProgress)
+
+
+def dropped_rows(progress: list[dict]) -> int:
+    """Rows that came later than the watermark allows, by a query's progress."""
+    return sum(op["numRowsDroppedByWatermark"] for p in progress for op in p["stateOperators"])
 
 
 def run_each(stream: DataFrame, checkpoint: str, sink: Callable[[DataFrame, int], None], mode: str = "update") -> None:
@@ -96,15 +104,24 @@ class Reassembler(StatefulProcessor):
     before it. Emits flow_key, start, size, block as soon as they are certain: at any time all blocks that the bytes so far have,
     so a flow's end needs no mark or timer."""
 
-    def __init__(self, window: int = 64, overlap: int = 4):
-        self.window, self.width = window, overlap + 1
+    def __init__(self, window: int = 64, overlap: int = 4, ttl_ms: int | None = None):
+        self.window, self.width, self.ttl_ms = window, overlap + 1, ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
+        self.handle = handle
         self.state = handle.getValueState("tail", "raw binary")
 
     def handleInputRows(self, key, rows, timer_values) -> Iterator[pd.DataFrame]:  # noqa: N802
-        base, tail, done = pickle.loads(self.state.get()[0]) if self.state.exists() else (0, b"", -1)
+        base, tail, done, until = pickle.loads(self.state.get()[0]) if self.state.exists() else (0, b"", -1, None)
         batch = pd.concat(list(rows)).sort_values("seq")
+        if self.ttl_ms is not None:
+            # rows come before a batch's expired timers
+            if until is not None and until <= timer_values.getCurrentWatermarkInMs():
+                base, tail, done = 0, b"", -1
+            for old in list(self.handle.listTimers()):
+                self.handle.deleteTimer(old)
+            until = int(batch["ts"].max().timestamp() * 1000) + self.ttl_ms
+            self.handle.registerTimer(until)
         data = tail + b"".join(bytes(p) for p in batch["payload"])
         found = blocking.payload_bounds(data, self.window, self.width)
         out, last = [], None
@@ -116,9 +133,14 @@ class Reassembler(StatefulProcessor):
         if last is not None:
             done = base + last
         keep = max(0, min(len(data), (done - base if done >= base else 0)) - 2 * self.window)
-        self.state.update((pickle.dumps((base + keep, data[keep:], done)),))
+        self.state.update((pickle.dumps((base + keep, data[keep:], done, until)),))
         yield pd.DataFrame(out, columns=["flow_key", "start", "size", "block"])
 
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        """A flow that has been silent is forgotten; all its blocks are out already."""
+        self.state.clear()
+        yield pd.DataFrame([], columns=["flow_key", "start", "size", "block"])
+
     def close(self) -> None:
         pass
 
@@ -128,18 +150,32 @@ WATCHED = 1_000_000
 BLOCKS = "flow_key string, start bigint, size bigint, block binary"
 
 
-def reassembled_blocks(trace: DataFrame, window: int = 64, overlap: int = 4) -> DataFrame:
-    """Blocks of flows across packets, stateful. Packets of a flow must arrive in order of seq."""
-    own = trace.select("flow_key", "seq", "payload").groupBy("flow_key")
-    return own.transformWithStateInPandas(Reassembler(window, overlap), outputStructType=BLOCKS, outputMode="append", timeMode="None")
+#: Where state is kept: the one that stateful processors need.
+STATE_STORE = ("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+
+
+def reassembled_blocks(trace: DataFrame, window: int = 64, overlap: int = 4, ttl: timedelta | None = None, late: str = "1 hour") -> DataFrame:
+    """Blocks of flows across packets, stateful. Packets of a flow must arrive in order of seq, over batches (within one they are
+    put in order). With a ttl the trace needs times: a flow that is silent for so long (by the watermark, `late` behind the newest
+    time) is forgotten, and what it sends later begins anew."""
+    if ttl is None:
+        own = trace.select("flow_key", "seq", "payload").groupBy("flow_key")
+        return own.transformWithStateInPandas(Reassembler(window, overlap), outputStructType=BLOCKS, outputMode="append", timeMode="None")
+    own = trace.withWatermark("ts", late).select("flow_key", "ts", "seq", "payload").groupBy("flow_key")
+    return own.transformWithStateInPandas(Reassembler(window, overlap, int(ttl.total_seconds() * 1000)), outputStructType=BLOCKS, outputMode="append", timeMode="EventTime")
 
 
-def watch(trace: DataFrame, excerpt_blocks: DataFrame, config: DigestConfig) -> DataFrame:
+def watch(trace: DataFrame, excerpt_blocks: DataFrame, config: DigestConfig, late: str | None = None) -> DataFrame:
     """excerpt_id, flow_key, ts, block_no of blocks on a watch list (excerpt_id, block_no, block) as they pass by: a
-    stream-static join. Lists of up to WATCHED blocks are broadcast."""
+    stream-static join. Lists of up to WATCHED blocks are broadcast. late: a block that a flow sends again within this time is told once."""
     listed = excerpt_blocks.select("excerpt_id", "block_no", block_digest(F.col("block"), config.salt).alias("digest"))
     seen = block_stream(trace, config).withColumn("digest", block_digest(F.col("block"), config.salt))
-    return seen.join(F.broadcast(listed) if listed.count() <= WATCHED else listed, "digest").select("excerpt_id", "flow_key", "ts", "block_no")
+    out = seen.join(F.broadcast(listed) if listed.count() <= WATCHED else listed, "digest").select("excerpt_id", "flow_key", "ts", "block_no")
+    if late is None:
+        return out
+    if not trace.isStreaming:
+        return out.dropDuplicates(["excerpt_id", "flow_key", "block_no"])
+    return out.withWatermark("ts", late).dropDuplicatesWithinWatermark(["excerpt_id", "flow_key", "block_no"])
 
 
 def read_events(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
