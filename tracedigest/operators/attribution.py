@@ -170,23 +170,29 @@ def _size(excerpts: DataFrame) -> int:
     return int(excerpts.agg(F.coalesce(F.sum(F.coalesce(F.octet_length("excerpt"), F.lit(0)) + 64), F.lit(0))).first()[0])
 
 
+def filter_arrays(digest: Digest, intervals: list[int]) -> dict[int, np.ndarray]:
+    """[section, word] arrays of the given intervals, in the driver: the caller bounds their bytes, which the configuration gives."""
+    layout = Layout.of(digest.config)
+    out = {i: np.zeros((layout.sections, layout.section_bytes), np.uint8) for i in intervals}
+    for r in digest.sections.filter(F.col("interval_id").isin(intervals)).collect() if intervals else []:
+        raw = np.frombuffer(r["bits"], np.uint8)
+        out[r["interval_id"]][r["section"], r["chunk"] * CHUNK_BYTES : r["chunk"] * CHUNK_BYTES + len(raw)] = raw
+    return {i: f.view("<u4") for i, f in out.items()}
+
+
 def _local(excerpts: DataFrame, digest: Digest, flows: DataFrame, rows: list, hit: list[int], opened) -> DataFrame:
     """Steps 3 and 4 in one pass over the flows of the intervals with hits."""
-    config, layout = digest.config, Layout.of(digest.config)
+    config = digest.config
     held = [(r["excerpt_id"], bytes(r["excerpt"] or b"")) for r in excerpts.collect()] if rows else []
     asked: dict[int, list] = {}
     for r in rows:
         asked.setdefault(r["interval_id"], []).append(r["excerpt_id"])
-    filters = {i: np.zeros((layout.sections, layout.section_bytes), np.uint8) for i in hit}
-    for r in digest.sections.filter(F.col("interval_id").isin(hit)).collect() if hit else []:
-        raw = np.frombuffer(r["bits"], np.uint8)
-        filters[r["interval_id"]][r["section"], r["chunk"] * CHUNK_BYTES : r["chunk"] * CHUNK_BYTES + len(raw)] = raw
     row, number, _, size, blocks = blocking.winnow_batch([x for _, x in held], config.window, config.overlap, config.threshold, config.keep_equal)
     block_rows = [(held[i][0], int(n), int(s), b) for i, n, s, b in zip(row.tolist(), number, size, blocks, strict=True)]
     own = flows.select("interval_id", "flow_key").filter(F.col("interval_id").isin(hit))
     if config.index:
         own = digest.bitmaps(hit, opened).withColumnRenamed("bitmap", "b0")
-    tables = {(i, 0): f.view("<u4") for i, f in filters.items()}
+    tables = {(i, 0): f for i, f in filter_arrays(digest, hit).items()}
     found = evaluate(own, block_rows, sorted({i for i, _ in held}), [(0, config)], tables, present=asked, kind=id_type(excerpts))
     return found.select("excerpt_id", "interval_id", "flow_key")
 

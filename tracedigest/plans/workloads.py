@@ -121,11 +121,17 @@ class Experiment:
     def verdicts(self, configs: list[tuple[int, DigestConfig]]) -> DataFrame:
         """config_id, flow_key, excerpt_id."""
         rows, ids = self.excerpt_rows()
-        flows = self.flows.select("flow_key")
+        flows, parallel = self.flows.select("flow_key"), self.spark.sparkContext.defaultParallelism
+        if len(configs) == 1:  # one configuration: the digest itself
+            i, c = configs[0]
+            digest = build(self.packets, c)
+            if c.index:
+                flows = digest.flowbits.select("flow_key", F.col("bitmap").alias(f"b{i}"))
+            return attribution.evaluate(flows.repartition(parallel), rows, ids, configs, {i: attribution.filter_arrays(digest, [0])[0]})
         for i, c in configs:
             if c.index:
                 flows = flows.join(self.bitmaps(c).select("flow_key", F.col("bitmap").alias(f"b{i}")), "flow_key")
-        return attribution.evaluate(flows.repartition(self.spark.sparkContext.defaultParallelism), rows, ids, configs, self.filters(configs))
+        return attribution.evaluate(flows.repartition(parallel), rows, ids, configs, self.filters(configs))
 
     def fpr(self, configs: list[tuple[int, DigestConfig]]) -> DataFrame:
         """config_id, excerpts, reported, false_flows, fpr."""
