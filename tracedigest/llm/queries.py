@@ -75,8 +75,29 @@ QUERIES = {
     )
 }
 
+def _secret_sql() -> str:
+    """Matches of each kind with their places (from the pieces between them), owners of each value, and what follows from both."""
+    words = "|".join("".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in w) for w in ("password", "passwd", "secret", "token", "api_?key"))
+    patterns = [(f"""({words})["\']?\\x20*[:=]\\x20*["\']?([A-Za-z0-9+/_.=-]+)""", 2)] + [(secret_scan.KINDS[k][0], 0) for k in ("access", "hex", "format")]
+    quoted = [(p.replace("'", "''"), g) for p, g in patterns]
+    least = [secret_scan.KINDS[k][2] for k in secret_scan.KINDS]
+    found = " union all ".join(f"select doc_id, owner, repo, {n} as k, {least[n]} as least_, string_split_regex(text, '{p}') as g, regexp_extract_all(text, '{p}') as w, regexp_extract_all(text, '{p}', {g}) as v from t where regexp_matches(text, '{p}')" for n, (p, g) in enumerate(quoted))
+    return f"""
+with t as (select doc_id, coalesce(text, '') as text, coalesce(source, chr(1)) as owner, concat_ws('/', source, lang) as repo from documents),
+m as ({found}),
+x as (select doc_id, owner, repo, k, least_, w[i] as whole, v[i] as val, list_sum(list_transform(g[1:i], lambda y: length(y))) + coalesce(list_sum(list_transform(w[1:i - 1], lambda y: length(y))), 0) as s from (select *, unnest(range(1, len(w) + 1)) as i from m)),
+c as (select distinct doc_id, owner, repo, k, s::bigint as s, (s + length(whole))::bigint as e, val from x where length(val) >= least_),
+o as (select val, count(distinct owner) = 1 and count(distinct owner || chr(2) || repo) <= {secret_scan.MOST_REPOS} as live from c group by val),
+y as (select c.*, live, ['assign', 'access', 'hex', 'format'][k + 1] || ':' || s || ':' || e as shown from c join o using (val)),
+a as (select doc_id, count(*) filter (k = 0) as n_assign, count(*) filter (k = 1) as n_access, count(*) filter (k = 2) as n_hex, coalesce(string_agg(shown, ',' order by s, k) filter (k < 3), '') as base,
+  coalesce(string_agg(shown, ',' order by s, k) filter (k < 3 or live), '') as spans, count(*) filter (live) as n_live, count(*) filter (not live) as n_example from y group by doc_id)
+select t.doc_id, coalesce(n_assign, 0)::bigint as n_assign, coalesce(n_access, 0)::bigint as n_access, coalesce(n_hex, 0)::bigint as n_hex, sha256(coalesce(base, '')) as base_sha256, coalesce(spans, '') as spans, coalesce(n_live, 0)::bigint as n_live, coalesce(n_example, 0)::bigint as n_example
+from t left join a using (doc_id)"""
+
+
 #: DuckDB SQL for the operators that SQL can say.
 ORACLE_SQL = {
+    "op6_secret_scan": _secret_sql(),
     "op1_substring_dedup": r"""
 with t as (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') as w from documents),
 x as (select doc_id, i, hash(array_to_string(w[i : i + 12], ' ')) as h1, md5(array_to_string(w[i : i + 12], ' ')) as h2 from (select doc_id, w, unnest(range(1, len(w) - 11)) as i from t)),
