@@ -182,6 +182,11 @@ def test_the_registry_stands_without_the_training_data_operators(tmp_path):
     subprocess.run([sys.executable, "-B", "-c", code], cwd=tmp_path, check=True, timeout=120)
 
 
+def test_the_registry_stands_where_a_module_of_those_is_missing():
+    code = "import sys; sys.modules['tracedigest.llm.common'] = None; import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 100 and set(o) <= set(q) and 'pipeline' not in q"
+    subprocess.run([sys.executable, "-B", "-c", code], cwd=ROOT, check=True, timeout=120)
+
+
 def test_registry_is_whole():
     import __spark_entry__ as e
 
