@@ -133,15 +133,17 @@ def attribute(excerpts: DataFrame, digest: Digest, on_empty: str = "positive", b
     excerpts = excerpts.filter("excerpt_id is not null").select("excerpt_id", "excerpt")
     blocks = excerpt_blocks(excerpts, config)
     places = content_places(blocks, config)
+    size = _size(excerpts)
+    near = F.broadcast(places) if size <= packed_bound // 4 else places  # then filters are only scanned
     asked = [r["section"] for r in places.select("section").distinct().collect()] if config.filter_sections > 1 else [0]  # at most the sections of the filter
-    found = present_in(places, sections.filter(F.col("section").isin(asked)) if len(asked) < config.filter_sections else sections)
+    found = present_in(near, sections.filter(F.col("section").isin(asked)) if len(asked) < config.filter_sections else sections)
     free = excerpts.select("excerpt_id").distinct().join(blocks.select("excerpt_id").distinct(), "excerpt_id", "left_anti")
     every = flows.select("interval_id").distinct()
     present = found.unionByName(free.join(F.broadcast(every), how="cross").select("excerpt_id", "interval_id"))
     rows = present.limit(rows_bound + 1).collect()
     hit = sorted({r["interval_id"] for r in rows})
     layout = Layout.of(config)
-    small = len(rows) <= rows_bound and len(hit) * layout.sections * layout.section_bytes <= packed_bound and _size(excerpts) <= packed_bound
+    small = len(rows) <= rows_bound and len(hit) * layout.sections * layout.section_bytes <= packed_bound and size <= packed_bound
     if small:
         verdict = _local(excerpts, digest, flows, rows, hit, opened)
     else:

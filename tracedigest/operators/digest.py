@@ -264,8 +264,8 @@ def cut_places(cut):
     return places
 
 
-def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20, cut=None) -> DataFrame:
-    """interval_id, flow_key ("\\0": filter), section and chunk (0 for flows), whole (bytes that the bits have when unpacked), bits: what
+def partial_kernel(config: DigestConfig, budget: int = 64 << 20, cut=None):
+    """What a task does with batches of interval_id, flow_key and payload. Gives interval_id, flow_key ("\\0": filter), section and chunk (0 for flows), whole (bytes that the bits have when unpacked), bits: what
     each task has gathered, at most about `budget` bytes at a time."""
     layout, width = Layout.of(config), -(-config.sections // 8)
     places = cut_places(cut) if cut is not None else lambda payloads: blocking.winnow_places(payloads, config.window, config.overlap, config.threshold, config.keep_equal)
@@ -341,7 +341,11 @@ def _partials(packets: DataFrame, config: DigestConfig, budget: int = 64 << 20,
                 yield from flush()
         yield from flush()
 
-    return packets.select("interval_id", "flow_key", "payload").mapInArrow(kernel, "interval_id int, flow_key string, section int, chunk int, whole int, bits binary")
+    return kernel
+
+
+def _partials(packets: DataFrame, config: DigestConfig, cut=None) -> DataFrame:
+    return packets.select("interval_id", "flow_key", "payload").mapInArrow(partial_kernel(config, cut=cut), "interval_id int, flow_key string, section int, chunk int, whole int, bits binary")
 
 
 def or_merged(parts: DataFrame, keys: list[str]) -> DataFrame:
