@@ -5,6 +5,7 @@ import re
 import zlib
 
 import duckdb
+import numpy as np
 import pytest
 
 from tracedigest.llm import bin_packing, decontaminate, histogram_shard, queries, substring_dedup, url_filter
@@ -58,6 +59,30 @@ def test_substring_dedup_awkward_rows_and_a_saturated_sketch(spark):
     assert substring_dedup.dedup(awkward(spark).limit(0), cell_bits=20).collect() == []
 
 
+def test_substring_dedup_settles_repeats_over_many_batches(spark):
+    """A passage in every text, ids in no order, many small batches a task: little of it is left to the exchange."""
+    passage = " ".join(f"p{i}" for i in range(30))
+    docs = [(i * 7919 % 2003 if i % 50 else None, f"own{i} {passage} " + " ".join(f"x{i % 400}y{j}" for j in range(15))) for i in range(2000)]
+    table = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "16")
+    try:
+        got = substring_dedup.dedup(table, cell_bits=20).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert sorted(((r[0], r[1], r[2], hashlib.sha256(r[3].encode()).hexdigest()) for r in got), key=str) == brute_dedup(docs)
+
+
+def test_remembered_windows_forget_when_full():
+    seen = substring_dedup.Repeated(most=4)
+    of = lambda *x: np.array(x, np.uint64)
+    seen.add(of(3, 5, 9), of(1, 1, 1), np.array([7, 8, 9]))
+    seen.add(of(4, 5), of(1, 1), np.array([2, 6]))
+    at, known = seen.find(of(3, 4, 5, 9, 5), of(1, 1, 1, 1, 2))
+    assert known.tolist() == [True, True, True, True, False] and seen.rank[at[:4]].tolist() == [7, 2, 6, 9]
+    seen.add(of(6), of(1), np.array([1]))
+    assert seen.find(of(3, 6), of(1, 1))[1].tolist() == [False, True]
+
+
 def brute_url(url):
     host, path = "", ""
     if url is not None and "://" in url:

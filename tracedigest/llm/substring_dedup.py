@@ -8,9 +8,10 @@ cells; the sketches of all tasks are merged block by block into one bitmap per r
 counted by its anchor, the gram of half its words with the least hash: places of equal windows have equal anchors at
 different places, so an anchor's count, and all the more its estimate, is no less than its window's, and neighbouring windows share
 their anchor, which saves three updates of four. So a window that occurs twice always passes. Second pass: only windows that pass
-are grouped exactly, by 96 bits of hash. A batch first settles what it can on its own: for each window, its documents
-beyond the batch's smallest id are removed there and then (as runs), so a passage that a third of all documents share
-reaches the exchange once per batch. The sketch has a fixed size (`cell_bits`, so rows·2^cell_bits/8 bytes are
+are grouped exactly, by 127 bits of hash. A task first settles what it can on its own: for each window, its documents
+beyond the smallest id that the batch, or the task's earlier batches, have shown are removed there and then (as runs), so a passage
+that a third of all documents share reaches the exchange about once per task (where ids ascend, else whenever a smaller one comes).
+The sketch has a fixed size (`cell_bits`, so rows·2^cell_bits/8 bytes are
 broadcast); on inputs far beyond its capacity more windows pass and the exact stage groups them: dearer, never wrong.
 
 Nulls: a null text has no words; a null id counts as larger than any other, so such rows lose what any identified
@@ -34,7 +35,10 @@ WINDOW = 13
 CELL_BITS, BLOCK_BITS = 27, 20
 #: Text bytes within which repeats are settled without an exchange.
 SETTLE_BYTES = 8 << 20
+#: Repeated windows that a task remembers from batch to batch.
+REMEMBERED = 1_000_000
 LOW = (1 << BLOCK_BITS) - 1
+OPEN = 1 << 31
 A, B, C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
 
@@ -91,6 +95,31 @@ def digests(flat: np.ndarray, at: np.ndarray, window: int) -> tuple[np.ndarray,
     return (h1 ^ (h1 >> np.uint64(32))) * B, (h2 ^ (h2 >> np.uint64(32))) * A
 
 
+class Repeated:
+    """Windows that a task has met several times, with the smallest rank of their documents; forgets older ones when full."""
+
+    def __init__(self, most: int = REMEMBERED):
+        self.most, self.h1, self.h2, self.rank = most, np.zeros(0, np.uint64), np.zeros(0, np.uint64), np.zeros(0, np.int64)
+
+    def find(self, h1: np.ndarray, h2: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Place of each window, and whether it is there."""
+        if not len(self.h1):
+            return np.zeros(len(h1), np.int64), np.zeros(len(h1), bool)
+        at = np.minimum(np.searchsorted(self.h1, h1), len(self.h1) - 1)
+        return at, (self.h1[at] == h1) & (self.h2[at] == h2)
+
+    def add(self, h1: np.ndarray, h2: np.ndarray, rank: np.ndarray) -> None:
+        """Windows sorted by h1; a known one takes the new rank."""
+        at, known = self.find(h1, h2)
+        self.rank[at[known]] = rank[known]
+        new = ~known
+        if len(self.h1) + new.sum() > self.most:
+            self.h1, self.h2, self.rank = h1, h2, rank
+        elif new.any():
+            at = np.searchsorted(self.h1, h1[new])
+            self.h1, self.h2, self.rank = (np.insert(x, at, y[new]) for x, y in ((self.h1, h1), (self.h2, h2), (self.rank, rank)))
+
+
 def cells(grams: np.ndarray, cell_bits: int) -> tuple[np.ndarray, np.ndarray]:
     """The cells of a gram in the two rows of the sketch."""
     return (grams >> np.uint64(64 - cell_bits)).astype(np.int64), (grams * C >> np.uint64(64 - cell_bits)).astype(np.int64)
@@ -182,14 +211,14 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
     held = docs.sparkSession.sparkContext.broadcast(sketch(docs, window, cell_bits))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        memo, bits = Memo(), held.value
+        memo, bits, repeated = Memo(), held.value, Repeated()
         for batch in (x for whole in batches for x in pieces(whole, limit=SETTLE_BYTES)):
             found, base = [], 0
             for part in pieces(batch):
                 flat, _, least, doc, first = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
                 at = passes(bits, least, cell_bits)
                 h1, h2 = digests(flat, at, window)
-                found.append((h1, h2 >> np.uint64(32), doc[at] + base, first[at]))
+                found.append((h1, h2, doc[at] + base, first[at]))
                 base += part.num_rows
             if not found:
                 continue
@@ -200,8 +229,14 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
             h1, h2, doc, first = h1[order], h2[order], doc[order], first[order]
             head = np.ones(len(h1), bool)
             head[1:] = (h1[1:] != h1[:-1]) | (h2[1:] != h2[:-1])
-            least = rank[doc][np.flatnonzero(head)][np.cumsum(head) - 1] if len(h1) else rank[:0]
-            settled = rank[doc] > least
+            lead = np.flatnonzero(head)
+            least = rank[doc][lead]
+            at, known = repeated.find(h1[lead], h2[lead])
+            least[known] = np.minimum(least[known], repeated.rank[at[known]])
+            settled = rank[doc] > least[np.cumsum(head) - 1]
+            if len(lead):
+                busy = known | np.logical_or.reduceat(settled, lead)
+                repeated.add(h1[lead][busy], h2[lead][busy], least[busy])
             ask = ~settled
             order = np.lexsort((first[settled], doc[settled]))
             sdoc, sfirst = doc[settled][order], first[settled][order]
@@ -212,8 +247,9 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
             adoc, afirst, a1, a2 = (x[ask][order] for x in (doc, first, h1, h2))
             row = np.concatenate([adoc, sdoc])
             key = np.concatenate([a1, (sdoc.astype(np.uint64) + np.uint64(base)) * A + sfirst.astype(np.uint64) * B]).view(np.int64)
-            place = np.concatenate([(a2 << np.uint64(32)).view(np.int64) | afirst, sfirst])
-            tag = (tags[row] << 32) | np.concatenate([np.zeros(len(adoc), np.int64), length])
+            place = np.concatenate([(a2 & ~np.uint64(0xFFFFFFFF)).view(np.int64) | afirst, sfirst])
+            # the low half: 31 more bits of an open window's hash and a mark, or a settled run's length
+            tag = (tags[row] << 32) | np.concatenate([(a2 & np.uint64(0x7FFFFFFF)).view(np.int64) | OPEN, length])
             yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(place), ids.take(pa.array(row)), pa.array(tag)], ["h", "place", "doc_id", "tag"])
 
     tagged = docs.select("doc_id", row_tag().bitwiseAND(F.lit(0x7FFFFFFF)).alias("tag"), "text")
@@ -221,10 +257,11 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
     rows = rows.repartition(max(8, shuffle_width(docs.sparkSession)), "h")
     run = F.col("tag").bitwiseAND(F.lit(0xFFFFFFFF))
     first = F.col("place").bitwiseAND(F.lit(0xFFFFFFFF))
-    least = F.min("doc_id").over(Window.partitionBy("h", "h2", "settled"))
-    judged = rows.withColumns({"h2": F.shiftright("place", 32), "settled": run > 0}).withColumn("least", least)
+    settled = run < OPEN
+    least = F.min("doc_id").over(Window.partitionBy("h", "h2", "h3"))
+    judged = rows.withColumns({"h2": F.shiftright("place", 32), "settled": settled, "h3": F.when(settled, 0).otherwise(run)}).withColumn("least", least)
     gone = judged.filter(F.col("settled") | (F.col("least") < F.col("doc_id")) | (F.col("doc_id").isNull() & F.col("least").isNotNull()))
-    gone = gone.select("doc_id", F.shiftright("tag", 32).alias("tag"), F.shiftleft(first, 32).bitwiseOR(F.greatest(run, F.lit(1))).alias("span"))
+    gone = gone.select("doc_id", F.shiftright("tag", 32).alias("tag"), F.shiftleft(first, 32).bitwiseOR(F.when(F.col("settled"), run).otherwise(1)).alias("span"))
     return gone.groupBy("doc_id", "tag").agg(F.collect_list("span").alias("spans"))
 
 
