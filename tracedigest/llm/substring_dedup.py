@@ -8,7 +8,7 @@ cells; the sketches of all tasks are merged block by block into one bitmap per r
 counted by its anchor, the gram of half its words with the least hash: places of equal windows have equal anchors at
 different places, so an anchor's count, and all the more its estimate, is no less than its window's, and neighbouring windows share
 their anchor, which saves three updates of four. So a window that occurs twice always passes. Second pass: only windows that pass
-are grouped exactly, by 127 bits of hash. A task first settles what it can on its own: for each window, its documents
+are grouped exactly, by 96 bits of hash. A task first settles what it can on its own: for each window, its documents
 beyond the smallest id that the batch, or the task's earlier batches, have shown are removed there and then (as runs), so a passage
 that a third of all documents share reaches the exchange about once per task (where ids ascend, else whenever a smaller one comes).
 The sketch has a fixed size (`cell_bits`, so rows·2^cell_bits/8 bytes are
@@ -36,9 +36,8 @@ CELL_BITS, BLOCK_BITS = 27, 20
 #: Text bytes within which repeats are settled without an exchange.
 SETTLE_BYTES = 8 << 20
 #: Repeated windows that a task remembers from batch to batch.
-REMEMBERED = 1_000_000
+REMEMBERED = 500_000
 LOW = (1 << BLOCK_BITS) - 1
-OPEN = 1 << 31
 A, B, C = (np.uint64(x) for x in (0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0xD6E8FEB86659FD93))
 
 
@@ -218,7 +217,7 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
                 flat, _, least, doc, first = anchors([split(t) for t in part.column("text").to_pylist()], memo, window)
                 at = passes(bits, least, cell_bits)
                 h1, h2 = digests(flat, at, window)
-                found.append((h1, h2, doc[at] + base, first[at]))
+                found.append((h1, h2 >> np.uint64(32), doc[at] + base, first[at]))
                 base += part.num_rows
             if not found:
                 continue
@@ -247,9 +246,8 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
             adoc, afirst, a1, a2 = (x[ask][order] for x in (doc, first, h1, h2))
             row = np.concatenate([adoc, sdoc])
             key = np.concatenate([a1, (sdoc.astype(np.uint64) + np.uint64(base)) * A + sfirst.astype(np.uint64) * B]).view(np.int64)
-            place = np.concatenate([(a2 & ~np.uint64(0xFFFFFFFF)).view(np.int64) | afirst, sfirst])
-            # the low half: 31 more bits of an open window's hash and a mark, or a settled run's length
-            tag = (tags[row] << 32) | np.concatenate([(a2 & np.uint64(0x7FFFFFFF)).view(np.int64) | OPEN, length])
+            place = np.concatenate([(a2 << np.uint64(32)).view(np.int64) | afirst, sfirst])
+            tag = (tags[row] << 32) | np.concatenate([np.zeros(len(adoc), np.int64), length])
             yield pa.RecordBatch.from_arrays([pa.array(key), pa.array(place), ids.take(pa.array(row)), pa.array(tag)], ["h", "place", "doc_id", "tag"])
 
     tagged = docs.select("doc_id", row_tag().bitwiseAND(F.lit(0x7FFFFFFF)).alias("tag"), "text")
@@ -257,11 +255,10 @@ def repeats(docs: DataFrame, window: int, cell_bits: int) -> DataFrame:
     rows = rows.repartition(max(8, shuffle_width(docs.sparkSession)), "h")
     run = F.col("tag").bitwiseAND(F.lit(0xFFFFFFFF))
     first = F.col("place").bitwiseAND(F.lit(0xFFFFFFFF))
-    settled = run < OPEN
-    least = F.min("doc_id").over(Window.partitionBy("h", "h2", "h3"))
-    judged = rows.withColumns({"h2": F.shiftright("place", 32), "settled": settled, "h3": F.when(settled, 0).otherwise(run)}).withColumn("least", least)
+    least = F.min("doc_id").over(Window.partitionBy("h", "h2", "settled"))
+    judged = rows.withColumns({"h2": F.shiftright("place", 32), "settled": run > 0}).withColumn("least", least)
     gone = judged.filter(F.col("settled") | (F.col("least") < F.col("doc_id")) | (F.col("doc_id").isNull() & F.col("least").isNotNull()))
-    gone = gone.select("doc_id", F.shiftright("tag", 32).alias("tag"), F.shiftleft(first, 32).bitwiseOR(F.when(F.col("settled"), run).otherwise(1)).alias("span"))
+    gone = gone.select("doc_id", F.shiftright("tag", 32).alias("tag"), F.shiftleft(first, 32).bitwiseOR(F.greatest(run, F.lit(1))).alias("span"))
     return gone.groupBy("doc_id", "tag").agg(F.collect_list("span").alias("spans"))
 
 
