@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import pieces
+from .common import materialize, pieces
 
 #: Bytes to what normalisation makes of them: lower case, and a space for what is in no word.
 NORMAL = bytes(b + 32 if 65 <= b <= 90 else b if 48 <= b <= 57 or 97 <= b <= 122 or b >= 128 else 32 for b in range(256))
@@ -63,6 +63,8 @@ class Grams:
 
 #: Bytes of the set for each word of an item beside its text, at most.
 WORD_BYTES = 8 + 8 + 8 + 4 + 1
+#: Parts scanned in one plan, each by Python workers of its own; then the rows are written and read again.
+CHAINED = 4
 
 
 def grams(items: list[tuple[str, str]], window: int) -> tuple[bytes, dict[int, Grams], list[str]]:
@@ -150,8 +152,12 @@ def mark(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_broadcast_
         F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), *[F.col(c).alias(f"k{i}") for i, c in enumerate(keep)],
         F.lit(0).cast("long").alias("n_words"), F.expr("cast(array() as array<struct<a:int,b:int>>)").alias("spans"), F.expr("cast(array() as array<string>)").alias("items"),
     )
-    for p in range(parts):
-        out = scan(out, [tuple(r) for r in items.filter(F.pmod(F.xxhash64("item", "text"), F.lit(parts)) == p).collect()], window)
+    part = F.pmod(F.xxhash64("item", "text"), F.lit(parts))
+    held = sorted(r[0] for r in items.select(part.alias("part")).distinct().collect()) if parts > 1 else [0]
+    for i, p in enumerate(held or [0]):
+        if i and i % CHAINED == 0:
+            out = materialize(out, "decontaminated")
+        out = scan(out, [tuple(r) for r in items.filter(part == p).collect()], window)
     return out
 
 
