@@ -25,9 +25,13 @@ select day as interval_id, ({o.number('d', '1', 8)} % 64)::int as section, (({o.
 BITS = f"{SETUP}, s as (select day, flow_key, {o.number(o.digest('block'), '1', 8)} % 64 as s from b) select day as interval_id, flow_key, (s // 32)::int as word_ix, bit_or(1::bigint << (s % 32)::int)::bigint as word from s group by all"
 
 
+def stream_of(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A table as a stream, be it one file or a folder of them. (As a pattern: a plain path of a stream has to be a folder.)"""
+    return spark.readStream.schema(table(spark, sf_dir, name).schema).parquet(f"{sf_dir}/{name}.parque[t]")
+
+
 def _events(spark: SparkSession, sf_dir: str) -> DataFrame:
-    schema = table(spark, sf_dir, "events").schema
-    return trace.from_events(spark.readStream.schema(schema).option("pathGlobFilter", "events.parquet").option("recursiveFileLookup", True).parquet(sf_dir))
+    return trace.from_events(stream_of(spark, sf_dir, "events"))
 
 
 def _written(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -107,8 +111,7 @@ def stream_reassembled(spark: SparkSession, sf_dir: str) -> DataFrame:
     before = spark.conf.get(key, None)
     spark.conf.set(key, value)
     try:
-        schema = table(spark, sf_dir, "conversations").schema
-        turns = trace.from_conversations(spark.readStream.schema(schema).option("pathGlobFilter", "conversations.parquet").option("recursiveFileLookup", True).parquet(sf_dir))
+        turns = trace.from_conversations(stream_of(spark, sf_dir, "conversations"))
         hour = F.timestamp_seconds(F.lit(1704067200) + F.col("flow_key").cast("long") % 24 * 3600)
         out = _written(spark, ds.reassembled_blocks(turns.withColumn("ts", hour), ttl=timedelta(days=1), late="1 day"))
     finally:
@@ -118,8 +121,7 @@ def stream_reassembled(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def stream_watch(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A watch list of known texts' blocks against documents as they pass by, each told once."""
-    schema = table(spark, sf_dir, "documents").schema
-    docs = trace.from_documents(spark.readStream.schema(schema).option("pathGlobFilter", "documents.parquet").option("recursiveFileLookup", True).parquet(sf_dir))
+    docs = trace.from_documents(stream_of(spark, sf_dir, "documents"))
     listed = attribution.excerpt_blocks(benchmark_items(spark, sf_dir), DigestConfig())
     out = _written(spark, ds.watch(docs.withColumn("ts", F.lit("2024-01-01").cast("timestamp")), listed, DigestConfig(), late=LATE))
     return out.select(F.col("excerpt_id").alias("item_id"), "flow_key", "block_no")
