@@ -74,3 +74,49 @@ def test_payloads_with_a_block_for_each_byte_are_cut_in_parts(spark, monkeypatch
     assert blocking.block_count(rows, cut) == 293_200
     docs = w.docs_trace(spark, SF)
     assert {tuple(r) for r in blocking.block_sizes(docs).collect()} == {tuple(r) for r in blocking.winnow_blocks(docs).groupBy("size").count().collect()}
+
+
+def test_streams_read_tables_that_are_folders(spark, tmp_path):
+    """A table may be a file or a folder of files with names of their own."""
+    from tracedigest.plans import stream_queries as sq
+
+    for name in ("conversations", "documents", "events"):
+        spark.read.parquet(f"{SF}/{name}.parquet").repartition(3).write.parquet(f"{tmp_path}/{name}.parquet")
+    spark.read.parquet(f"{SF}/benchmark.parquet").write.parquet(f"{tmp_path}/benchmark.parquet")
+    for f in (sq.stream_reassembled, sq.stream_watch, sq.stream_filter_words):
+        rows = lambda d, f=f: sorted(map(tuple, f(spark, d).collect()))
+        assert rows(str(tmp_path)) == rows(SF) != []
+
+
+def test_candidates_are_counted_without_their_pairs(exp, spark):
+    c = DigestConfig(sections=64, threshold=40, index=True).sized(exp.raw)
+    short = spark.createDataFrame([(10**6, b"no block")], "excerpt_id long, excerpt binary")
+    excerpts = exp.excerpts.select("excerpt_id", "excerpt").unionByName(short)
+    pairs = attribution.candidates_of(attribution.excerpt_blocks(excerpts, c), exp.words(c), exp.flows, excerpts, c)
+    want = {r["excerpt_id"]: r["count"] for r in pairs.groupBy("excerpt_id").count().collect()}
+    maps = dg.packed_bitmaps(exp.packets, [(0, c)]).withColumnRenamed("b0", "bitmap")
+    assert {r["flow_key"]: bytes(r["bitmap"]) for r in maps.collect()} == {r["flow_key"]: bytes(r["bitmap"]) for r in exp.bitmaps(c).collect()}
+    for part in (500_000, 50):
+        got = {r["excerpt_id"]: r["c"] for r in attribution.candidate_counts(excerpts, maps, c, part).collect()}
+        assert {i: n for i, n in got.items() if n} == want and want[10**6] == exp.n_flows
+
+
+def test_the_local_pass_is_spread_over_tasks(exp, spark):
+    """The flows' bitmaps are a few MB, which one task would read; each flow is asked about every excerpt."""
+    digest = dg.build(exp.packets.coalesce(1), DigestConfig(sections=64, index=True).sized(exp.raw))
+    hit = [(r["excerpt_id"], 0) for r in exp.excerpts.collect()]
+    rows = spark.createDataFrame(hit, "excerpt_id long, interval_id int").collect()
+    found = attribution._local(exp.excerpts.select("excerpt_id", "excerpt"), digest, digest.flows, rows, [0], None)
+    assert found.rdd.getNumPartitions() >= spark.sparkContext.defaultParallelism
+
+
+def test_the_worked_example_over_a_table(spark):
+    from tracedigest.operators import bitindex
+    from tracedigest.plans import queries as q
+
+    found = q.QUERIES["bitmap_example"](spark, SF)
+    assert any("lineitem" in f for f in found.inputFiles())
+    lines = {}
+    for r in spark.read.parquet(f"{SF}/lineitem.parquet").select("l_orderkey", "l_partkey").collect():
+        lines.setdefault(str(r[0]), set()).add(r[1] % 10 + 1)
+    assert {tuple(r) for r in found.collect()} == {(i, f) for f, own in lines.items() for i, need in bitindex.EXAMPLE_NEEDS.items() if own >= set(need)}
