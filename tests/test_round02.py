@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from tracedigest.operators import attribution, blocking, downsample
+from tracedigest.operators import attribution, baselines, blocking, downsample
 from tracedigest.operators import digest as dg
 from tracedigest.operators.digest import DigestConfig
 from tracedigest.plans import workloads as w
@@ -120,3 +120,32 @@ def test_the_worked_example_over_a_table(spark):
     for r in spark.read.parquet(f"{SF}/lineitem.parquet").select("l_orderkey", "l_partkey").collect():
         lines.setdefault(str(r[0]), set()).add(r[1] % 10 + 1)
     assert {tuple(r) for r in found.collect()} == {(i, f) for f, own in lines.items() for i, need in bitindex.EXAMPLE_NEEDS.items() if own >= set(need)}
+
+
+def test_unique_excerpts_are_found_without_their_pairs_or_bytes_in_the_driver(spark, monkeypatch):
+    """Copies of a text don't become pairs, and no excerpt is collected."""
+    docs = w.table(spark, SF, "documents").select(F.col("doc_id"), F.encode(F.coalesce("text", F.lit("")), "UTF-8").alias("data"))
+    short = docs.select(F.col("doc_id").alias("excerpt_id"), F.expr("substring(data, 20, 30 + cast(doc_id % 200 as int))").alias("excerpt"))
+    for excerpts, by in ((w.excerpt_slices(w.table(spark, SF, "documents")), "skew"), (short, "doc_id")):
+        packets = w.docs_trace(spark, SF, by=by)
+        found = baselines.exact_search(packets, excerpts).groupBy("excerpt_id").agg(F.count("*").alias("n"), F.min("flow_key").alias("f")).filter("n = 1")
+        want = {(r["excerpt_id"], r["f"]) for r in found.collect()}
+        assert {tuple(r) for r in baselines.carried_once(packets, excerpts).collect()} == want != set()
+        assert {tuple(r) for r in baselines.carried_once(packets, excerpts, most=5).collect()} == want
+    text = b"".join(b"line %d of the copied text, " % i for i in range(100))
+    copies = spark.createDataFrame([(0, str(i), 0, text if i else text[:600] + b"only here " * 30) for i in range(300)], "interval_id int, flow_key string, seq long, payload binary").coalesce(2)
+    slices = spark.createDataFrame([(i, text[i : i + 200]) for i in range(300)] + [(300, b"only here " * 20), (301, None)], "excerpt_id long, excerpt binary")
+    monkeypatch.setattr(baselines, "exact_search", None)
+    found = baselines.carried_once(copies, slices)
+    assert [tuple(r) for r in found.collect()] == [(300, "0")]
+
+
+def test_alignments_of_fixed_blocks_are_asked_in_parts(exp, monkeypatch):
+    m = DigestConfig().sized(exp.raw).m_bits
+    rows = lambda: {tuple(r) for r in w.fixed_verdicts(exp, [(m, 1), (m, 2)]).collect()}
+    want = rows()
+    most = []
+    monkeypatch.setattr(w, "ALIGNED", 7)
+    monkeypatch.setattr(w, "content_alive", lambda r, *a, f=w.content_alive: (most.append(len(r)), f(r, *a))[1])
+    assert rows() == want != set()
+    assert max(most) <= 7 * 200
