@@ -149,3 +149,23 @@ def test_alignments_of_fixed_blocks_are_asked_in_parts(exp, monkeypatch):
     monkeypatch.setattr(w, "content_alive", lambda r, *a, f=w.content_alive: (most.append(len(r)), f(r, *a))[1])
     assert rows() == want != set()
     assert max(most) <= 7 * 200
+
+
+def test_every_pair_is_asked_without_an_exchange_of_probes(spark, monkeypatch):
+    from tracedigest.plans import queries as q
+
+    run = lambda: q.QUERIES["determine_exhaustive"](spark, SF)
+    with monkeypatch.context() as m:
+        m.setattr(baselines, "excerpt_bytes", lambda x: 1 << 40)  # too many for one pass: by joins
+        want = sorted(map(tuple, run().collect()))
+    monkeypatch.setattr(attribution, "determine", None)
+    assert sorted(map(tuple, run().collect())) == want != []
+
+
+def test_md5_of_short_blocks_is_the_interpreters_own():
+    import hashlib
+
+    from tracedigest.functions import hashing
+
+    assert hashing.digests([b"", b"a" * 69], b"|7", salt="s") == b"".join(hashlib.md5(b"s" + x + b"|7").digest() for x in (b"", b"a" * 69))
+    assert hashing.md5 is not hashlib.md5
