@@ -169,3 +169,20 @@ def test_md5_of_short_blocks_is_the_interpreters_own():
 
     assert hashing.digests([b"", b"a" * 69], b"|7", salt="s") == b"".join(hashlib.md5(b"s" + x + b"|7").digest() for x in (b"", b"a" * 69))
     assert hashing.md5 is not hashlib.md5
+
+
+def test_sizes_are_counted_a_piece_of_a_payload_at_a_time(spark, monkeypatch):
+    """A payload of any length is cut in bounded parts, and payloads of one character are made in the tasks, not sent to them."""
+    from tracedigest.plans import queries as q
+
+    text = np.random.default_rng(5).integers(0, 4, 200_000, np.uint8).tobytes()
+    payloads = [b"a" * 100_000, None, text, b"", text[:500], b"a" * 69, *[text[i : i + 300] for i in range(0, 9_000, 300)], b"a" * 68, text[:7_000]]
+    size = blocking.winnow_batch(payloads)[3]
+    most = []
+    monkeypatch.setattr(blocking, "CUT_BYTES", 5_000)
+    monkeypatch.setattr(blocking, "bounds_of", lambda data, *a, f=blocking.bounds_of: (most.append(len(data)), f(data, *a))[1])
+    assert np.array_equal(blocking.size_counts(payloads), np.bincount(size, minlength=70))
+    assert max(most) <= 2 * 5_000 + 2 * 64
+    found = q.QUERIES["small_blocks"](spark, SF)
+    assert "repeat(" not in found._jdf.queryExecution().toString()
+    assert [tuple(r) for r in found.collect()] == [(6, w.table(spark, SF, "documents").selectExpr("sum(greatest(0, length(text) - 68))").first()[0])]
