@@ -2,8 +2,11 @@
 
 import numpy as np
 
+from tracedigest.functions.hashing import Hashed, digests, flow_suffix, md5_parts
+from tracedigest.operators import attribution
 from tracedigest.operators import digest as dg
 from tracedigest.operators.digest import DigestConfig
+from tracedigest.plans import workloads as w
 
 SF = "/root/testdata/sf0.001"
 
@@ -16,3 +19,32 @@ def test_a_task_hands_on_filters_in_which_it_set_nothing(spark):
     assert dg.packed_filters(short, configs).count() == 0
     long = short.unionByName(spark.createDataFrame([(0, "c", 0, bytes(np.random.default_rng(3).integers(0, 256, 3000, np.uint8)))], short.schema))
     assert {r["config_id"] for r in dg.packed_filters(long, configs).collect()} == {0}
+
+
+def test_pairs_of_block_and_flow_are_hashed_as_one_by_one():
+    rng = np.random.default_rng(5)
+    blocks = [bytes(rng.integers(0, 256, n, np.uint8)) for n in range(200)]
+    flows = ["", "7", "51281", "é|en", *["x" * n for n in range(40, 90)]]
+    for salt in ("", "salt"):
+        hashed = Hashed(blocks, "portable", salt)
+        which, of = (x.ravel() for x in np.meshgrid(np.arange(len(blocks)), np.arange(len(flows))))
+        want = md5_parts(digests([blocks[b] + flow_suffix(flows[f]) for b, f in zip(which, of, strict=True)], b"", "portable", salt))
+        got = hashed.bound(which, hashed.binding(flows), of)
+        assert all(np.array_equal(x, y) for x, y in zip(got, want, strict=True))
+        assert all(len(x) == 0 for x in hashed.bound(which[:0], hashed.binding([]), of[:0]))
+
+
+def test_pairs_are_asked_many_at_a_time(spark, monkeypatch):
+    """Not flow by flow; and in parts of any size with the same verdicts."""
+    e = w.Experiment(spark, SF)
+    entries = [{"k": 2}, {"threshold": 40}, {"sections": 64, "index": True}, {"sections": 64, "index": True, "threshold": 60}]
+    configs = w.grid(e.raw, entries)
+    rows, ids = e.excerpt_rows()
+    flows = dg.packed_bitmaps(e.packets, [x for x in configs if x[1].index]).drop("interval_id").coalesce(1)
+    found = attribution.evaluate(flows, rows, ids, configs, e.filters(configs)).toArrow().to_pylist()
+    want = {tuple(r.values()) for r in found}
+    assert len(found) == len(want)
+    monkeypatch.setattr(attribution, "HELD_PAIRS", 50)
+    monkeypatch.setattr(attribution, "HELD_CELLS", 1)
+    assert {tuple(r.values()) for r in attribution.evaluate(flows, rows, ids, configs, e.filters(configs)).toArrow().to_pylist()} == want
+    e.close()
