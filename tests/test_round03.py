@@ -84,3 +84,23 @@ def test_an_excerpt_is_looked_for_at_every_place_of_a_payload(spark):
     found = QUERIES["b_hier"](spark, SF).first()
     assert w.table(spark, SF, "documents").selectExpr("max(octet_length(text))").first()[0] > 2 * 2048
     assert found["missed"] == 0 and found["alive"] >= found["excerpts"]
+
+
+def test_places_of_a_large_filter_are_sorted_and_not_hashed(monkeypatch):
+    layout = dg.Layout.of(DigestConfig(m_bits=3_000_000, sections=8))
+    rng = np.random.default_rng(7)
+    section, pos = rng.integers(0, 8, 50_000), rng.integers(0, layout.m_sub, 50_000)
+    packed, placed = dg._Filter(layout), dg._Filter(layout, 0)
+    for f in (packed, placed):
+        f.add(section, pos)
+        f.add(section[:100], pos[:100])
+    monkeypatch.setattr(np, "unique", None)
+
+    def dense(section, chunk, bits):
+        if len(bits) == layout.chunk_bytes(chunk):
+            return section, chunk, bits
+        own = np.zeros(8 * layout.chunk_bytes(chunk), bool)
+        own[np.frombuffer(bits, "<u2")] = True
+        return section, chunk, np.packbits(own, bitorder="little").tobytes()
+
+    assert [dense(*r) for r in placed.rows()] == list(packed.rows())
